@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from apcube.llm import langid, minhash, mixing, packing
+from apcube.llm import langid, minhash, mixing, ngramlm, packing
 
 
 def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -31,12 +32,18 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op10_interpolated_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scored = ngramlm.score(_read(spark, sf_dir, "documents"), langid.fold("doc_id", 7) != 2)
+    return scored.select("doc_id", (~F.col("counted")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op5_mixing": op5_mixing,
         "op6_minhash": op6_minhash,
         "op7_language": op7_language,
         "op8_packing": op8_packing,
+        "op10_interpolated_lm": op10_interpolated_lm,
     }
 
 
