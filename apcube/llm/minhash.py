@@ -6,9 +6,10 @@ alternating large-star and small-star.
 Shape of the work
 -----------------
 * Equal shingle sets are folded first, so that exact copies cost one row each from then on.
-* A bucket never emits all its pairs. Round one ties every member to the bucket's least member. After its components
-  are known, round two emits only pairs of a bucket whose members lie in *different* components; those are the only
-  candidates that can still change a component. The outcome is that of testing every pair of every bucket.
+* A bucket never emits all its pairs. Round one ties every member to the bucket's most central member, the one that
+  shares most bucket places with others. Once its components are known, only pairs of a bucket whose members lie in
+  *different* components can still change a component. Round two compares the signatures of those in numpy, block by
+  block, and emits the pairs near the threshold. The outcome is that of testing every pair of every bucket.
 * Only documents that share a bucket have their texts shuffled, for the exact check.
 """
 
@@ -23,13 +24,16 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from apcube.llm.components import components
+from apcube.llm.groups import in_blocks, runs
 from apcube.llm.storage import drop, materialize
 from apcube.llm.wordhash import BASE, distinct_per_doc, hash_words, mix, shingle_hashes, slices, text_buffers
 
 MOST_HASHES, MISS = 128, 1e-4
-#: Share of agreeing signature bytes below the threshold at which a pair is rejected without the exact check: over
-#: four standard deviations of the estimate.
-SLACK = 0.16
+#: Bins of the verification signature, and how far below the threshold its estimate must lie for a pair to be rejected
+#: without the exact check: four standard deviations.
+BINS, SLACK = 512, 0.08
+#: Members of a bucket that are compared at once.
+BLOCK = 4096
 
 
 def banding(threshold: float) -> tuple[int, int]:
@@ -50,8 +54,7 @@ def _families(n: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def signatures(docs: DataFrame, k: int, bands: int, rows: int, seed: int, id_col: str, text_col: str) -> DataFrame:
-    """doc_id, n_shingles, fp1, fp2 (fingerprint of the set, null when empty), bands array<long>, sketch binary (the low
-    byte of each minimum)."""
+    """doc_id, n_shingles, fp1, fp2 (fingerprint of the set, null when empty), bands array<long>."""
     a, b = _families(bands * rows, seed)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -61,44 +64,103 @@ def signatures(docs: DataFrame, k: int, bands: int, rows: int, seed: int, id_col
             n = np.diff(bounds)
             full = np.flatnonzero(n)
             at = bounds[:-1][full]
-            sketch = np.zeros((len(full), bands * rows), np.uint8)
             band = np.zeros((len(full), bands), np.uint64)
             fp = [np.zeros(len(full), np.uint64)] * 2
             if len(full):
                 for i in range(bands * rows):
                     low = np.minimum.reduceat((h * a[i] + b[i]) >> np.uint64(32), at)
-                    sketch[:, i] = low.astype(np.uint8)
                     band[:, i // rows] = mix(band[:, i // rows] * BASE + low + np.uint64(i + 1))
                 fp = [np.add.reduceat(mix(h ^ np.uint64(salt)), at) for salt in (0x51ED, 0xA5A5F00D)]
             at_row = np.full(part.num_rows, -1)
             at_row[full] = np.arange(len(full))
             pick = pa.array(np.where(at_row < 0, 0, at_row), mask=at_row < 0)
             lists = pa.ListArray.from_arrays(np.arange(0, band.size + 1, bands).astype(np.int32), pa.array(band.view(np.int64).ravel()))
-            raw = pa.array([x.tobytes() for x in sketch], pa.binary())
             yield pa.RecordBatch.from_arrays(
-                [part.column("doc_id"), pa.array(n, pa.int64()), *(pa.array(x.view(np.int64)).take(pick) for x in fp), lists.take(pick), raw.take(pick)],
-                ["doc_id", "n_shingles", "fp1", "fp2", "bands", "sketch"],
+                [part.column("doc_id"), pa.array(n, pa.int64()), *(pa.array(x.view(np.int64)).take(pick) for x in fp), lists.take(pick)],
+                ["doc_id", "n_shingles", "fp1", "fp2", "bands"],
             )
 
     narrow = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     kind = narrow.schema["doc_id"].dataType.simpleString()
-    return narrow.mapInArrow(run, f"doc_id {kind}, n_shingles bigint, fp1 bigint, fp2 bigint, bands array<bigint>, sketch binary")
+    return narrow.mapInArrow(run, f"doc_id {kind}, n_shingles bigint, fp1 bigint, fp2 bigint, bands array<bigint>")
+
+
+def bin_sketches(h: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+    """One row of ``BINS`` bytes per document: for each range of hash values a byte of the least hash in it, 0 if it has
+    none. ``h`` is ascending within a document."""
+    doc = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
+    cell = doc * BINS + (h >> np.uint64(64 - BINS.bit_length() + 1)).astype(np.int64)
+    first = np.ones(len(cell), bool)
+    first[1:] = cell[1:] != cell[:-1]
+    out = np.zeros((len(bounds) - 1) * BINS, np.uint8)
+    out[cell[first]] = (h[first] % np.uint64(255)).astype(np.uint8) + 1
+    return out.reshape(-1, BINS)
+
+
+def _estimate(left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Estimated similarity of rows of sketches."""
+    either = ((left | right) != 0).sum(axis=-1)
+    return ((left == right) & (left != 0)).sum(axis=-1) / np.maximum(either, 1)
+
+
+def _with_sketches(texts: DataFrame, k: int) -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in slices(batches, "text", 2 << 20):
+            rows = bin_sketches(*distinct_per_doc(*shingle_hashes(hash_words(*text_buffers(part.column("text"))), k)))
+            yield pa.RecordBatch.from_arrays([*part.columns, pa.array([x.tobytes() for x in rows], pa.binary())], [*part.schema.names, "sketch"])
+
+    return texts.mapInArrow(run, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in texts.schema) + ", sketch binary")
+
+
+def _matrix(column: pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(len(column), -1)
 
 
 def _agree(pairs: DataFrame, sketches: DataFrame, least: float) -> DataFrame:
-    """Pairs (a, b) whose signature bytes agree in a share of at least ``least``."""
+    """Pairs (a, b) whose estimated similarity is at least ``least``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for x in batches:
-            if x.num_rows:
-                left, right = (np.frombuffer(b"".join(x.column(c).to_pylist()), np.uint8).reshape(x.num_rows, -1) for c in ("sa", "sb"))
-                yield x.select(["a", "b"]).filter(pa.array((left == right).mean(axis=1) >= least))
+            for at in range(0, x.num_rows, 4096):
+                y = x.slice(at, 4096)
+                yield y.select(["a", "b"]).filter(pa.array(_estimate(_matrix(y.column("sa")), _matrix(y.column("sb"))) >= least))
 
     both = pairs.join(sketches.select(F.col("rep").alias("a"), F.col("sketch").alias("sa")), "a").join(sketches.select(F.col("rep").alias("b"), F.col("sketch").alias("sb")), "b")
     kind = pairs.schema["a"].dataType.simpleString()
     return both.select("a", "b", "sa", "sb").mapInArrow(run, f"a {kind}, b {kind}")
 
 
+def _across(member: DataFrame, least: float) -> DataFrame:
+    """member: key, n (members of the bucket), rep, c (component), bands, sketch -> pairs (a, b) of one bucket and
+    different components whose estimate is at least ``least``, each from the first bucket that it shares."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for x in runs(batches):
+            rep, comp, side, sketch = x.column("rep"), x.column("c").to_numpy(zero_copy_only=False), x.column("side").to_numpy(zero_copy_only=False), _matrix(x.column("sketch"))
+            bands = x.column("bands").flatten().to_numpy(zero_copy_only=False).reshape(len(rep), -1)
+            key = x.column("key")[0].as_py()
+            band = int(np.flatnonzero(bands[0] == key)[0])
+            two = bool(side.any())
+            most = max(zip(*np.unique(comp, return_counts=True)), key=lambda p: p[1])[0]
+            # rows outside the unit's largest component against all rows: every pair across components has one such
+            some = np.flatnonzero(comp != most)
+            for i in some.tolist():
+                other = comp != comp[i]
+                other[some[some <= i]] = False
+                if two:
+                    other &= side != side[i]
+                at = np.flatnonzero(other)
+                at = at[_estimate(sketch[at], sketch[i]) >= least]
+                if band and len(at):
+                    at = at[~(bands[at, :band] == bands[i, :band]).any(axis=1)]
+                if len(at):
+                    yield pa.RecordBatch.from_arrays([rep.take(pa.array(np.full(len(at), i))), rep.take(pa.array(at))], ["a", "b"])
+
+    kind = member.schema["rep"].dataType.simpleString()
+    units = in_blocks(member, "key", "n", F.col("rep"), BLOCK).select("unit", "side", "key", "rep", "c", "bands", "sketch")
+    return units.mapInArrow(run, f"a {kind}, b {kind}").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+
+
 def _exact(pairs: DataFrame, texts: DataFrame, k: int, num: int, den: int) -> DataFrame:
     """Pairs with den * intersection >= num * union on the full sets of the two texts."""
 
@@ -136,7 +198,8 @@ def near_duplicates(docs: DataFrame, k: int = 5, threshold: tuple[int, int] = (4
     space have an empty set and link with nothing; texts of fewer than ``k`` words have their whole sequence as their
     one shingle. Equal texts are one group (its least id stays). Rows of one id and equal texts get equal results; a
     null id is never a representative: such a row has a null component_id and is not kept unless its set links with
-    nothing that has an id. Other columns are ignored. An empty table gives no rows.
+    nothing that has an id. Rows of one id and different texts each have their own ``n_shingles``; their links are those of
+    one of the texts. Other columns are ignored. An empty table gives no rows.
     """
     num, den = threshold
     bands, rows = banding(num / den)
@@ -145,31 +208,28 @@ def near_duplicates(docs: DataFrame, k: int = 5, threshold: tuple[int, int] = (4
     groups = materialize(groups, "groups")
     reps = sig.join(groups.select("fp1", "fp2", F.col("rep").alias("doc_id")), ["doc_id", "fp1", "fp2"], "left_semi")
     buckets = reps.select(F.col("doc_id").alias("rep"), F.explode("bands").alias("key"))
-    leaders = buckets.groupBy("key").agg(F.min("rep").alias("leader"), F.max("rep").alias("most")).where("leader < most").select("key", "leader")
-    shared = materialize(buckets.join(leaders, "key").select("key", "rep", "leader"), "buckets")
-    named = materialize(shared.select("rep").distinct(), "named")
-    sketches = materialize(sig.select(F.col("doc_id").alias("rep"), "sketch", "fp1", "fp2").join(groups.select("rep", "fp1", "fp2"), ["rep", "fp1", "fp2"], "left_semi").join(named, "rep", "left_semi").select("rep", "sketch").dropDuplicates(["rep"]), "sketches")
-    source = docs.select(F.col(id_col).alias("rep"), F.col(text_col).cast("string").alias("text"))
-    texts = materialize(source.join(named, "rep", "left_semi"), "texts")
-    texts_of = texts.dropDuplicates(["rep"]) if sig.select("doc_id").count() != sig.select("doc_id").distinct().count() else texts
+    sizes = buckets.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
+    shared = materialize(buckets.join(sizes, "key").select("key", "rep", "n"), "buckets")
+    central = materialize(shared.groupBy("rep").agg(F.sum("n").alias("weight")), "central")
+    leaders = shared.join(central, "rep").groupBy("key").agg(F.max(F.struct("weight", "rep")).alias("x")).select("key", F.col("x.rep").alias("leader"))
+    source = docs.select(F.col(id_col).alias("rep"), F.col(text_col).cast("string").alias("text")).where(F.col(text_col).isNotNull())
+    texts = materialize(_with_sketches(source.join(central.select("rep"), "rep", "left_semi").dropDuplicates(["rep"]), k), "texts")
+    sketches = texts.select("rep", "sketch")
     least = num / den - SLACK
-    first = shared.where("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct()
-    tried = materialize(first, "tried")
-    linked = materialize(_exact(_agree(tried, sketches, least), texts_of, k, num, den), "linked")
+    tried = shared.join(leaders, "key").where("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
+    tried = materialize(tried, "tried")
+    linked = materialize(_exact(_agree(tried, sketches, least), texts, k, num, den), "linked")
     forest = materialize(components(linked), "forest")
-    member = shared.join(forest.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("c"))
+    member = shared.join(forest.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("c"))
     split = member.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
-    member = materialize(member.join(split, "key", "left_semi"), "split")
-    sides = member.select("key", "c").distinct()
-    across = sides.select("key", F.col("c").alias("ca")).join(sides.select("key", F.col("c").alias("cb")), "key").where("ca < cb")
-    across = across.join(member.select("key", F.col("c").alias("ca"), F.col("rep").alias("x")), ["key", "ca"]).join(member.select("key", F.col("c").alias("cb"), F.col("rep").alias("y")), ["key", "cb"])
-    pairs = across.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct().join(tried, ["a", "b"], "left_anti")
-    later = materialize(_exact(_agree(pairs, sketches, least), texts_of, k, num, den), "later")
+    member = member.join(split, "key", "left_semi").join(reps.select(F.col("doc_id").alias("rep"), "bands").dropDuplicates(["rep"]), "rep").join(sketches, "rep")
+    pairs = _across(materialize(member, "split"), least).distinct().join(tried, ["a", "b"], "left_anti")
+    later = materialize(_exact(pairs, texts, k, num, den), "later")
     if later.isEmpty():
         final = forest
     else:
         final = materialize(components(forest.select(F.col("node").alias("a"), F.col("component").alias("b")).union(later)), "final")
-    drop(shared, named, sketches, texts, tried, linked, member)
+    drop(shared, central, texts, tried, linked)
     of_set = groups.join(final.withColumnRenamed("node", "rep"), "rep", "left").select("fp1", "fp2", F.coalesce("component", "rep").alias("c"))
     out = sig.select("doc_id", "n_shingles", "fp1", "fp2").join(of_set, ["fp1", "fp2"], "left")
     out = out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("c", "doc_id")).alias("component_id"), F.col("c").alias("group"))
