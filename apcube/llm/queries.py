@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from apcube.llm import langid, minhash, mixing, ngramlm, packing
+from apcube.llm import itq, langid, minhash, mixing, ngramlm, packing
 
 
 def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -18,6 +18,10 @@ def op6_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(_read(spark, sf_dir, "documents"), k=3, threshold=(85, 100))
 
 
+def op1_itq(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return itq.near_duplicates(_read(spark, sf_dir, "embeddings"))
+
+
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_read(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -39,6 +43,7 @@ def op10_interpolated_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_itq": op1_itq,
         "op5_mixing": op5_mixing,
         "op6_minhash": op6_minhash,
         "op7_language": op7_language,
