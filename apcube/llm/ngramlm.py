@@ -26,7 +26,7 @@ from apcube.llm.storage import drop, materialize
 from apcube.llm.wordhash import BASE, hash_words, mix, slices, text_buffers
 
 #: Tokens of a chunk, and distinct keys of a part, about.
-CHUNK_TOKENS, PART_KEYS = 2_000_000, 1_000_000
+CHUNK_TOKENS, PART_KEYS = 1_000_000, 1_000_000
 #: Context buckets: 0 for a context never seen, then one per power of two. Ratios are gathered in steps of 1/STEPS of
 #: a power of two, down to 2**-LOW.
 BUCKETS, STEPS, LOW = 48, 4, 40
@@ -93,8 +93,8 @@ class _Chunk:
         before = np.empty(len(self.tokens), np.uint64)
         before[1:] = self.tokens[:-1]
         before[self.first[:-1]] = len(self.words)  # the start of a document
-        self.before = before.astype(np.int64)
-        pairs, self.bigram = np.unique(before << np.uint64(32) | self.tokens, return_inverse=True)
+        pairs, bigram = np.unique(before << np.uint64(32) | self.tokens, return_inverse=True)
+        self.before, self.bigram = before.astype(np.int32), bigram.astype(np.int32)
         hashes = np.append(self.words, START)
         self.bigrams = mix(hashes[pairs >> np.uint64(32)] * BASE + mix(hashes[pairs & np.uint64(0xFFFFFFFF)]))
 
