@@ -7,7 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from apcube.llm import itq, langid, minhash, mixing, ngramlm, packing
+from apcube.llm import itq, langid, linededup, minhash, mixing, ngramlm, packing, warc
+from apcube.llm.storage import new_path
 
 
 def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -22,6 +23,28 @@ def op1_itq(spark: SparkSession, sf_dir: str) -> DataFrame:
     return itq.near_duplicates(_read(spark, sf_dir, "embeddings"))
 
 
+def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = _read(spark, sf_dir, "pages")
+    out = new_path(spark, "warc")
+    warc.write(pages, out)
+    kind = pages.schema["page_id"].dataType
+    read = warc.read(spark, out)
+    return read.select(F.col("page_id").cast(kind).alias("page_id"), "payload_bytes", "payload_digest", "record_type", F.col("refers_to").cast(kind).alias("refers_to"))
+
+
+#: Each base32 letter of a SHA-1 is five of its 160 bits.
+OP3_SQL = """
+with p as (select page_id, coalesce(html, '') as html from pages),
+d as (select page_id, strlen(html) as payload_bytes, sha1(html) as hex from p),
+b as (select *, min(page_id) over (partition by hex) as first, unhex(hex)::bit::varchar as bits from d)
+select page_id, payload_bytes::bigint as payload_bytes,
+  array_to_string(list_transform(range(32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', 1 + list_sum(list_transform(range(5), lambda j: (substr(bits, (5 * i + j + 1)::int, 1) = '1')::int * (1 << (4 - j)::int)))::int, 1)), '') as payload_digest,
+  case when page_id = first then 'response' else 'revisit' end as record_type,
+  case when page_id <> first then first end as refers_to
+from b
+"""
+
+
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_read(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -36,6 +59,23 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_read(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op9_line_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cleaned = linededup.remove_boilerplate(_read(spark, sf_dir, "documents"))
+    return cleaned.select("doc_id", "n_lines", "n_removed", F.md5(F.col("text")).alias("text_md5"))
+
+
+OP9_SQL = """
+with l as (select doc_id, source, unnest(string_split(text, chr(10))) as line, generate_subscripts(string_split(text, chr(10)), 1) as i from documents),
+s as (select trim(line, ' ') as key from l where trim(line, ' ') <> '' group by 1 having count(distinct source) >= 8),
+m as (select l.*, s.key is not null as gone from l left join s on trim(l.line, ' ') = s.key),
+d as (select doc_id, count(*) as n, count(*) filter (gone) as g, coalesce(sum(length(line)) filter (gone), 0) as cut, sum(length(line)) as total,
+  coalesce(string_agg(line, chr(10) order by i) filter (not gone), '') as kept from m group by doc_id)
+select doc_id, coalesce(n, 0)::bigint as n_lines, case when g > 0 and cut <= 0.5 * total then g else 0 end::bigint as n_removed,
+  md5(case when g > 0 and cut <= 0.5 * total then kept else text end) as text_md5
+from documents left join d using (doc_id)
+"""
+
+
 def op10_interpolated_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     scored = ngramlm.score(_read(spark, sf_dir, "documents"), langid.fold("doc_id", 7) != 2)
     return scored.select("doc_id", (~F.col("counted")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
@@ -44,13 +84,15 @@ def op10_interpolated_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_itq": op1_itq,
+        "op3_warc": op3_warc,
         "op5_mixing": op5_mixing,
         "op6_minhash": op6_minhash,
         "op7_language": op7_language,
         "op8_packing": op8_packing,
+        "op9_line_spread": op9_line_spread,
         "op10_interpolated_lm": op10_interpolated_lm,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op3_warc": OP3_SQL, "op9_line_spread": OP9_SQL}
