@@ -29,9 +29,9 @@ from apcube.llm.storage import drop, materialize
 from apcube.llm.wordhash import BASE, distinct_per_doc, hash_words, mix, shingle_hashes, slices, text_buffers
 
 MOST_HASHES, MISS = 128, 1e-4
-#: Bins of the verification signature, and how far below the threshold its estimate must lie for a pair to be rejected
-#: without the exact check: four standard deviations.
-BINS, SLACK = 512, 0.08
+#: Bins of the verification signature, and how many standard deviations below the threshold its estimate must lie for a
+#: pair to be rejected without the exact check.
+BINS, DEVIATIONS = 1024, 4.5
 #: Members of a bucket that are compared at once.
 BLOCK = 4096
 
@@ -97,10 +97,14 @@ def bin_sketches(h: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return out.reshape(-1, BINS)
 
 
-def _estimate(left: np.ndarray, right: np.ndarray) -> np.ndarray:
-    """Estimated similarity of rows of sketches."""
-    either = ((left | right) != 0).sum(axis=-1)
-    return ((left == right) & (left != 0)).sum(axis=-1) / np.maximum(either, 1)
+def _possible(left: np.ndarray, right: np.ndarray, threshold: float) -> np.ndarray:
+    """Rows of sketches whose similarity can reach the threshold. The estimate samples the union without replacement:
+    m occupied bins of about u = -BINS ln(1 - m / BINS) elements, which sets its deviation."""
+    m = ((left | right) != 0).sum(axis=-1)
+    agree = ((left == right) & (left != 0)).sum(axis=-1)
+    full = np.minimum(m / BINS, 1 - 1e-9)
+    unseen = np.maximum(1 + full / np.minimum(np.log1p(-full), -1e-9), 0.01)
+    return agree >= m * threshold - DEVIATIONS * np.sqrt(threshold * (1 - threshold) * m * unseen) - 1
 
 
 def _with_sketches(texts: DataFrame, k: int) -> DataFrame:
@@ -116,23 +120,23 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(len(column), -1)
 
 
-def _agree(pairs: DataFrame, sketches: DataFrame, least: float) -> DataFrame:
-    """Pairs (a, b) whose estimated similarity is at least ``least``."""
+def _agree(pairs: DataFrame, sketches: DataFrame, threshold: float) -> DataFrame:
+    """Pairs (a, b) whose signatures leave the threshold possible."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for x in batches:
             for at in range(0, x.num_rows, 4096):
                 y = x.slice(at, 4096)
-                yield y.select(["a", "b"]).filter(pa.array(_estimate(_matrix(y.column("sa")), _matrix(y.column("sb"))) >= least))
+                yield y.select(["a", "b"]).filter(pa.array(_possible(_matrix(y.column("sa")), _matrix(y.column("sb")), threshold)))
 
     both = pairs.join(sketches.select(F.col("rep").alias("a"), F.col("sketch").alias("sa")), "a").join(sketches.select(F.col("rep").alias("b"), F.col("sketch").alias("sb")), "b")
     kind = pairs.schema["a"].dataType.simpleString()
     return both.select("a", "b", "sa", "sb").mapInArrow(run, f"a {kind}, b {kind}")
 
 
-def _across(member: DataFrame, least: float) -> DataFrame:
+def _across(member: DataFrame, threshold: float) -> DataFrame:
     """member: key, n (members of the bucket), rep, c (component), bands, sketch -> pairs (a, b) of one bucket and
-    different components whose estimate is at least ``least``, each from the first bucket that it shares."""
+    different components whose signatures leave the threshold possible, each from the first bucket that it shares."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for x in runs(batches):
@@ -150,7 +154,7 @@ def _across(member: DataFrame, least: float) -> DataFrame:
                 if two:
                     other &= side != side[i]
                 at = np.flatnonzero(other)
-                at = at[_estimate(sketch[at], sketch[i]) >= least]
+                at = at[_possible(sketch[at], sketch[i], threshold)]
                 if band and len(at):
                     at = at[~(bands[at, :band] == bands[i, :band]).any(axis=1)]
                 if len(at):
@@ -215,15 +219,14 @@ def near_duplicates(docs: DataFrame, k: int = 5, threshold: tuple[int, int] = (4
     source = docs.select(F.col(id_col).alias("rep"), F.col(text_col).cast("string").alias("text")).where(F.col(text_col).isNotNull())
     texts = materialize(_with_sketches(source.join(central.select("rep"), "rep", "left_semi").dropDuplicates(["rep"]), k), "texts")
     sketches = texts.select("rep", "sketch")
-    least = num / den - SLACK
     tried = shared.join(leaders, "key").where("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
     tried = materialize(tried, "tried")
-    linked = materialize(_exact(_agree(tried, sketches, least), texts, k, num, den), "linked")
+    linked = materialize(_exact(_agree(tried, sketches, num / den), texts, k, num, den), "linked")
     forest = materialize(components(linked), "forest")
     member = shared.join(forest.withColumnRenamed("node", "rep"), "rep", "left").select("key", "rep", "n", F.coalesce("component", "rep").alias("c"))
     split = member.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("key")
     member = member.join(split, "key", "left_semi").join(reps.select(F.col("doc_id").alias("rep"), "bands").dropDuplicates(["rep"]), "rep").join(sketches, "rep")
-    pairs = _across(materialize(member, "split"), least).distinct().join(tried, ["a", "b"], "left_anti")
+    pairs = _across(materialize(member, "split"), num / den).distinct().join(tried, ["a", "b"], "left_anti")
     later = materialize(_exact(pairs, texts, k, num, den), "later")
     if later.isEmpty():
         final = forest
