@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from apcube.llm import itq, langid, linededup, minhash, mixing, ngramlm, packing, warc
+from apcube.llm import compaction, imagematch, itq, langid, linededup, minhash, mixing, ngramlm, packing, thumbnails, warc
 from apcube.llm.storage import new_path
 
 
@@ -23,6 +23,14 @@ def op1_itq(spark: SparkSession, sf_dir: str) -> DataFrame:
     return itq.near_duplicates(_read(spark, sf_dir, "embeddings"))
 
 
+def op2_compaction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    store = compaction.compacted(_read(spark, sf_dir, "documents"), new_path(spark, "store"))
+    return store.read().select("doc_id", "lang", "source", "n_chars", F.octet_length("text").cast("long").alias("n_bytes"), F.md5(F.col("text")).alias("text_md5"))
+
+
+OP2_SQL = "select doc_id, lang, source, n_chars, strlen(text)::bigint as n_bytes, md5(text) as text_md5 from documents"
+
+
 def op3_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = _read(spark, sf_dir, "pages")
     out = new_path(spark, "warc")
@@ -45,6 +53,11 @@ from b
 """
 
 
+def op4_image_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = _read(spark, sf_dir, "pages")
+    return imagematch.search(thumbnails.thumbnails(pages), thumbnails.edited(thumbnails.thumbnails(pages.where("page_id % 20 = 0"))))
+
+
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_read(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -84,7 +97,9 @@ def op10_interpolated_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_itq": op1_itq,
+        "op2_compaction": op2_compaction,
         "op3_warc": op3_warc,
+        "op4_image_copies": op4_image_copies,
         "op5_mixing": op5_mixing,
         "op6_minhash": op6_minhash,
         "op7_language": op7_language,
@@ -95,4 +110,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_warc": OP3_SQL, "op9_line_spread": OP9_SQL}
+    return {"op2_compaction": OP2_SQL, "op3_warc": OP3_SQL, "op9_line_spread": OP9_SQL}
