@@ -96,7 +96,7 @@ def _sparse(texts: list[str], bits: int) -> list[tuple[np.ndarray, np.ndarray]]:
 
 def train(texts: list[str], labels: list[str], held: list[bool], bits: int = 16, width: int = 16, epochs: int = 12, rate: float = 4.0, reject_share: float = 0.002, seed: int = 3) -> Model:
     """Fits on the rows not ``held``; those held set the temperature and the rejection score, below which at most
-    ``reject_share`` of the held rows whose language is predicted rightly would fall (never above 1/2)."""
+    ``reject_share`` of the held rows whose language is predicted rightly would fall (never above 0.4)."""
     langs = sorted(set(labels))
     if not langs:
         return Model([], np.zeros((1 << bits, 0)), np.zeros(0), bits=bits)
@@ -134,7 +134,7 @@ def train(texts: list[str], labels: list[str], held: list[bool], bits: int = 16,
     model.temperature = float(min(2.0 ** np.arange(-3, 4.01, 0.25), key=loss))
     best, score = model.scores(logit)
     right = score[best == y[check]]
-    model.reject_below = float(min(0.5, np.quantile(right, reject_share, method="lower"))) if len(right) else 0.0
+    model.reject_below = float(min(0.4, np.quantile(right, reject_share, method="lower"))) if len(right) else 0.0
     return model
 
 
@@ -191,3 +191,21 @@ def identify(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
     rest = fold(id_col, 3)
     model = learn(docs, rest != 1, rest == 2, id_col=id_col, text_col=text_col, lang_col=lang_col, **options)
     return predict(docs, model, id_col, text_col, F.coalesce(rest == 1, F.lit(False)).alias("held_out"))
+
+
+def keep_identified(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", **options) -> DataFrame:
+    """``docs``, all columns, without the rows that the model rejects; learned as in ``identify``."""
+    rest = fold(id_col, 3)
+    model = learn(docs, rest != 1, rest == 2, id_col=id_col, text_col=text_col, lang_col=lang_col, **options)
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    marked = docs.withColumn("__letters", F.coalesce(F.col(text_col).cast("string").rlike(r"\p{L}"), F.lit(False)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        m = shared.value
+        for part in slices(batches, text_col, 1 << 20):
+            ok = part.column("__letters").to_numpy(zero_copy_only=False).astype(bool) & bool(m.langs)
+            if ok.any():
+                ok &= m.scores(m.logits(*text_buffers(part.column(text_col))))[1] >= m.reject_below
+            yield part.drop_columns(["__letters"]).filter(pa.array(ok))
+
+    return marked.mapInArrow(run, docs.schema)
