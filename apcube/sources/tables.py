@@ -45,7 +45,7 @@ def _plane(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select("event_id", "event_type", "user_id", "x", "y", F.weekday("ts").cast("long").alias("wd"), F.hour("ts").cast("long").alias("hr"), seconds.cast("long").alias("t"), F.get_json_object("props", "$.k").cast("long").alias("k"), (F.col("user_id") % 360).alias("dir"))
 
 
-PLANE = """select event_id, event_type, user_id, x, y, isodow(ts) - 1 as wd, hour(ts) as hr, epoch(ts)::bigint - 1704067200 as t,
+PLANE = """select event_id, event_type, user_id, x, y, isodow(ts) - 1 as wd, hour(ts) as hr, floor(epoch(ts))::bigint - 1704067200 as t,
   json_extract_string(props, '$.k')::bigint as k, user_id % 360 as dir
   from (select *, round(value * 100)::bigint as x, lead(round(value * 100)::bigint) over (partition by user_id order by ts, event_id) as y from events) where y is not null"""
 
