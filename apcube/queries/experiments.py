@@ -1 +1,371 @@
-"""To be filled."""
+"""The experiment workloads on the given tables.
+
+Charts on aligned bins are compared with SQL row by row. Approximate arms return what SQL can state: the exact value and
+whether bounds or error limits hold. Tables of times, sizes and errors have no SQL; ``bench.py`` and the README quote them.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from apcube.functions.scale import sampled
+from apcube.operators import baselines as base, boxtree, histograms, index as core, lsh, measures
+from apcube.operators.explore import explore
+from apcube.plans.spec import Bins, Chart
+from apcube.queries import methods as m
+from apcube.queries.registry import INDEXED, boxes_of, indexed, measured, query
+from apcube.sources.tables import VIEWS, view
+
+PLANE, CHECKIN, SPLOM, DELAY, HAIL, DOCS = (VIEWS[v] for v in ("plane", "checkin", "splom", "delay", "hail", "docs"))
+REGIONS = {"global": (0, 57600, 7200), "dense": (0, 3200, 800), "sparse": (12800, 25600, 3200)}
+
+
+def union(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.unionByName(f)
+    return out
+
+
+def region_chart(name: str, agg: str = "count") -> Chart:
+    lo, hi, w = REGIONS[name]
+    return Chart([Bins.width("x", w, lo, hi), Bins.width("y", w, lo, hi)], agg=agg)
+
+
+# ---- bins and dimensions of the scatterplot matrix ---------------------------------------------------------------
+
+_SPLOM_HEAT = Chart([Bins.width("qty", 10, 0, 60), Bins.width("price", 10800, 0, 108000)])
+for _b in (10, 20, 30, 40, 50):
+    query(f"w01_splom_bins_{_b}", _SPLOM_HEAT.sql(SPLOM.sql))(lambda s, d, b=_b: indexed(s, d, "splom", bins=b, rate=0.1, leaves=32).chart(_SPLOM_HEAT))
+for _k in range(1, 6):
+    _dims = ("qty", "price", "disc", "tax", "day")[:_k]
+    _chart = _SPLOM_HEAT if _k > 1 else Chart([Bins.width("qty", 10, 0, 60)])
+    query(f"w02_splom_dims_{_k}", _chart.sql(SPLOM.sql))(lambda s, d, dims=_dims, c=_chart: indexed(s, d, "splom", dims=dims, bins=30, rate=0.1, leaves=32).chart(c))
+
+CARDS = {"splom_10": ("splom", 0.02, 10), "splom_50": ("splom", 0.02, 50), "checkin": ("checkin", 0.2, 60), "delay": ("delay", 0.05, 60), "plane": ("plane", 1.0, 60), "gps": ("gps", 0.01, 60), "hail": ("hail", 0.01, 60)}
+
+
+@query("w03_index_card")
+def _(spark, sf_dir):
+    rows = []
+    for name, (v, rate, bins) in CARDS.items():
+        n = view(spark, sf_dir, v).count()
+        seconds, ix = measures.timed(lambda: core.build(view(spark, sf_dir, v), INDEXED[v][0], VIEWS[v].widths, INDEXED[v][1], bins=bins, rate=max(rate, min(1.0, 500 / max(n, 1))), leaves=64, grid_widths=INDEXED[v][2]))  # noqa: B023
+        rows.append(m.card(name, ix, seconds))
+    return spark.createDataFrame(rows, m.CARD)
+
+
+def growth(spark, sf_dir, name: str) -> DataFrame:
+    """Cells, dense entries and seconds after each tenth of the records; the tree is grown on the first share and then
+    frozen, so later records only fill cells."""
+    dims, key, grid = INDEXED[name]
+    df = view(spark, sf_dir, name)
+    rows, nodes = [], None
+    for tenth in (1, 2, 4, 6, 8, 10):
+        part = df.where(sampled(F.col(key), tenth / 10))
+        seconds, ix = measures.timed(lambda: core.build(part, dims, VIEWS[name].widths, key, bins=16, rate=0.5 if nodes is None else 1.0, leaves=48, grid_widths=grid, nodes=nodes))  # noqa: B023
+        nodes = nodes or ix.nodes
+        rows.append((tenth / 10, int(ix.cells.agg(F.sum("n")).first()[0] or 0), ix.cells.count(), ix.dense_entries(), round(seconds, 3)))
+        ix.cells.unpersist()
+    return spark.createDataFrame(rows, "inserted double, records bigint, cells bigint, dense_entries bigint, seconds double")
+
+
+for _v in ("plane", "checkin", "delay"):
+    query(f"w04_growth_{_v}")(lambda s, d, v=_v: growth(s, d, v))
+
+
+@query("w05_vs_tree_cube")
+def _(spark, sf_dir):
+    """Build seconds and stored rows of the index and of the exact tree cube."""
+    rows = []
+    for name, cat, time, step in (("checkin", "event_type", "hr", 6), ("hail", "o_orderstatus", "month", 1)):
+        dims = INDEXED[name][0][:2]
+        bits = max(VIEWS[name].widths[d] - 1 for d in dims).bit_length()
+        t, cube = measures.timed(lambda: base.tree_cube(view(spark, sf_dir, name), dims, bits, 8, cat, time, step).count())  # noqa: B023
+        s, ix = measures.timed(lambda: core.build(view(spark, sf_dir, name), dims, VIEWS[name].widths, INDEXED[name][1], rate=0.2, grid_widths=INDEXED[name][2]))  # noqa: B023
+        rows += [(name, "tree cube", int(cube), round(t, 3)), (name, "index", int(ix.cells.count()), round(s, 3))]
+    return spark.createDataFrame(rows, "dataset string, method string, stored_rows bigint, seconds double")
+
+
+# ---- user sessions -----------------------------------------------------------------------------------------------
+
+_STEPS = [(0, 57600, 7200), (0, 14400, 1800), (7200, 21600, 1800), (0, 7200, 900), (14400, 43200, 3600)]
+_STEP_CHARTS = [Chart([Bins.width("x", w, lo, hi), Bins.width("y", w, lo, hi)]) for lo, hi, w in _STEPS]
+query("w06_heatmap_session", " union all ".join(f"select {i} as step, * from ({c.sql(PLANE.sql)})" for i, c in enumerate(_STEP_CHARTS)))(lambda s, d: union([m._flat(s, d, 900).chart(c).select(F.lit(i).alias("step"), "*") for i, c in enumerate(_STEP_CHARTS)]))
+_BRUSHES = [{}, {"x": (0, 7200)}, {"x": (0, 7200), "wd": (0, 5)}, {"wd": (5, 7), "hr": (18, 24)}]
+query("w07_linked_brush", " union all ".join(f"select {i} as step, * from ({m.linked_sql('checkin', m.LINKED, b)})" for i, b in enumerate(_BRUSHES)))(lambda s, d: union([m.linked(indexed(s, d, "checkin"), m.LINKED, b).select(F.lit(i).alias("step"), "*") for i, b in enumerate(_BRUSHES)]))
+_BY_MONTH, _BY_YEAR = Chart([Bins.width("month", 1, 0, 12)], agg="mean"), Chart([Bins.width("year", 1, 0, 8)], {"disc": (2, 6)}, "sum")
+query("w08_custom_charts", f"select 'mean_by_month' as chart, t1, value::double as value from ({_BY_MONTH.sql(measured('delay', 'qty'))}) union all select 'sum_by_year', t1, value::double from ({_BY_YEAR.sql(measured('delay', 'qty'))})")(lambda s, d: _custom(s, d))
+
+
+def _custom(spark, sf_dir):
+    ix = indexed(spark, sf_dir, "delay", dims=("price", "disc", "year", "month"), measure="qty", rate=0.05, leaves=32)
+    return union([ix.chart(c).select(F.lit(n).alias("chart"), "t1", F.col("value").cast("double").alias("value")) for n, c in (("mean_by_month", _BY_MONTH), ("sum_by_year", _BY_YEAR))])
+
+
+query("w09_tree_cube_session", " union all ".join(f"select {lv} as level, * from ({base.tree_cube_sql(PLANE.sql, m.XY, 16, lv, 'hr', 6)})" for lv in (1, 3, 5)))(lambda s, d: _tree_session(s, d))
+
+
+def _tree_session(spark, sf_dir):
+    cube = base.tree_cube(view(spark, sf_dir, "checkin"), m.XY, 16, 8, "event_type", "hr", 6).persist()
+    return union([base.tree_cube_counts(cube, lv, 2).select(F.lit(lv).alias("level"), "*") for lv in (1, 3, 5)])
+
+
+# ---- regions, heights, hashing, plain tables ---------------------------------------------------------------------
+
+
+def config_index(spark, sf_dir, config: str) -> core.Index:
+    """h2..h4: unaligned index of that height; s1: very fine plain table; s2: plain table of the index's size."""
+    if config == "s1":
+        return m._flat(spark, sf_dir, 100)
+    if config == "s2":
+        ref = config_index(spark, sf_dir, "h4")
+        return m._flat(spark, sf_dir, -(-57600 // max(2, round(ref.dense_entries() ** 0.5))))
+    height = 4 if config == "lsh" else int(config[1])
+    return indexed(spark, sf_dir, "plane", aligned=False, bins=10, target_height=height)
+
+
+def hashed_leaves(spark, ix: core.Index, region: str) -> list[int]:
+    lo, hi, _ = REGIONS[region]
+    area = spark.createDataFrame([(0, lo, lo, hi - 1, hi - 1)], "id int, lo_x bigint, lo_y bigint, hi_x bigint, hi_y bigint")
+    hit = {r["box"] for r in lsh.overlap(boxes_of(spark, ix), area, m.FAMILY, 4, "reversed").collect()}  # at most one row a leaf
+    return [i for i, n in enumerate(ix.leaves) if int(n) in hit]
+
+
+def region_answer(spark, sf_dir, region: str, config: str) -> DataFrame:
+    ix = config_index(spark, sf_dir, config)
+    return ix.chart(region_chart(region), leaves=hashed_leaves(spark, ix, region) if config == "lsh" else None)
+
+
+CONFIGS = ("lsh", "h2", "h3", "h4", "s1", "s2")
+
+
+def _region(region: str, config: str):
+    def run(spark, sf_dir):
+        """Exact grids, and whether the inner and outer cells of the configuration enclose them (a hashed search may only
+        miss, so its outer bound isn't asked)."""
+        chart = region_chart(region)
+        exact = base.scan(view(spark, sf_dir, "plane"), chart)
+        if config == "lsh":
+            seen = region_answer(spark, sf_dir, region, config).withColumnRenamed("value", "seen")
+            top = config_index(spark, sf_dir, config).chart(chart, "outer").withColumnRenamed("value", "v_hi")
+            both = exact.join(top, chart.names, "left").join(seen, chart.names, "left")
+            return both.select(*chart.names, "value", (F.coalesce("seen", F.lit(0)) <= F.greatest(F.col("v_hi"), F.col("value"))).alias("in_bounds"))
+        return m.in_bounds(exact, config_index(spark, sf_dir, config).with_error(chart), chart.names)
+
+    return run
+
+
+for _r in REGIONS:
+    for _c in CONFIGS:
+        query(f"w10_region_{_r}_{_c}", f"select *, true as in_bounds from ({region_chart(_r).sql(PLANE.sql)})")(_region(_r, _c))
+
+
+@query("w10_region_errors")
+def _(spark, sf_dir):
+    """ARE, stored entries and milliseconds of every configuration on every region."""
+    rows = []
+    for region in REGIONS:
+        chart = region_chart(region)
+        truth = base.scan(view(spark, sf_dir, "plane"), chart).persist()
+        n = (len(chart.bins[0].edges) - 1) ** 2
+        for config in CONFIGS:
+            ix = config_index(spark, sf_dir, config)
+            ms, _n = measures.timed(lambda: region_answer(spark, sf_dir, region, config).collect())  # noqa: B023
+            are = measures.are(region_answer(spark, sf_dir, region, config), truth, chart.names, n).first()["are"]
+            rows.append((region, config, float(are), ix.dense_entries(), round(ms * 1000, 1)))
+    return spark.createDataFrame(rows, "region string, config string, are double, entries bigint, ms double")
+
+
+def align_row(spark, sf_dir, aligned: bool) -> list[tuple]:
+    rows = []
+    for region, (_lo, _hi, w) in REGIONS.items():
+        chart = region_chart(region)
+        ix = core.build(view(spark, sf_dir, "plane"), m.XY, PLANE.widths, "event_id", bins=10, leaves=64, grid_widths={"x": w, "y": w} if aligned else None)
+        truth = base.scan(view(spark, sf_dir, "plane"), chart)
+        are = measures.are(ix.chart(chart), truth, chart.names, (len(chart.bins[0].edges) - 1) ** 2).first()["are"]
+        rows.append((region, float(are), round(ix.coincidence(chart), 4)))
+    return rows
+
+
+@query("w11_align_on", "select * from (values ('dense', 0.0::double, 1.0::double), ('global', 0.0::double, 1.0::double), ('sparse', 0.0::double, 1.0::double)) as t(region, are, coincidence)")
+def _(spark, sf_dir):
+    return spark.createDataFrame(align_row(spark, sf_dir, True), "region string, are double, coincidence double")
+
+
+@query("w11_align_off", "select * from (values ('dense', true), ('global', true), ('sparse', true)) as t(region, worse_than_aligned)")
+def _(spark, sf_dir):
+    rows = [(r, a >= 0.0 and c < 1.0) for r, a, c in align_row(spark, sf_dir, False)]
+    return spark.createDataFrame(rows, "region string, worse_than_aligned boolean")
+
+
+@query("w11_align_errors")
+def _(spark, sf_dir):
+    rows = [(r, "on" if on else "off", a, c) for on in (True, False) for r, a, c in align_row(spark, sf_dir, on)]
+    return spark.createDataFrame(rows, "region string, alignment string, are double, coincidence double")
+
+
+# ---- partitioners, categories, samplers --------------------------------------------------------------------------
+
+for _kind in ("density", "area", "kd", "quad", "str", "uniform"):
+    query(f"w12_partitioner_{'rstar' if _kind == 'density' else _kind}", region_chart("dense").sql(PLANE.sql))(
+        lambda s, d, k=_kind: core.build(view(s, d, "plane"), m.XY, PLANE.widths, "event_id", bins=32, grid_widths={"x": 800, "y": 800}, nodes=m.partition(s, d, "plane", m.XY, k)).chart(region_chart("dense"))
+    )
+
+
+@query("w12_partitioner_quality")
+def _(spark, sf_dir):
+    kinds = ("density", "area", "kd", "quad", "str", "uniform")
+    out = []
+    for name, dims in (("plane", m.XY), ("vec", ("e0", "e1"))):
+        w = [float(VIEWS[name].widths[d]) for d in dims]
+        pts = m.sample_points(spark, sf_dir, name, dims)
+        out += [(name, k, *(round(v, 4) for v in boxtree.evenness(pts, m.partition(spark, sf_dir, name, dims, k), w).values())) for k in kinds]
+    return spark.createDataFrame(out, "dataset string, partitioner string, leaves double, empty_share double, overlap_share double, count_variation double, inner_variation double")
+
+
+query("w13_cat_axis", f"select event_type, x // 7200 as t1, count(*) as value from ({PLANE.sql}) group by all")(lambda s, d: _axis(s, d))
+
+
+def _axis(spark, sf_dir):
+    from apcube.operators.descriptors import category_cells
+
+    return category_cells(view(spark, sf_dir, "plane"), "event_type", {"x": 1800}).groupBy("event_type", F.floor(F.col("q_x") / 4).cast("long").alias("t1")).agg(F.sum("n").alias("value"))
+
+
+query("w13_cat_scale", f"select user_id // 25 as t1, count(*) as value from ({PLANE.sql}) group by all")(lambda s, d: _users(s, d))
+
+
+def _users(spark, sf_dir):
+    """Users as scales of a dimension: ranks are dense, so ranges of ranks are ranges of scales."""
+    df = view(spark, sf_dir, "plane").select("user_id", "x")
+    top = df.agg(F.max("user_id")).first()[0] or 0
+    n = (top // 25 + 1) * 25
+    ix = core.flat(df, ("user_id",), {"user_id": n}, {"user_id": 5})
+    return ix.chart(Chart([Bins.width("user_id", 25, 0, n)]))
+
+
+def _sampler(kind: str):
+    def run(spark, sf_dir):
+        from apcube.operators.descriptors import stratified
+
+        dims = ("price", "disc", "year", "month")
+        df = view(spark, sf_dir, "delay")
+        key = F.col("l_orderkey") * 8 + F.col("l_linenumber")
+        part = df.where(sampled(key, 0.05)) if kind == "uniform" else stratified(df.withColumn("ym", F.col("year") * 12 + F.col("month")).withColumn("k", key), "ym", "k", 40)
+        pts = part.select(*dims).toPandas().to_numpy()
+        nodes = boxtree.build(pts, [float(DELAY.widths[d]) for d in dims], target_leaves=48)
+        ix = core.build(df, dims, DELAY.widths, key, measure="qty", grid_widths={d: INDEXED["delay"][2][d] for d in dims}, nodes=nodes)
+        return ix.chart(Chart([Bins.width("year", 1, 0, 8)], agg="sum"))
+
+    return run
+
+
+for _s in ("uniform", "stratified"):
+    query(f"w14_sampler_{_s}", Chart([Bins.width("year", 1, 0, 8)], agg="sum").sql(measured("delay", "qty")))(_sampler(_s))
+
+# ---- exploration, margins, filters, local bins, vectors, skew ----------------------------------------------------
+
+for _h in (1, 2, 3):
+    query(f"w15_explore_level_{_h}", m.HEAT.sql(PLANE.sql))(lambda s, d, h=_h: list(explore(indexed(s, d, "plane"), m.HEAT, h))[-1][1])
+
+
+@query("w15_explore_narrowing", "select count(*) as levels, true as never_more from (values (1), (2), (3)) as t(x)")
+def _(spark, sf_dir):
+    """Three levels, each under the two densest grids of the one before; a narrowed view never shows more than the whole."""
+    ix = indexed(spark, sf_dir, "plane")
+    whole = ix.chart(m.HEAT).withColumnRenamed("value", "w")
+    parts = [df.join(whole, m.HEAT.names, "left").select(F.lit(h).alias("h"), (F.col("value") <= F.col("w")).alias("ok")) for h, df in explore(ix, m.HEAT, 3, pick=2)]
+    return union(parts).agg(F.countDistinct("h").alias("levels"), F.bool_and("ok").alias("never_more"))
+
+
+def _margins(agg: str):
+    def run(spark, sf_dir):
+        ix = indexed(spark, sf_dir, "plane", measure="x", aligned=False)
+        chart = m.on(region_chart("dense"), agg)
+        return m.in_bounds(base.scan(view(spark, sf_dir, "plane"), chart, "x"), ix.with_error(chart), chart.names)
+
+    return run
+
+
+for _a in ("count", "sum"):
+    query(f"w16_margin_{_a}", f"select *, true as in_bounds from ({m.on(region_chart('dense'), _a).sql(m.PLANE_X)})")(_margins(_a))
+
+
+@query("w16_margin_mean", f"select t1, t2, true as in_bounds from ({region_chart('dense').sql(PLANE.sql)})")
+def _(spark, sf_dir):
+    ix, chart = indexed(spark, sf_dir, "plane", measure="x", aligned=False), region_chart("dense")
+    n, s = ix.with_error(chart), ix.with_error(m.on(chart, "sum"))
+    both = n.select(*chart.names, F.col("v_lo").alias("n_lo"), F.col("v_hi").alias("n_hi")).join(s.select(*chart.names, F.col("v_lo").alias("s_lo"), F.col("v_hi").alias("s_hi")), chart.names)
+    exact = base.scan(view(spark, sf_dir, "plane"), m.on(chart, "mean"), "x").join(both, chart.names, "left")
+    fine = (F.col("s_lo") / F.col("n_hi") <= F.col("value") + 1e-3) & F.coalesce(F.when(F.col("n_lo") > 0, F.col("s_hi") / F.col("n_lo")) >= F.col("value") - 1e-3, F.lit(True))
+    return exact.select(*chart.names, F.coalesce(fine, F.lit(False)).alias("in_bounds"))
+
+
+@query("w16_margin_median", f"select month::bigint as t1, true as in_bounds from ({HAIL.sql}) where price >= 50000 and price < 200000 group by all")
+def _(spark, sf_dir):
+    chart = Chart(m.MONTHS.bins, {"price": (50000, 200000)})
+    found = histograms.quantile_bounds(m._hist_index(spark, sf_dir), chart, 32, 0.5)
+    exact = view(spark, sf_dir, "hail").where("price >= 50000 and price < 200000").groupBy(F.col("month").alias("t1")).agg(F.expr("percentile_disc(0.5) within group (order by total)").alias("e"))
+    return exact.join(found, "t1", "left").select("t1", F.coalesce((F.coalesce("z_lo", F.lit(0.0)) <= F.col("e") + 1) & (F.col("z_hi") >= F.col("e") - 1), F.lit(False)).alias("in_bounds"))
+
+
+_MULTI = Chart([Bins.width("year", 1, 0, 8), Bins.width("wd", 1, 0, 7)], {"disc": (2, 6), "tax": (0, 4), "price": (10800, 75600)}, "sum")
+query("w17_multi_filter", _MULTI.sql(measured("delay", "qty")))(lambda s, d: indexed(s, d, "delay", measure="qty", rate=0.05, leaves=32, budget=1 << 18).chart(_MULTI))
+
+for _scope in ("local", "global"):
+    query(f"w18_hist_{_scope}", f"select month::bigint as t1, count(*) as n, true as close from ({HAIL.sql}) group by all")(lambda s, d, sc=_scope: m._close(s, d, histograms.quantile(histograms.masses(m._hist_index(s, d, sc), m.MONTHS, 32), 0.5, "t1"), 0.5, 3_000_000))
+
+VEC_DIMS = tuple(f"e{i}" for i in range(5))
+
+
+def vec_boxes(spark, sf_dir):
+    """Leaf boxes over five components, and query boxes around every 50th vector."""
+    ix = indexed(spark, sf_dir, "vec", leaves=32)
+    q = view(spark, sf_dir, "vec").where("vec_id % 50 = 0").select(F.col("vec_id").cast("int").alias("id"), *((F.col(d) - 40).alias(f"lo_{d}") for d in VEC_DIMS), *((F.col(d) + 40).alias(f"hi_{d}") for d in VEC_DIMS))
+    return ix, boxes_of(spark, ix, True), q
+
+
+def _vec(scheme: str):
+    def run(spark, sf_dir):
+        _, nodes, q = vec_boxes(spark, sf_dir)
+        leaves = nodes.where("is_leaf")
+        fam = lsh.Family.draw(VEC_DIMS, [2000] * 5, 4, 0.06)
+        found = lsh.overlap_combined(nodes, q, fam, 4) if scheme == "combined" else lsh.overlap(leaves, q, fam, 2 if scheme == "edges" else 4, scheme)
+        truth = lsh.verify(leaves.select(F.col("id").alias("box")).crossJoin(F.broadcast(q.select(F.col("id").alias("query")))), leaves, q, VEC_DIMS)  # as many rows as leaves, on one side
+        return measures.candidate_quality(found, truth).select((F.col("precision") == 1.0).alias("all_true"), (F.col("wanted") > 0).alias("some_wanted"))
+
+    return run
+
+
+for _s in ("plain", "reversed", "edges", "combined"):
+    query(f"w19_lsh_{_s}", "select true as all_true, true as some_wanted")(_vec(_s))
+
+
+@query("w19_lsh_recall")
+def _(spark, sf_dir):
+    _, nodes, q = vec_boxes(spark, sf_dir)
+    leaves = nodes.where("is_leaf")
+    truth = lsh.verify(leaves.select(F.col("id").alias("box")).crossJoin(F.broadcast(q.select(F.col("id").alias("query")))), leaves, q, VEC_DIMS).persist()
+    out = []
+    for r in (0.06, 0.12, 0.24):
+        fam = lsh.Family.draw(VEC_DIMS, [2000] * 5, 4, r)
+        out += [measures.candidate_quality(lsh.overlap(leaves, q, fam, 4, sc), truth).select(F.lit(sc).alias("scheme"), F.lit(r).alias("r"), "*") for sc in ("plain", "reversed", "probe")]
+        out.append(measures.candidate_quality(lsh.overlap_combined(nodes, q, fam, 4), truth).select(F.lit("combined").alias("scheme"), F.lit(r).alias("r"), "*"))
+    return union(out)
+
+
+_WIDTH, _LOG = Chart([Bins.width("chars", 1000, 0, 144000)]), Chart([Bins.log("chars", 2, 10, 144000)])
+query("w20_docs_width", _WIDTH.sql(DOCS.sql))(lambda s, d: indexed(s, d, "docs").chart(_WIDTH))
+query("w20_docs_log", _LOG.sql(DOCS.sql))(lambda s, d: core.flat(view(s, d, "docs"), ("chars",), DOCS.widths, {"chars": 1}).chart(_LOG))
+
+
+@query("w20_docs_depth", "select 10 as bins, true as balanced")
+def _(spark, sf_dir):
+    from apcube.operators.descriptors import depth_edges
+
+    fine = core.flat(view(spark, sf_dir, "docs"), ("chars",), DOCS.widths, {"chars": 10})
+    edges = depth_edges(fine, "chars", 10)
+    got = base.scan(view(spark, sf_dir, "docs"), Chart([Bins("chars", edges)]))
+    return got.agg(F.lit(len(edges) - 1).alias("bins"), (F.max("value") <= 1.3 * F.sum("value") / F.lit(10)).alias("balanced"))
