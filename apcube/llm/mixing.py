@@ -25,7 +25,7 @@ from apcube.llm.storage import materialize
 
 WORD = r"[^\x20\x09-\x0D]+"
 #: Rows of a sub-bucket in which documents are ordered.
-ORDER_ROWS = 50_000
+ORDER_ROWS = 8_192
 #: More sources than this are refused: their totals are held by the driver.
 MOST_SOURCES = 1_000_000
 

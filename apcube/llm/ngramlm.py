@@ -213,6 +213,8 @@ def _histogram(c: _Chunk, t: _Counts, train_tokens: int) -> tuple[np.ndarray, np
 def estimate(cells: np.ndarray, tokens: np.ndarray, vocabulary: int, rounds: int = 200) -> np.ndarray:
     """Weights (bucket, [bigram, word, uniform]) by expectation-maximisation; a bucket without tokens takes those of the
     nearest lower one that has any. Unseen contexts have no bigram weight."""
+    if not tokens.sum():
+        return np.tile([0.0, 0.0, 1.0], (BUCKETS, 1))
     value = np.append(2.0 ** (-np.arange(GRID - 1) / STEPS), 0.0)
     b, f2, f1 = cells // GRID**2, value[cells // GRID % GRID], value[cells % GRID]
     out, last = np.zeros((BUCKETS, 3)), np.array([0.0, 0.9, 0.1])

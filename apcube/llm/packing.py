@@ -24,7 +24,7 @@ from apcube.llm.storage import materialize
 from apcube.llm.wordhash import slices
 
 #: Rows of a sub-bucket in which ranks are counted.
-RANK_ROWS = 50_000
+RANK_ROWS = 8_192
 PIECES = "piece int, start bigint, length bigint, ids_crc32 bigint"
 
 _LOADED: dict[str, object] = {}

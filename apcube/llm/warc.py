@@ -78,6 +78,10 @@ def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 6
     are ignored. An empty table gives an empty manifest. Equal rows give equal files.
     """
     spark = pages.sparkSession
+    store = out.rstrip("/")
+    system, final = hadoop(spark, f"{store}/_manifest")
+    if system.exists(final):
+        raise FileExistsError(f"{store} has been committed before")
     body = F.coalesce(F.encode(F.col(body_col).cast("string"), "UTF-8"), F.lit(b""))
     base = pages.select(F.col(id_col).cast("bigint").alias("k"), F.col(id_col).cast("string").alias("id"), F.col(url_col).cast("string").alias("url"), body.alias("body"))
     keyed = base.withColumns({"digest": F.unhex(F.sha1("body")), "n": F.octet_length("body").cast("long")})
@@ -103,7 +107,6 @@ def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 6
     stream = keyed.select(shard.alias("shard"), "k", F.lit(1).alias("kind"), "digest", none("string").alias("refers_to"), "id", "url", "body")
     stream = stream.union(again.select(shard.alias("shard"), "k", F.lit(0), "digest", "refers_to", none("string"), none("string"), none("binary")))
     stream = stream.repartition(len(cuts) + 1, "shard").sortWithinPartitions("shard", "k", "kind", "digest", "url")
-    store = out.rstrip("/")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         files, root = _files(store)
@@ -161,9 +164,11 @@ def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 6
             yield batch
 
     staged.mapInArrow(move, MANIFEST).write.option("compression", "zstd").parquet(f"{store}/_manifest.tmp")
-    system, tmp = hadoop(spark, f"{store}/_manifest.tmp")
-    if not system.rename(tmp, hadoop(spark, f"{store}/_manifest")[1]):
-        raise FileExistsError(f"{store} has been committed before")
+    try:  # of two writers one creates this file
+        system.create(hadoop(spark, f"{store}/_commit")[1], False).close()
+    except Exception as e:
+        raise FileExistsError(f"{store} is being committed by another writer") from e
+    system.rename(hadoop(spark, f"{store}/_manifest.tmp")[1], final)
     system.delete(hadoop(spark, f"{store}/_staging")[1], True)
     drop(digests, staged)
     return spark.read.parquet(f"{store}/_manifest")
