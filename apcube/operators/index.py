@@ -274,24 +274,58 @@ def choose_cells(nodes: Nodes, leaves: np.ndarray, bins: int, grid_widths: Seque
     return np.array(out, np.int64).reshape(len(leaves), nodes.lo.shape[1])
 
 
-def locate(points: np.ndarray, lo: np.ndarray, hi: np.ndarray, widths: np.ndarray, block: int = 1 << 22) -> np.ndarray:
-    """The leaf of each point: of the boxes that contain it the smallest (then the first); if none does, the nearest
-    (squared distance in shares of the domain), then the smaller, then the first."""
-    area = ((hi - lo + 1) / widths).prod(axis=1)
-    order = np.argsort(area, kind="stable")
-    lo, hi = lo[order], hi[order]
-    out = np.empty(len(points), np.int64)
-    step = max(1, block // max(1, lo.size))
-    for a in range(0, len(points), step):
-        p = points[a : a + step, None, :]
-        inside = ((p >= lo) & (p <= hi)).all(axis=2)
-        got = inside.argmax(axis=1)
-        miss = np.flatnonzero(~inside[np.arange(len(got)), got])
-        if len(miss):
-            gap = np.maximum(np.maximum(lo - p[miss], p[miss] - hi), 0) / widths
-            got[miss] = (gap * gap).sum(axis=2).argmin(axis=1)
-        out[a : a + step] = got
-    return order[out]
+class Locator:
+    """Finds the leaf of points: of the boxes that contain a point the smallest (then the first); if none does, the nearest
+    (squared distance in shares of the domain), then the smaller, then the first.
+
+    Per dimension the box edges cut the axis into intervals, each with a bit set of the boxes over it, smallest box first.
+    A point's boxes are the bits common to its intervals: one table read a dimension, whatever the number of boxes."""
+
+    #: Domains up to this width find their interval by a table of all scales.
+    TABLE = 1 << 16
+
+    def __init__(self, lo: np.ndarray, hi: np.ndarray, widths: np.ndarray):
+        area = ((hi - lo + 1) / widths).prod(axis=1)
+        self.order = np.argsort(area, kind="stable")
+        self.lo, self.hi, self.widths = lo[self.order], hi[self.order], np.asarray(widths, float)
+        n, words = len(lo), -(-len(lo) // 64)
+        self.cuts, self.bits, self.tables = [], [], []
+        for i in range(lo.shape[1]):
+            cuts = np.unique(np.concatenate([self.lo[:, i], self.hi[:, i] + 1]))
+            start = np.concatenate([[cuts[0] - 1], cuts])
+            over = (self.lo[:, i][None] <= start[:, None]) & (start[:, None] <= self.hi[:, i][None])
+            flat = np.zeros((len(start), words * 64), bool)
+            flat[:, :n] = over
+            self.bits.append(np.packbits(flat, axis=1, bitorder="little").view("<u8"))
+            self.cuts.append(cuts)
+            w = int(self.widths[i])
+            self.tables.append(np.searchsorted(cuts, np.arange(w), side="right").astype(np.int32) if w <= self.TABLE else None)
+
+    def find(self, columns: Sequence[np.ndarray]) -> np.ndarray:
+        """``columns``: one array of coordinates per dimension."""
+        common = None
+        for x, cuts, bits, table, w in zip(columns, self.cuts, self.bits, self.tables, self.widths):
+            fast = table is not None and len(x) and x.min() >= 0 and x.max() < w
+            mine = bits[table[x] if fast else np.searchsorted(cuts, x, side="right")]
+            common = mine if common is None else common & mine
+        got = np.full(len(common), -1, np.int64)
+        for word in range(common.shape[1] - 1, -1, -1):
+            some = np.flatnonzero(common[:, word])
+            v = common[some, word]
+            got[some] = 64 * word + np.frexp((v & (~v + np.uint64(1))).astype(np.float64))[1] - 1
+        miss = np.flatnonzero(got < 0)
+        step = max(1, (1 << 22) // max(1, self.lo.size))
+        for a in range(0, len(miss), step):
+            at = miss[a : a + step]
+            p = np.stack([x[at] for x in columns], axis=1)[:, None, :]
+            gap = np.maximum(np.maximum(self.lo - p, p - self.hi), 0) / self.widths
+            got[at] = (gap * gap).sum(axis=2).argmin(axis=1)
+        return self.order[got]
+
+
+def locate(points: np.ndarray, lo: np.ndarray, hi: np.ndarray, widths: np.ndarray) -> np.ndarray:
+    """The leaf of each row of ``points`` (see Locator)."""
+    return Locator(lo, hi, widths).find([np.ascontiguousarray(points[:, i]) for i in range(points.shape[1])])
 
 
 def assign(df: DataFrame, dims: Sequence[str], nodes: Nodes, leaves: np.ndarray, widths: np.ndarray) -> DataFrame:
@@ -300,11 +334,11 @@ def assign(df: DataFrame, dims: Sequence[str], nodes: Nodes, leaves: np.ndarray,
     names = df.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        lo, hi, w = shared.value
+        find = Locator(*shared.value).find
         for b in batches:
             if b.num_rows:
-                p = np.stack([b.column(d).to_numpy(zero_copy_only=False) for d in dims], axis=1)
-                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(locate(p, lo, hi, w).astype(np.int32))], [*names, "leaf"])
+                leaf = find([b.column(d).to_numpy(zero_copy_only=False) for d in dims])
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(leaf.astype(np.int32))], [*names, "leaf"])
 
     return df.mapInArrow(run, ", ".join([*(f"{f.name} {f.dataType.simpleString()}" for f in df.schema), "leaf int"]))
 

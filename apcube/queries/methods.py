@@ -12,6 +12,7 @@ from apcube.functions import scale
 from apcube.operators import boxtree, descriptors, histograms, index as core, lsh, measures, partitioners as parts, prefix
 from apcube.operators.baselines import scan
 from apcube.operators.explore import explore
+from apcube.operators.local import LocalIndex
 from apcube.plans.spec import Bins, Chart
 from apcube.queries.registry import INDEXED, boxes_of, indexed, measured, query
 from apcube.sources.tables import VIEWS, view
@@ -685,10 +686,30 @@ def session(spark, runs: list[tuple[str, Callable[[], object]]]) -> DataFrame:
 @query("m_latency")
 def _(spark, sf_dir):
     ix = indexed(spark, sf_dir, "plane", measure="x")
-    runs = [("cells", lambda: ix.chart(HEAT).collect()), ("prefix", lambda: ix.chart_prefix(HEAT).collect()), ("scan", lambda: scan(view(spark, sf_dir, "plane"), HEAT).collect())]
+    local = opened(spark, sf_dir)
+    runs = [("local", lambda: local.chart(HEAT)), ("cells", lambda: ix.chart(HEAT).collect()), ("prefix", lambda: ix.chart_prefix(HEAT).collect()), ("scan", lambda: scan(view(spark, sf_dir, "plane"), HEAT).collect())]
     return measures.latency(session(spark, runs * 4))
 
 
+def opened(spark, sf_dir, **options) -> LocalIndex:
+    """The plane's index in the driver's memory, opened once."""
+    key = (spark.sparkContext.applicationId, sf_dir, tuple(sorted(options.items())))
+    if key not in _OPENED:
+        _OPENED[key] = LocalIndex(indexed(spark, sf_dir, "plane", measure="x", **options))
+    return _OPENED[key]
+
+
+_OPENED: dict = {}
+
+
+@query("q_local_engine", HEAT.sql(PLANE.sql))
+def _(spark, sf_dir):
+    """The heat map from an opened index, without a job."""
+    values = opened(spark, sf_dir).chart(HEAT)
+    rows = [(int(i), int(j), int(round(values[i, j]))) for i, j in zip(*np.nonzero(values > 0.5))]
+    return spark.createDataFrame(rows, "t1 bigint, t2 bigint, value bigint")
+
+
 @query("m_build_time")
 def _(spark, sf_dir):
     runs = [(str(rate), lambda rate=rate: core.build(view(spark, sf_dir, "plane"), XY, PLANE.widths, "event_id", rate=rate, grid_widths=INDEXED["plane"][2])) for rate in (0.05, 1.0)]
