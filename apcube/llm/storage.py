@@ -13,19 +13,19 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 _OPEN: dict[str, SparkSession] = {}
+_CHOSEN: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
     """The folder named in ``spark.checkpoint.dir``; where it is unset, one is chosen: a temporary folder in local
     mode (tests), a folder of the warehouse on a cluster."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
+    base, app = spark.conf.get("spark.checkpoint.dir", None), spark.sparkContext.applicationId
     if not base:
-        if spark.sparkContext.master.startswith("local"):
-            base = "file://" + tempfile.mkdtemp(prefix="apcube-")
-        else:
-            base = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_apcube"
-        spark.conf.set("spark.checkpoint.dir", base)
-    return f"{base.rstrip('/')}/apcube-{spark.sparkContext.applicationId}"
+        if app not in _CHOSEN:
+            alone = spark.sparkContext.master.startswith("local") and "cluster" not in spark.sparkContext.master
+            _CHOSEN[app] = "file://" + tempfile.mkdtemp(prefix="apcube-") if alone else spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_apcube"
+        base = _CHOSEN[app]
+    return f"{base.rstrip('/')}/apcube-{app}"
 
 
 def new_path(spark: SparkSession, name: str) -> str:
