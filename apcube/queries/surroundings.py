@@ -27,7 +27,7 @@ def scratch(spark: SparkSession, name: str) -> str:
     mode, else in the warehouse."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
-        base = tempfile.gettempdir() if spark.sparkContext.master.startswith("local") else spark.conf.get("spark.sql.warehouse.dir")
+        base = tempfile.gettempdir() if spark.sparkContext.master.startswith("local[") else spark.conf.get("spark.sql.warehouse.dir")
     return f"{base.rstrip('/')}/apcube-scratch/{name}-{uuid.uuid4().hex[:10]}"
 
 
