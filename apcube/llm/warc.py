@@ -106,7 +106,7 @@ def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 6
     none = lambda kind: F.lit(None).cast(kind)
     stream = keyed.select(shard.alias("shard"), "k", F.lit(1).alias("kind"), "digest", none("string").alias("refers_to"), "id", "url", "body")
     stream = stream.union(again.select(shard.alias("shard"), "k", F.lit(0), "digest", "refers_to", none("string"), none("string"), none("binary")))
-    stream = stream.repartition(len(cuts) + 1, "shard").sortWithinPartitions("shard", "k", "kind", "digest", "url")
+    stream = stream.repartitionById(len(cuts) + 1, F.col("shard")).sortWithinPartitions("shard", "k", "kind", "digest", "url")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         files, root = _files(store)
