@@ -50,7 +50,7 @@ def stratified(df: DataFrame, stratum: str, key: str, quota: int) -> DataFrame:
     never reach the window."""
     h = F.pmod(F.col(key) * F.lit(2654435761), F.lit(1 << 20))
     sizes = df.groupBy(stratum).agg(F.count("*").alias("__n"))
-    bounded = df.join(F.broadcast(sizes), stratum).where(h < F.greatest(F.lit(4096.0), F.lit(8.0 * quota * (1 << 20)) / F.col("__n")))  # one row a stratum
+    bounded = df.join(sizes, stratum).where(h < F.greatest(F.lit(4096.0), F.lit(8.0 * quota * (1 << 20)) / F.col("__n")))
     w = Window.partitionBy(stratum).orderBy(h, key)
     return bounded.withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= quota).drop("__r", "__n")
 

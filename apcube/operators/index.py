@@ -349,11 +349,16 @@ def merge_cells(cells: DataFrame, dims: Sequence[str]) -> DataFrame:
 
 
 def to_cells(points: DataFrame, dims: Sequence[str], cells_per: np.ndarray) -> DataFrame:
-    """points with leaf and m (measure, a whole number or null) -> cells."""
+    """points with leaf and m (measure, a whole number or null) -> cells. Without a measure column only counts are kept."""
     table = points.sparkSession.createDataFrame([(i, *(int(x) for x in row)) for i, row in enumerate(cells_per)], ", ".join(["leaf int", *(f"c_{d} bigint" for d in dims)]))
     df = points.join(F.broadcast(table), "leaf")  # one row per leaf
-    keys = ["leaf", *(F.floor(F.col(d) / F.col(f"c_{d}")).cast("long").alias(f"q_{d}") for d in dims), *(f"c_{d}" for d in dims)]
+    # (s - pmod(s, c)) / c is the whole quotient of coordinates of either sign, without a detour over doubles
+    keys = ["leaf", *(F.expr(f"({d} - pmod({d}, c_{d})) div c_{d}").alias(f"q_{d}") for d in dims), *(f"c_{d}" for d in dims)]
     m = F.col("m")
+    none = [F.lit(0).cast("bigint").alias("s"), F.lit(0).cast("decimal(38,0)").alias("s2"), F.lit(None).cast("bigint").alias("mn"), F.lit(None).cast("bigint").alias("mx")]
+    if "m" not in points.columns:
+        counted = df.groupBy(*keys).agg(F.count("*").alias("n"))
+        return counted.select("*", *none)
     return df.groupBy(*keys).agg(F.count("*").alias("n"), F.coalesce(F.sum("m"), F.lit(0)).alias("s"), F.coalesce(F.sum(m.cast("decimal(20,0)") * m), F.lit(0)).cast("decimal(38,0)").alias("s2"), F.min("m").alias("mn"), F.max("m").alias("mx"))
 
 
@@ -383,16 +388,14 @@ def build(
     w = np.array([widths[d] for d in dims], float)
     points = df.select(*dims, (F.col(measure) if measure else F.lit(None)).cast("bigint").alias("m"), (F.col(key) if isinstance(key, str) else key).alias("__key")).dropna(subset=dims)
     if nodes is None:
-        if rate >= 1:
-            n = points.count()
-            rate = min(1.0, MOST_SAMPLE / max(n, 1))
+        rate = min(rate, MOST_SAMPLE / max(df.count(), 1))
         sample = points if rate >= 1 else points.where(sampled(F.col("__key"), rate))
         x = np.array([[*r] for r in sample.select(*dims).toPandas().itertuples(index=False)], np.int64).reshape(-1, len(dims))
         nodes = boxtree.build(x, w, target_leaves=leaves, criterion=criterion, reinsert=reinsert, target_height=target_height) if len(x) else Nodes.of_boxes(np.zeros((1, len(dims))), np.array([w - 1]), np.zeros(1, int))
     at = nodes.leaves
     grid = None if grid_widths is None else [grid_widths.get(d, int(widths[d])) for d in dims]
     per = choose_cells(nodes, at, bins, grid, budget)
-    cells = to_cells(assign(points.select(*dims, "m"), dims, nodes, at, w), dims, per).persist()
+    cells = to_cells(assign(points.select(*dims, *(["m"] if measure else [])), dims, nodes, at, w), dims, per).persist()
     grown = cells.groupBy("leaf").agg(*(f(F.col(f"q_{d}") * F.col(f"c_{d}") + k).alias(f"{a}_{d}") for d in dims for f, a, k in ((F.min, "lo", 0), (F.max, "hi", F.col(f"c_{d}") - 1)))).collect()
     for r in grown:  # one row per leaf: boxes take in what the nearest rule gave them
         for i, d in enumerate(dims):

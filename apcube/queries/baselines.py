@@ -16,6 +16,12 @@ for _agg in ("count", "sum", "mean", "min", "max"):
     query(f"b_scan_{_agg}", on(HEAT, _agg).sql(PLANE_X))(lambda s, d, a=_agg: base.scan(view(s, d, "plane"), on(HEAT, a), "x"))
 
 
+_PUSHED = Chart([Bins.width("qty", 10, 0, 60)], {"disc": (2, 6), "price": (20000, 60000)}, "sum")
+query("b_scan_pushed", _PUSHED.sql(f"select *, ext as m from ({VIEWS['splom'].sql})"))(lambda s, d: base.scan(view(s, d, "splom", _PUSHED.where), _PUSHED, "ext"))
+_PUSHED_HAIL = Chart([Bins.width("month", 1, 0, 12)], {"price": (50000, 200000), "cust": (1, 500)})
+query("b_scan_pushed_orders", _PUSHED_HAIL.sql(VIEWS["hail"].sql))(lambda s, d: base.scan(view(s, d, "hail", _PUSHED_HAIL.where), _PUSHED_HAIL))
+
+
 def _tree(spark, sf_dir):
     return base.tree_cube(view(spark, sf_dir, "checkin"), XY, 16, 8, "event_type", "hr", 6)
 

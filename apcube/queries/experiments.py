@@ -253,7 +253,7 @@ def _sampler(kind: str):
         dims = ("price", "disc", "year", "month")
         df = view(spark, sf_dir, "delay")
         key = F.col("l_orderkey") * 8 + F.col("l_linenumber")
-        part = df.where(sampled(key, 0.05)) if kind == "uniform" else stratified(df.withColumn("ym", F.col("year") * 12 + F.col("month")).withColumn("k", key), "ym", "k", 40)
+        part = df.where(sampled(key, min(0.05, core.MOST_SAMPLE / max(df.count(), 1)))) if kind == "uniform" else stratified(df.withColumn("ym", F.col("year") * 12 + F.col("month")).withColumn("k", key), "ym", "k", 40)
         pts = part.select(*dims).toPandas().to_numpy()
         nodes = boxtree.build(pts, [float(DELAY.widths[d]) for d in dims], target_leaves=48)
         ix = core.build(df, dims, DELAY.widths, key, measure="qty", grid_widths={d: INDEXED["delay"][2][d] for d in dims}, nodes=nodes)

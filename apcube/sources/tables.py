@@ -24,6 +24,23 @@ def cents(c: str):
     return F.round(F.col(c) * 100).cast("long")
 
 
+#: Raw columns behind dimensions: a coordinate in [lo, hi) lies in [(lo - slack) / scale, (hi + slack) / scale] of the column.
+RAW = {
+    "splom": {"qty": ("l_quantity", 1.0, 0.5), "price": ("l_extendedprice", 1.0, 0.01), "disc": ("l_discount", 100.0, 0.51), "tax": ("l_tax", 100.0, 0.51)},
+    "hail": {"price": ("o_totalprice", 1.0, 0.01), "cust": ("o_custkey", 1.0, 0.0)},
+}
+
+
+def narrowed(df: DataFrame, name: str, where: dict[str, tuple[int, int]] | None) -> DataFrame:
+    """``df`` under predicates on raw columns that a view's ranges imply: unlike those on scaled coordinates they reach the
+    Parquet reader. They only leave out what the ranges leave out, so both are applied."""
+    for dim, (lo, hi) in (where or {}).items():
+        if dim in RAW.get(name, {}):
+            column, scale, slack = RAW[name][dim]
+            df = df.where((F.col(column) >= (lo - slack) / scale) & (F.col(column) <= (hi + slack) / scale))
+    return df
+
+
 def days(c: str, origin: str):
     return F.datediff(F.col(c), F.lit(origin).cast("date")).cast("long")
 
@@ -32,7 +49,7 @@ def days(c: str, origin: str):
 class View:
     """``widths``: scales of each dimension's domain [0, width); ``id``: columns that order rows."""
 
-    make: Callable[[SparkSession, str], DataFrame]
+    make: Callable[..., DataFrame]
     sql: str
     widths: dict[str, int]
     key: tuple[str, ...]
@@ -50,8 +67,8 @@ PLANE = """select event_id, event_type, user_id, x, y, isodow(ts) - 1 as wd, hou
   from (select *, round(value * 100)::bigint as x, lead(round(value * 100)::bigint) over (partition by user_id order by ts, event_id) as y from events) where y is not null"""
 
 
-def _splom(spark: SparkSession, sf_dir: str) -> DataFrame:
-    li = load(spark, sf_dir, "lineitem")
+def _splom(spark: SparkSession, sf_dir: str, where: dict | None = None) -> DataFrame:
+    li = narrowed(load(spark, sf_dir, "lineitem"), "splom", where)
     return li.select("l_orderkey", "l_linenumber", "l_partkey", "l_returnflag", "l_linestatus", F.round("l_quantity").cast("long").alias("qty"), F.expr("cast(round(l_extendedprice * 100) as bigint) div 100").alias("price"), cents("l_discount").alias("disc"), cents("l_tax").alias("tax"), days("l_shipdate", "1995-01-01").alias("day"), cents("l_extendedprice").alias("ext"))
 
 
@@ -70,8 +87,8 @@ DELAY = """select l_orderkey, l_linenumber, l_partkey, o_orderpriority, round(l_
   from lineitem join orders on l_orderkey = o_orderkey"""
 
 
-def _hail(spark: SparkSession, sf_dir: str) -> DataFrame:
-    o = load(spark, sf_dir, "orders")
+def _hail(spark: SparkSession, sf_dir: str, where: dict | None = None) -> DataFrame:
+    o = narrowed(load(spark, sf_dir, "orders"), "hail", where)
     return o.select("o_orderkey", "o_orderstatus", "o_orderpriority", F.expr("cast(round(o_totalprice * 100) as bigint) div 100").alias("price"), F.col("o_custkey").alias("cust"), (F.month("o_orderdate") - 1).cast("long").alias("month"), (F.dayofmonth("o_orderdate") - 1).cast("long").alias("dom"), days("o_orderdate", "1995-01-01").alias("day"), cents("o_totalprice").alias("total"))
 
 
@@ -118,5 +135,6 @@ VIEWS: dict[str, View] = {
 }
 
 
-def view(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return VIEWS[name].make(spark, sf_dir)
+def view(spark: SparkSession, sf_dir: str, name: str, where: dict[str, tuple[int, int]] | None = None) -> DataFrame:
+    """The view's rows; with ``where`` its scan skips what those ranges exclude, where raw columns allow (``RAW``)."""
+    return VIEWS[name].make(spark, sf_dir, where) if where and name in RAW else VIEWS[name].make(spark, sf_dir)
