@@ -138,3 +138,21 @@ def test_pipeline_handles_awkward_documents(spark, sf):
         for _name, stage in corpus_pipeline.STAGES:
             frame = stage(spark, frame, sf).cache()
             frame.count()
+
+
+def test_image_copies_of_every_kind(spark):
+    """Recall by kind of edit; an image's corners aren't capped, and queries meet images between the images' scales."""
+    g = np.random.default_rng(0)
+    weight = g.normal(size=(40, thumbnails.PATTERNS))
+    weight /= np.sqrt((weight**2).sum(axis=1))[:, None]
+    pictures = np.clip(128 + 45 * weight @ thumbnails._patterns(), 0, 255).reshape(-1, thumbnails.SIDE, thumbnails.SIDE)
+    sized = lambda p, n: imagematch.resize(p[None].astype(np.float32), n, n)[0]
+    kinds = {"crop": lambda p, i: thumbnails.edit(p, "crop", i), "deep crop": lambda p, i: p[i % 20 : i % 20 + 44, 7:51], "0.6": lambda p, i: sized(p, 38), "0.85": lambda p, i: sized(p, 54)}
+    kind = "id bigint, pixels binary, height int, width int"
+    row = lambda i, p: (i, bytearray(np.round(p).astype(np.uint8).tobytes()), *p.shape)
+    images = spark.createDataFrame([row(i, p) for i, p in enumerate(pictures)], kind)
+    asked = spark.createDataFrame([row(1000 * k + i, f(p, i)) for k, f in enumerate(kinds.values()) for i, p in enumerate(pictures)], kind)
+    got = [(r["query_id"], r["image_id"]) for r in imagematch.search(images, asked).collect()]
+    assert all(q % 1000 == i for q, i in got)
+    for k, name in enumerate(kinds):
+        assert sum(q // 1000 == k for q, _ in got) >= 0.9 * len(pictures), name
