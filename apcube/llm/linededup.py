@@ -46,12 +46,13 @@ def spread_lines(docs: DataFrame, min_sites: int, id_col: str, text_col: str, si
     return lines, materialize(shared, "shared")
 
 
-def remove_boilerplate(docs: DataFrame, min_sites: int = 8, most_share: float = 0.5, id_col: str = "doc_id", text_col: str = "text", site_col: str = "source") -> DataFrame:
+def remove_boilerplate(docs: DataFrame, min_sites: int = 8, most_share: float | None = None, id_col: str = "doc_id", text_col: str = "text", site_col: str = "source") -> DataFrame:
     """``docs`` with the cleaned text in ``text_col`` and two more columns, n_lines and n_removed (long).
 
     A line counts as boilerplate when it stands, outer blanks apart, on at least ``min_sites`` distinct sites; every
-    occurrence goes. A document of which more than ``most_share`` of the characters would go is a copy rather than a
-    page with boilerplate: it stays as it is, for document de-duplication. Blank lines stay. Null texts stay null
+    occurrence goes, whatever its share of the document. Only a document in which every line that isn't blank is
+    boilerplate is a copy rather than a page with boilerplate: it stays as it is, for document de-duplication. With
+    ``most_share`` it is instead every document of which more than that share of the characters would go. Blank lines stay. Null texts stay null
     (0 lines), an empty text has one blank line. A null site is no site: its lines count for none but can be removed.
     Rows without id are not changed; rows of one id share what is removed. Column names other than the three are free,
     but for n_lines and n_removed, which are replaced.
@@ -63,9 +64,12 @@ def remove_boilerplate(docs: DataFrame, min_sites: int = 8, most_share: float =
     of_doc = _lines(F.col(text_col).cast("string"))
     kept = F.filter(of_doc, lambda x: ~F.coalesce(F.array_contains("__gone", _hash(x)), F.lit(False)))
     base = base.withColumn("__kept", F.when(F.col("__gone").isNotNull(), kept))
-    after = F.aggregate("__kept", F.lit(0).cast("bigint"), lambda s, x: s + F.length(x))
-    before = F.aggregate(of_doc, F.lit(0).cast("bigint"), lambda s, x: s + F.length(x))
-    base = base.withColumn("__kept", F.when(before - after <= F.lit(most_share) * before, F.col("__kept")))
+    page = F.exists("__kept", lambda x: F.trim(x) != "")
+    if most_share is not None:
+        after = F.aggregate("__kept", F.lit(0).cast("bigint"), lambda s, x: s + F.length(x))
+        before = F.aggregate(of_doc, F.lit(0).cast("bigint"), lambda s, x: s + F.length(x))
+        page = before - after <= F.lit(most_share) * before
+    base = base.withColumn("__kept", F.when(page, F.col("__kept")))
     n = F.when(F.col(text_col).isNull(), 0).otherwise(F.size(of_doc)).cast("long")
     return base.select(
         *(F.when(F.col("__kept").isNull(), F.col(c).cast("string")).otherwise(F.array_join("__kept", "\n")).alias(c) if c == text_col else F.col(c) for c in rest),

@@ -232,6 +232,13 @@ def test_line_spread(spark):
     assert set(few.values()) == {0}
 
 
+def test_line_spread_cleans_pages_that_are_mostly_boilerplate(spark):
+    line = "a shared line that is far longer than what else the page holds"
+    rows = [(i, f"own {i}\n{line}\n\n{line}", "en", f"s{i}") for i in range(8)] + [(20, f"{line}\n \n{line}", "en", "s1")]
+    got = {r["doc_id"]: (r["text"], r["n_lines"], r["n_removed"]) for r in linededup.remove_boilerplate(docs_of(spark, rows), min_sites=8).collect()}
+    assert got == {**{i: (f"own {i}\n", 4, 2) for i in range(8)}, 20: (rows[-1][1], 3, 0)}
+
+
 def lm_tokens(text):
     return re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or "")) + [None]
 
