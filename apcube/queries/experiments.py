@@ -317,43 +317,42 @@ query("w17_multi_filter", _MULTI.sql(measured("delay", "qty")))(lambda s, d: ind
 for _scope in ("local", "global"):
     query(f"w18_hist_{_scope}", f"select month::bigint as t1, count(*) as n, true as close from ({HAIL.sql}) group by all")(lambda s, d, sc=_scope: m._close(s, d, histograms.quantile(histograms.masses(m._hist_index(s, d, sc), m.MONTHS, 32), 0.5, "t1"), 0.5, 3_000_000))
 
-VEC_DIMS = tuple(f"e{i}" for i in range(5))
+VEC_DIMS, VEC_DIMS_16 = (tuple(f"e{i}" for i in range(k)) for k in (5, 16))
 
 
-def vec_boxes(spark, sf_dir):
-    """Leaf boxes over five components, and query boxes around every 50th vector."""
-    ix = indexed(spark, sf_dir, "vec", leaves=32)
-    q = view(spark, sf_dir, "vec").where("vec_id % 50 = 0").select(F.col("vec_id").cast("int").alias("id"), *((F.col(d) - 40).alias(f"lo_{d}") for d in VEC_DIMS), *((F.col(d) + 40).alias(f"hi_{d}") for d in VEC_DIMS))
+def vec_boxes(spark, sf_dir, dims=VEC_DIMS):
+    """Leaf boxes over the components, and query boxes around every vector whose id is divisible by 20."""
+    ix = indexed(spark, sf_dir, "vec", leaves=32) if dims == VEC_DIMS else indexed(spark, sf_dir, "vec", dims=dims, aligned=False, bins=2, leaves=32)
+    q = view(spark, sf_dir, "vec").where("vec_id % 20 = 0").select(F.col("vec_id").cast("int").alias("id"), *((F.col(d) - 40).alias(f"lo_{d}") for d in dims), *((F.col(d) + 40).alias(f"hi_{d}") for d in dims))
     return ix, boxes_of(spark, ix, True), q
 
 
-def _vec(scheme: str):
-    def run(spark, sf_dir):
-        _, nodes, q = vec_boxes(spark, sf_dir)
-        leaves = nodes.where("is_leaf")
-        fam = lsh.Family.draw(VEC_DIMS, [2000] * 5, 4, 0.06)
-        found = lsh.overlap_combined(nodes, q, fam, 4) if scheme == "combined" else lsh.overlap(leaves, q, fam, 2 if scheme == "edges" else 4, scheme)
-        truth = lsh.verify(leaves.select(F.col("id").alias("box")).crossJoin(F.broadcast(q.select(F.col("id").alias("query")))), leaves, q, VEC_DIMS)  # as many rows as leaves, on one side
-        return measures.candidate_quality(found, truth).select((F.col("precision") == 1.0).alias("all_true"), (F.col("wanted") > 0).alias("some_wanted"))
-
-    return run
+def vec_quality(spark, sf_dir, schemes, rs=(0.06,), dims=VEC_DIMS) -> DataFrame:
+    """components, scheme, r and the quality of each search against exact tests of all pairs."""
+    _, nodes, q = vec_boxes(spark, sf_dir, dims)
+    leaves = nodes.where("is_leaf")
+    truth = lsh.verify(leaves.select(F.col("id").alias("box")).crossJoin(F.broadcast(q.select(F.col("id").alias("query")))), leaves, q, dims).persist()  # as many rows as leaves, on one side
+    out = []
+    for r in rs:
+        fam = lsh.Family.draw(dims, [2000] * len(dims), 4, r)
+        for sc in schemes:
+            found = lsh.overlap_combined(nodes, q, fam, 4) if sc == "combined" else lsh.overlap(leaves, q, fam, 2 if sc == "edges" else 4, sc)
+            out.append(measures.candidate_quality(found, truth).select(F.lit(len(dims)).alias("components"), F.lit(sc).alias("scheme"), F.lit(r).alias("r"), "*"))
+    return union(out)
 
 
 for _s in ("plain", "reversed", "edges", "combined"):
-    query(f"w19_lsh_{_s}", "select true as all_true, true as some_wanted")(_vec(_s))
+    query(f"w19_lsh_{_s}", "select true as all_true, true as some_wanted")(lambda s, d, sc=_s: vec_quality(s, d, (sc,)).select((F.col("precision") == 1.0).alias("all_true"), (F.col("wanted") > 0).alias("some_wanted")))
+# the edges of a box of 16 components are 16 * 2 ** 15, too many to put points on
+for _s in ("plain", "reversed", "combined"):
+    query(f"w19_lsh_{_s}_16")(lambda s, d, sc=_s: vec_quality(s, d, (sc,), dims=VEC_DIMS_16))
 
 
 @query("w19_lsh_recall")
 def _(spark, sf_dir):
-    _, nodes, q = vec_boxes(spark, sf_dir)
-    leaves = nodes.where("is_leaf")
-    truth = lsh.verify(leaves.select(F.col("id").alias("box")).crossJoin(F.broadcast(q.select(F.col("id").alias("query")))), leaves, q, VEC_DIMS).persist()
-    out = []
-    for r in (0.06, 0.12, 0.24):
-        fam = lsh.Family.draw(VEC_DIMS, [2000] * 5, 4, r)
-        out += [measures.candidate_quality(lsh.overlap(leaves, q, fam, 4, sc), truth).select(F.lit(sc).alias("scheme"), F.lit(r).alias("r"), "*") for sc in ("plain", "reversed", "probe")]
-        out.append(measures.candidate_quality(lsh.overlap_combined(nodes, q, fam, 4), truth).select(F.lit("combined").alias("scheme"), F.lit(r).alias("r"), "*"))
-    return union(out)
+    rs = (0.06, 0.12, 0.24)
+    few = vec_quality(spark, sf_dir, ("plain", "reversed", "probe", "edges", "combined"), rs)
+    return few.unionByName(vec_quality(spark, sf_dir, ("plain", "reversed", "probe", "combined"), rs, VEC_DIMS_16))
 
 
 _WIDTH, _LOG = Chart([Bins.width("chars", 1000, 0, 144000)]), Chart([Bins.log("chars", 2, 10, 144000)])
