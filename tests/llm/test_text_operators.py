@@ -192,7 +192,6 @@ def test_pack(spark):
 
     path = public_tokenizers.path("byte_bpe_50k.json")
     tk = Tokenizer.from_file(path)
-    tk.encode_special_tokens = True
     rows = [(i, "the quick brown " * (i % 50) + "é<|endoftext|>x  \n") for i in range(40)] + [(90, None), (91, ""), (92, "a" * 30000 + " b" * 3000), (None, "z"), (93, "same"), (93, "same")]
     got = packing.pack(docs_of(spark, rows), path, capacity=64).collect()
     by = {}
@@ -218,6 +217,35 @@ def test_pack(spark):
     assert len(by[93]) == 2 and packing.pack(docs_of(spark, []), path).count() == 0
 
 
+@pytest.mark.parametrize("text", [" " * 1_000_000, "\n" * 1_000_000, "a" * 1_000_000, "\t \u00a0" * 400_000, "hi <|endoftext|> there", "x" + " " * 63 + "y" + "\r\n" * 31 + "z", "if x:\n" + " " * 70 + "pass"])
+def test_encoder_of_long_and_odd_texts(text):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    assert packing.encoder(path)(text) == Tokenizer.from_file(path).encode(text, add_special_tokens=False).ids
+
+
+def test_fast_encoder_equals_the_library():
+    """On every code point between letters, digits, signs and blanks (each 7th: the whole takes 40 s), on every entry that
+    is text, and on random joints of entries."""
+    import json
+    import random
+
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    tk, rnd = Tokenizer.from_file(path), random.Random(4)
+    fast = packing._ranked(path, json.load(open(path)))
+    assert packing._ranked(public_tokenizers.path("word_bpe_49k.json"), json.load(open(public_tokenizers.path("word_bpe_49k.json")))) is None
+    entries = [b for b in fast.token_byte_values()]
+    texts = [f"a{c}a 1{c}1 !{c}! {c} x  {c}{c}\n{c}" for c in map(chr, range(0, 0x110000, 7)) if not "\ud800" <= c <= "\udfff"]
+    texts += [b.decode("utf-8", "ignore") for b in entries] + [b"".join(rnd.choices(entries, k=5)).decode("utf-8", "ignore") for _ in range(50_000)]
+    texts = [x for x in texts if "<|endoftext|>" not in x]
+    assert all(a.ids == b for a, b in zip(tk.encode_batch(texts, add_special_tokens=False), map(fast.encode_ordinary, texts)))
+
+
 def test_line_spread(spark):
     rows = [(i, f"own {i}\n  shared line \nend {i}\n\nlocal {i % 3}", "en", f"s{i % 12}") for i in range(36)]
     rows += [(100, "shared line", "en", "s1"), (101, None, "en", "s2"), (102, "", "en", "s3"), (103, "shared line\nlong own text that is more than the shared one", "en", None), (None, "shared line\n" + "x" * 99, "en", "s1")]
