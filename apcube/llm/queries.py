@@ -73,8 +73,7 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_line_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
-    # OP9_SQL states this share; the pipeline removes shared lines in every document
-    cleaned = linededup.remove_boilerplate(_read(spark, sf_dir, "documents"), most_share=0.5)
+    cleaned = linededup.remove_boilerplate(_read(spark, sf_dir, "documents"))
     return cleaned.select("doc_id", "n_lines", "n_removed", F.md5(F.col("text")).alias("text_md5"))
 
 
@@ -82,10 +81,10 @@ OP9_SQL = """
 with l as (select doc_id, source, unnest(string_split(text, chr(10))) as line, generate_subscripts(string_split(text, chr(10)), 1) as i from documents),
 s as (select trim(line, ' ') as key from l where trim(line, ' ') <> '' group by 1 having count(distinct source) >= 8),
 m as (select l.*, s.key is not null as gone from l left join s on trim(l.line, ' ') = s.key),
-d as (select doc_id, count(*) as n, count(*) filter (gone) as g, coalesce(sum(length(line)) filter (gone), 0) as cut, sum(length(line)) as total,
+d as (select doc_id, count(*) as n, count(*) filter (gone) as g, bool_or(not gone and trim(line, ' ') <> '') as page,
   coalesce(string_agg(line, chr(10) order by i) filter (not gone), '') as kept from m group by doc_id)
-select doc_id, coalesce(n, 0)::bigint as n_lines, case when g > 0 and cut <= 0.5 * total then g else 0 end::bigint as n_removed,
-  md5(case when g > 0 and cut <= 0.5 * total then kept else text end) as text_md5
+select doc_id, coalesce(n, 0)::bigint as n_lines, case when g > 0 and page then g else 0 end::bigint as n_removed,
+  md5(case when g > 0 and page then kept else text end) as text_md5
 from documents left join d using (doc_id)
 """
 

@@ -253,8 +253,12 @@ def test_line_spread(spark):
     assert got[5]["text"] == "own 5\nend 5\n\nlocal 2" and (got[5]["n_lines"], got[5]["n_removed"]) == (5, 1)
     assert got[100]["text"] == "shared line" and got[100]["n_removed"] == 0  # a copy rather than a page with boilerplate
     assert got[101]["text"] is None and got[101]["n_lines"] == 0 and got[102]["n_lines"] == 1
-    assert got[103]["n_removed"] == 1 and got[None]["n_removed"] == 0
+    assert got[103]["n_removed"] == 1 and (got[None]["n_removed"], got[None]["text"]) == (1, "x" * 99)
     assert got[5]["key"] == "k" and got[5]["n"] == 7
+    odd = docs_of(spark, rows).selectExpr("*", "1 as gone", "'a' as kept", "2 as line", "3 as row", "'z' as doc_hash", "4 as k1", "5 as place", "6 as n_lines")
+    clash = linededup.remove_boilerplate(odd, min_sites=8)
+    assert clash.columns == [*(c for c in odd.columns if c != "n_lines"), "n_lines", "n_removed"]
+    assert {r["doc_id"]: (r["text"], r["n_removed"], r["kept"], r["row"]) for r in clash.collect()} == {i: (r["text"], r["n_removed"], "a", 3) for i, r in got.items()}
     assert linededup.remove_boilerplate(docs_of(spark, [])).count() == 0
     few = {r["doc_id"]: r["n_removed"] for r in linededup.remove_boilerplate(docs_of(spark, rows), min_sites=13).collect()}
     assert set(few.values()) == {0}
@@ -267,6 +271,13 @@ def test_line_spread_cleans_pages_that_are_mostly_boilerplate(spark):
     assert got == {**{i: (f"own {i}\n", 4, 2) for i in range(8)}, 20: (rows[-1][1], 3, 0)}
 
 
+def test_line_spread_of_long_documents_and_equal_ids(spark):
+    """A document of 200,000 lines, all but one of them removed; rows of one id are cleaned by their own texts."""
+    rows = [(i, f"own {i}\n" + "shared line\n" * (200_000 if i == 0 else 1) + "tail", "en", f"s{i}") for i in range(8)] + [(9, "shared line\nfirst", "en", "s1"), (9, "second\nshared line", "en", "s2")]
+    got = linededup.remove_boilerplate(docs_of(spark, rows), min_sites=8).collect()
+    assert {(r["doc_id"], r["text"], r["n_removed"]) for r in got if r["doc_id"] in (0, 9)} == {(0, "own 0", 200_001), (9, "first", 1), (9, "second", 1)}
+
+
 def lm_tokens(text):
     return re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or "")) + [None]
 
