@@ -1,19 +1,26 @@
-"""Word-bigram language model by deleted interpolation, and the score of every document under it.
-
-P(w | h) = l2(b) c(h, w) / c(h) + l1(b) c(w) / N + l0(b) / (V + 1), where b is the bucket of the context's frequency
-c(h). The weights come from expectation-maximisation on deleted counts: for every training token, the counts without
-those of its own document.
-
-How counts meet tokens. Tokens are packed into *chunks* of whole documents, each a row of compressed arrays, and each
-chunk sends every distinct word and bigram once, with its count in training documents, to the part that owns the key's
-hash. A part adds up the counts of its keys and answers every chunk with the totals of the keys it asked for, in the
-order asked. So one round trip both counts and looks up; a word that is in every document costs one entry a chunk;
-parts and chunks have bounded sizes, and their numbers grow with the corpus. Nothing is broadcast but the weights.
+"""Word-trigram language model by deleted interpolation, and the score of every document under it.
+
+P(w | u, v) = l3 c(u, v, w) / c(u, v) + l2 c(v, w) / c(v) + l1 c(w) / N + l0 / (V + 1). The weights depend on the bucket of
+the context's frequency: that of c(u, v) where the pair was seen, of c(v) where it wasn't. They come from
+expectation-maximisation on deleted counts: for every training token, the counts without those of its own document.
+
+How counts meet tokens. Tokens are packed into *chunks* of whole documents, each a row of compressed arrays. A chunk
+sends its distinct words, bigrams and trigrams, with their counts in its training documents, to FAN nodes that own a
+range of the keys' hashes each. While there are more chunks than FAN, a node serves a group of FAN chunks alone: it
+merges what they sent and passes it on, cut into FAN finer ranges, to the nodes of the next level, so that a node of any
+level holds about as many keys as a chunk. The last level adds up, and answers go back the same way. Rows are FAN a
+chunk and level, and levels the logarithm of the number of chunks to the base FAN: they grow as the corpus does (times
+that logarithm), tasks don't grow. A word in every document costs one entry a chunk. Nothing is broadcast but the weights.
+
+Keys of words are 64-bit hashes. Those of bigrams and trigrams have MORE_BITS bits more than are needed to number the
+corpus's tokens (40 at least), which halves what is sent: one n-gram in 2**MORE_BITS, about, shares its count with another.
 """
 
 from __future__ import annotations
 
+import math
 import uuid
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -22,17 +29,21 @@ import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from apcube.llm.storage import drop, materialize
+from apcube.llm.storage import materialize
 from apcube.llm.wordhash import BASE, hash_words, mix, slices, text_buffers
 
-#: Tokens of a chunk, and distinct keys of a part, about.
-CHUNK_TOKENS, PART_KEYS = 1_000_000, 1_000_000
-#: Context buckets: 0 for a context never seen, then one per power of two. Ratios are gathered in steps of 1/STEPS of
-#: a power of two, down to 2**-LOW.
-BUCKETS, STEPS, LOW = 48, 4, 40
+#: Tokens of a chunk, about; FAN is 2**FAN_BITS.
+CHUNK_TOKENS, FAN_BITS, MORE_BITS = 1_000_000, 7, 16
+#: Buckets of seen pairs (powers of two, the last open) and of the last word where the pair is new (0 for a new word).
+PAIRS, SINGLES = 20, 40
+BUCKETS = PAIRS + SINGLES
+#: Ratios are gathered in steps of 1/STEPS of a power of two, down to 2**-LOW.
+STEPS, LOW = 2, 26
 GRID = STEPS * LOW + 2
-END, START = np.uint64(0x0E0F0E0F0E0F0E0F), np.uint64(0x57A7)
+END, START, START2 = np.uint64(0x0E0F0E0F0E0F0E0F), np.uint64(0x57A7), np.uint64(0x57A757A7)
 CHUNK = "chunk string, ids binary, tokens binary, lengths binary, words binary, counted binary"
+MESSAGE = "grp int, reach bigint, sender string, digit int, keys array<binary>, counts array<binary>"
+ANSWER = "sender string, digit int, extra array<binary>, distinct bigint, tokens bigint"
 
 
 def _pack(x: np.ndarray) -> bytes:
@@ -81,87 +92,137 @@ def _chunks(docs: DataFrame) -> DataFrame:
 
 
 class _Chunk:
-    """A chunk's arrays. Keys are its words' hashes and its bigrams' hashes; ``bigram`` gives each token's bigram."""
+    """A chunk's arrays. Per order (words, bigrams, trigrams): ``of`` each token's n-gram, ``keys`` their hashes, ``own``
+    their counts in the chunk's training documents, ``sent`` the order in which they are sent (by key)."""
 
-    def __init__(self, row: dict):
-        self.tokens = _unpack(row["tokens"], "u4")
+    def __init__(self, row: dict, bits: int):
+        tokens = _unpack(row["tokens"], "u4")
         self.lengths = _unpack(row["lengths"], "u4").astype(np.int64)
-        self.words = np.cumsum(_unpack(row["words"], "u8"))
+        words = np.cumsum(_unpack(row["words"], "u8"))
         self.counted = _unpack(row["counted"], "u1").astype(bool)
-        self.first = np.concatenate([[0], np.cumsum(self.lengths)])
+        self.first = np.concatenate([[0], np.cumsum(self.lengths)])[:-1]
         self.train = np.repeat(self.counted, self.lengths)
-        before = np.empty(len(self.tokens), np.uint64)
-        before[1:] = self.tokens[:-1]
-        before[self.first[:-1]] = len(self.words)  # the start of a document
-        pairs, bigram = np.unique(before << np.uint64(32) | self.tokens, return_inverse=True)
-        self.before, self.bigram = before.astype(np.int32), bigram.astype(np.int32)
-        hashes = np.append(self.words, START)
-        self.bigrams = mix(hashes[pairs >> np.uint64(32)] * BASE + mix(hashes[pairs & np.uint64(0xFFFFFFFF)]))
-
-    def keys(self) -> tuple[np.ndarray, np.ndarray]:
-        """All keys (words, then bigrams) and their counts in training documents."""
-        one = np.bincount(self.tokens[self.train], minlength=len(self.words))
-        two = np.bincount(self.bigram[self.train], minlength=len(self.bigrams))
-        return np.concatenate([self.words, self.bigrams]), np.concatenate([one, two])
-
-    @staticmethod
-    def split(keys: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray]:
-        """The order in which keys are sent, and where each part begins: by value, parts being equal ranges of values."""
-        order = np.argsort(keys, kind="stable")
-        edges = np.array([(i << 64) // parts for i in range(parts)], np.uint64)
-        return order, np.append(np.searchsorted(keys[order], edges), len(keys))
-
-
-def _ask(chunks: DataFrame, parts: int) -> DataFrame:
+        hashes, last, self.of, self.keys, self.before = words, tokens, [tokens.astype(np.int64)], [words], []
+        for start in (START, START2):
+            context = np.empty(len(tokens), np.uint64)
+            context[1:] = last[:-1]
+            context[self.first] = len(hashes)  # the start of a document
+            runs, last = np.unique(context << np.uint64(32) | tokens, return_inverse=True)
+            hashes = mix(np.append(hashes, start)[runs >> np.uint64(32)] * BASE + mix(words[runs & np.uint64(0xFFFFFFFF)] ^ start))
+            self.before.append(context.astype(np.int64))
+            self.of.append(last)
+            self.keys.append(hashes >> np.uint64(64 - bits))
+        self.own = [np.bincount(of[self.train], minlength=len(k)) for of, k in zip(self.of, self.keys)]
+        self.sent = [np.argsort(k, kind="stable") for k in self.keys]
+
+    def totals(self, answers: list[dict]) -> list[np.ndarray]:
+        """Per order the corpus counts of the chunk's n-grams."""
+        out = []
+        for order, (own, sent) in enumerate(zip(self.own, self.sent)):
+            total = np.empty(len(own), np.int64)
+            total[sent] = own[sent] + _joined(answers, order)
+            out.append(total)
+        return out
+
+
+def _joined(answers: list[dict], order: int) -> np.ndarray:
+    return np.concatenate([_unpack(r["extra"][order], "u8") for r in sorted(answers, key=lambda r: r["digit"])] or [np.empty(0, np.uint64)]).astype(np.int64)
+
+
+def _messages(grp: int, reach: int, sender: str, keys: list[np.ndarray], counts: list[np.ndarray], level: int, bits: int) -> pa.RecordBatch:
+    """Rows that send ascending keys of the range ``reach``, whose level is one less than ``level``, by their next digit."""
+    fan, cuts = 1 << FAN_BITS, []
+    for order, k in enumerate(keys):
+        width = bits if order else 64
+        digit = k >> np.uint64(width - FAN_BITS * level) & np.uint64(fan - 1)
+        cuts.append(np.searchsorted(digit, np.arange(fan + 1, dtype=np.uint64)))
+    some = [d for d in range(fan) if any(c[d] < c[d + 1] for c in cuts)]
+    part = lambda x, pack: [[pack(v[c[d] : c[d + 1]]) for v, c in zip(x, cuts)] for d in some]
+    n = len(some)
+    columns = [pa.array([grp] * n, pa.int32()), pa.array([reach * fan + d for d in some], pa.int64()), pa.array([sender] * n, pa.string()), pa.array(some, pa.int32())]
+    columns += [pa.array(part(keys, lambda v: _pack(_deltas(v))), pa.list_(pa.binary())), pa.array(part(counts, lambda v: _pack(v.astype(np.uint64))), pa.list_(pa.binary()))]
+    return pa.RecordBatch.from_arrays(columns, [x.split()[0] for x in MESSAGE.split(", ")])
+
+
+def _ask(chunks: DataFrame, groups: int, bits: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
-                c = _Chunk(row)
-                keys, counts = c.keys()
-                words = np.arange(len(keys)) < len(c.words)
-                order, cut = c.split(keys, parts)
-                for p in range(parts):
-                    at = order[cut[p] : cut[p + 1]]
-                    if len(at):
-                        yield pa.record_batch([pa.array([p], pa.int32()), pa.array([row["chunk"]]), pa.array([_pack(_deltas(keys[at]))]), pa.array([_pack(counts[at].astype(np.uint32))]), pa.array([_pack(np.packbits(words[at]))])], ["part", "chunk", "keys", "counts", "word"])
+                c = _Chunk(row, bits)
+                yield _messages(zlib.crc32(row["chunk"].encode()) % groups, 0, row["chunk"], [k[s] for k, s in zip(c.keys, c.sent)], [n[s] for n, s in zip(c.own, c.sent)], 1, bits)
 
-    return chunks.mapInArrow(run, "part int, chunk string, keys binary, counts binary, word binary")
+    return chunks.mapInArrow(run, MESSAGE)
 
 
-def _answer(asked: DataFrame) -> DataFrame:
-    """Totals of the keys of each question, and per part, in a row without chunk, the number of words and their sum."""
+class _Node:
+    """What the messages to a node hold together: per order its keys, ascending, their counts, and for each message where
+    its keys are among them."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows = [r for b in batches for r in b.to_pylist()]
-        keys = np.concatenate([np.cumsum(_unpack(r["keys"], "u8")) for r in rows])
-        counts = np.concatenate([_unpack(r["counts"], "u4") for r in rows]).astype(np.int64)
-        word = np.concatenate([np.unpackbits(_unpack(r["word"], "u1"))[: len(_unpack(r["counts"], "u4"))] for r in rows]).astype(bool)
-        known, at = np.unique(keys, return_inverse=True)
-        total = np.bincount(at, counts, len(known)).astype(np.int64)
-        is_word = np.zeros(len(known), bool)
-        is_word[at[word]] = True
-        seen = total[is_word]
-        part = rows[0]["part"]
-        here = 0
-        for r in rows:
-            n = len(_unpack(r["counts"], "u4"))
-            yield pa.record_batch([pa.array([r["chunk"]]), pa.array([part], pa.int32()), pa.array([_pack(total[at[here : here + n]].astype(np.uint64))]), pa.array([None], pa.int64()), pa.array([None], pa.int64())], ["chunk", "part", "totals", "distinct", "tokens"])
-            here += n
-        yield pa.record_batch([pa.array([None], pa.string()), pa.array([part], pa.int32()), pa.array([None], pa.binary()), pa.array([int((seen > 0).sum())], pa.int64()), pa.array([int(seen.sum())], pa.int64())], ["chunk", "part", "totals", "distinct", "tokens"])
+    def __init__(self, rows: list[dict]):
+        self.rows, self.keys, self.counts, self.at, self.asked = rows, [], [], [], []
+        for order in range(3):
+            keys = [np.cumsum(_unpack(r["keys"][order], "u8")) for r in rows]
+            counts = [_unpack(r["counts"][order], "u8").astype(np.int64) for r in rows]
+            known, at = np.unique(np.concatenate(keys), return_inverse=True)
+            self.keys.append(known)
+            self.counts.append(np.bincount(at, np.concatenate(counts), len(known)).astype(np.int64))
+            self.at.append(np.split(at, np.cumsum([len(k) for k in keys])[:-1]))
+            self.asked.append(counts)
+
+    def answers(self, totals: list[np.ndarray]) -> pa.RecordBatch:
+        """Per message the totals of its keys beyond the counts that it sent itself."""
+        extra = [[_pack((totals[o][self.at[o][i]] - self.asked[o][i]).astype(np.uint64)) for o in range(3)] for i in range(len(self.rows))]
+        n = len(self.rows)
+        return _answer_rows([r["sender"] for r in self.rows], [r["digit"] for r in self.rows], extra, [None] * n, [None] * n)
+
+
+def _answer_rows(*columns: list) -> pa.RecordBatch:
+    kinds = [pa.string(), pa.int32(), pa.list_(pa.binary()), pa.int64(), pa.int64()]
+    return pa.RecordBatch.from_arrays([pa.array(x, k) for x, k in zip(columns, kinds)], [x.split()[0] for x in ANSWER.split(", ")])
+
+
+def _rows(batches: Iterator[pa.RecordBatch]) -> list[dict]:
+    return [r for b in batches for r in b.to_pylist()]
+
+
+def _up(messages: DataFrame, level: int, groups: int, bits: int) -> DataFrame:
+    """The messages of nodes of ``level`` to those of the next."""
 
-    return asked.groupBy("part").applyInArrow(_grouped(run), "chunk string, part int, totals binary, distinct bigint, tokens bigint")
+    def run(table: pa.Table) -> pa.Table:
+        rows = _rows(table.to_batches())
+        node, r = _Node(rows), rows[0]
+        return pa.Table.from_batches([_messages(r["grp"] % groups, r["reach"], f"{r['grp']}:{r['reach']}", node.keys, node.counts, level + 1, bits)])
 
+    return messages.groupBy("grp", "reach").applyInArrow(run, MESSAGE)
 
-def _grouped(run):
-    def one(group: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        yield from run(group)
 
-    return one
+def _top(messages: DataFrame) -> DataFrame:
+    """Answers of the last level; per node also, in a row without sender, the number of words and their sum."""
 
+    def run(table: pa.Table) -> pa.Table:
+        node = _Node(_rows(table.to_batches()))
+        words = node.counts[0]
+        sums = _answer_rows([None], [None], [None], [int((words > 0).sum())], [int(words.sum())])
+        return pa.Table.from_batches([node.answers(node.counts), sums])
 
-def bucket(context: np.ndarray) -> np.ndarray:
-    """0 for an unseen context, else 1 + the whole part of log2 of its frequency."""
-    return np.where(context > 0, np.floor(np.log2(np.maximum(context, 1))).astype(np.int64) + 1, 0)
+    return messages.groupBy("reach").applyInArrow(run, ANSWER)
+
+
+def _down(messages: DataFrame, answers: DataFrame) -> DataFrame:
+    """Answers of the nodes that got ``messages``, from those that they got themselves."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        node, got = _Node(_rows(left.to_batches())), _rows(right.to_batches())
+        return pa.Table.from_batches([node.answers([c + _joined(got, o) for o, c in enumerate(node.counts)])])
+
+    keyed = messages.withColumn("node", F.concat_ws(":", "grp", "reach"))
+    return keyed.groupBy("node").cogroup(answers.where("sender is not null").groupBy("sender")).applyInArrow(run, ANSWER)
+
+
+def bucket(pair: np.ndarray, single: np.ndarray) -> np.ndarray:
+    """The weights' bucket of a context: by the frequency of its last two words, or of the last where the two are new."""
+    log = lambda x: np.floor(np.log2(np.maximum(x, 1))).astype(np.int64)
+    return np.where(pair > 0, SINGLES + np.minimum(log(pair), PAIRS - 1), np.where(single > 0, np.minimum(log(single) + 1, SINGLES - 1), 0))
 
 
 def _cell(ratio: np.ndarray) -> np.ndarray:
@@ -172,82 +233,77 @@ def _cell(ratio: np.ndarray) -> np.ndarray:
     return out
 
 
-class _Counts:
-    """A chunk's tokens with corpus totals: c2, c1, ch (of the bigram, the word, the context)."""
+def _share(part: np.ndarray, whole: np.ndarray) -> np.ndarray:
+    return np.where(whole > 0, part / np.maximum(whole, 1), 0.0)
+
 
-    def __init__(self, c: _Chunk, answers: list[dict], parts: int, train_docs: int):
-        keys = np.concatenate([c.words, c.bigrams])
-        order, cut = c.split(keys, parts)
-        total = np.zeros(len(keys), np.int64)
-        for r in answers:
-            p = r["part"]
-            total[order[cut[p] : cut[p + 1]]] = _unpack(r["totals"], "u8").astype(np.int64)
-        self.word = total[: len(c.words)]
-        self.c1 = self.word[c.tokens]
-        self.c2 = total[len(c.words) :][c.bigram]
-        self.ch = np.append(self.word, train_docs)[c.before]
+def _frequencies(c: _Chunk, totals: list[np.ndarray], train_docs: int) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """Per token the counts of its word, bigram and trigram, and those of its contexts of one and two words."""
+    count = [t[of] for t, of in zip(totals, c.of)]
+    return count, [np.append(t, train_docs)[b] for t, b in zip(totals, c.before)]
 
 
-def _histogram(c: _Chunk, t: _Counts, train_tokens: int) -> tuple[np.ndarray, np.ndarray]:
-    """(cells, tokens): training tokens by (bucket, bigram ratio, word ratio) from counts without their own document."""
+def _histogram(c: _Chunk, totals: list[np.ndarray], train_docs: int, train_tokens: int) -> tuple[np.ndarray, np.ndarray]:
+    """(cells, tokens): training tokens by bucket and ratios of trigram, bigram and word, from counts without their own
+    document."""
     doc = np.repeat(np.arange(len(c.lengths), dtype=np.uint64), c.lengths)
 
     def own(key: np.ndarray) -> np.ndarray:
         _, at, n = np.unique(doc << np.uint64(32) | key.astype(np.uint64), return_inverse=True, return_counts=True)
         return n[at]
 
-    o1, o2 = own(c.tokens), own(c.bigram)
-    starts = np.zeros(len(c.tokens), bool)
-    starts[c.first[:-1]] = True
-    # the context's own count: that of the token before, 1 for the start of the document
-    oh = np.where(starts, 1, np.roll(o1, 1))
-    use = c.train
-    c2, c1, ch = (t.c2 - o2)[use], (t.c1 - o1)[use], (t.ch - oh)[use]
-    left = train_tokens - np.repeat(c.lengths, c.lengths)[use]
-    f2 = np.where(ch > 0, c2 / np.maximum(ch, 1), 0)
-    f1 = np.where(left > 0, c1 / np.maximum(left, 1), 0)
-    cells = (bucket(ch) * GRID + _cell(f2)) * GRID + _cell(f1)
+    count, context = _frequencies(c, totals, train_docs)
+    mine = [own(of) for of in c.of]
+    starts = np.zeros(len(doc), bool)
+    starts[c.first] = True
+    # a context's own count: that of the n-gram before, 1 for the start of the document
+    c1, c2, c3 = ((n - o)[c.train] for n, o in zip(count, mine))
+    h1, h2 = ((n - np.where(starts, 1, np.roll(o, 1)))[c.train] for n, o in zip(context, mine))
+    left = train_tokens - np.repeat(c.lengths, c.lengths)[c.train]
+    cells = bucket(h2, h1)
+    for ratio in (_share(c3, h2), _share(c2, h1), _share(c1, left)):
+        cells = cells * GRID + _cell(ratio)
     return np.unique(cells, return_counts=True)
 
 
 def estimate(cells: np.ndarray, tokens: np.ndarray, vocabulary: int, rounds: int = 200) -> np.ndarray:
-    """Weights (bucket, [bigram, word, uniform]) by expectation-maximisation; a bucket without tokens takes those of the
-    nearest lower one that has any. Unseen contexts have no bigram weight."""
-    if not tokens.sum():
-        return np.tile([0.0, 0.0, 1.0], (BUCKETS, 1))
+    """Weights (bucket, [trigram, bigram, word, uniform]) by expectation-maximisation. A new pair has no trigram weight, a
+    new word no bigram weight either; every other weight is at least 1e-6, so that no text gets probability 0. A bucket
+    without tokens takes the weights of the nearest lower one of its kind that has any."""
     value = np.append(2.0 ** (-np.arange(GRID - 1) / STEPS), 0.0)
-    b, f2, f1 = cells // GRID**2, value[cells // GRID % GRID], value[cells % GRID]
-    out, last = np.zeros((BUCKETS, 3)), np.array([0.0, 0.9, 0.1])
+    b, ratios = cells // GRID**3, [value[cells // GRID**k % GRID] for k in (2, 1, 0)]
+    out = np.zeros((BUCKETS, 4))
+    if not tokens.sum():
+        out[:, 3] = 1.0
+        return out
     for k in range(BUCKETS):
+        may = np.array([k >= SINGLES, k > 0, True, True], float)
         mine = b == k
         n = tokens[mine].astype(float)
         if n.sum():
-            p = np.stack([f2[mine], f1[mine], np.full(mine.sum(), 1 / (vocabulary + 1))])
-            w = np.array([0.0, 0.5, 0.5]) if k == 0 else np.full(3, 1 / 3)
+            p = np.stack([*(r[mine] for r in ratios), np.full(mine.sum(), 1 / (vocabulary + 1))])
+            w = may / may.sum()
             for _ in range(rounds):
                 part = w[:, None] * p
                 part /= part.sum(axis=0)
                 w = part @ n
                 w /= w.sum()
-            w = np.maximum(w, [0 if k == 0 else 1e-6, 1e-6, 1e-6])  # no text gets probability 0
-            last = w / w.sum()
-        out[k] = last
-        if k == 0:
-            last = np.array([0.3, 0.6, 0.1])
+            w = np.maximum(w, 1e-6 * may)
+        elif k in (0, 1, SINGLES):
+            w = may * np.array([0.3, 0.3, 0.3, 0.1])
+        out[k] = w / w.sum()
     return out
 
 
 SCORES = "n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double"
 
 
-def _scores(c: _Chunk, t: _Counts, weights: np.ndarray, train_tokens: int, vocabulary: int) -> list[np.ndarray]:
-    w = weights[bucket(t.ch)]
-    f2 = np.where(t.ch > 0, t.c2 / np.maximum(t.ch, 1), 0)
-    f1 = t.c1 / max(train_tokens, 1)
-    score = np.log10(w[:, 0] * f2 + w[:, 1] * f1 + w[:, 2] / (vocabulary + 1))
-    base = np.log10((t.c1 + 1) / (train_tokens + vocabulary + 1))
-    known = (t.c1 > 0).astype(np.int64)
-    known, base, score = (np.add.reduceat(x, c.first[:-1]) for x in (known, base, score))
+def _scores(c: _Chunk, totals: list[np.ndarray], weights: np.ndarray, train_docs: int, train_tokens: int, vocabulary: int) -> list[np.ndarray]:
+    (c1, c2, c3), (h1, h2) = _frequencies(c, totals, train_docs)
+    w = weights[bucket(h2, h1)]
+    score = np.log10(w[:, 0] * _share(c3, h2) + w[:, 1] * _share(c2, h1) + w[:, 2] * (c1 / max(train_tokens, 1)) + w[:, 3] / (vocabulary + 1))
+    base = np.log10((c1 + 1) / (train_tokens + vocabulary + 1))
+    known, base, score = (np.add.reduceat(x, c.first) for x in ((c1 > 0).astype(np.int64), base, score))
     return [c.lengths, known, np.full(len(known), train_tokens), base, score]
 
 
@@ -262,31 +318,41 @@ def score(docs: DataFrame, counted: Column, id_col: str = "doc_id", text_col: st
     narrow = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.coalesce(counted, F.lit(False)).alias("counted"))
     kind = narrow.schema["doc_id"].dataType.simpleString()
     chunks = materialize(_chunks(narrow), "chunks")
-    train_docs = narrow.where("counted").count()
-    # a chunk has at most 2 * CHUNK_TOKENS distinct keys and sends about a third of that; parts follow the chunks' number
-    parts = max(1, -(-chunks.count() * CHUNK_TOKENS // PART_KEYS))
-    answers = materialize(_answer(_ask(chunks, parts)), "answers")
-    sums = answers.where("chunk is null").agg(F.sum("distinct").alias("v"), F.sum("tokens").alias("n")).first()
+    train_docs, number = narrow.where("counted").count(), chunks.count()
+    bits = min(64, max(40, math.ceil(math.log2(max(1, number * CHUNK_TOKENS))) + MORE_BITS))
+    groups = [number]  # of chunks, then of the groups of nodes that serve them, level by level
+    while groups[-1] > 1 or len(groups) == 1:
+        groups.append(-(-groups[-1] // (1 << FAN_BITS)))
+    if FAN_BITS * (len(groups) - 1) > 40:
+        raise ValueError("FAN_BITS is too small for so many chunks")
+    sent = [_ask(chunks, max(1, groups[1]), bits)]
+    for level in range(1, len(groups) - 1):
+        sent[-1] = materialize(sent[-1], "messages")
+        sent.append(_up(sent[-1], level, groups[level + 1], bits))
+    answers = materialize(_top(sent.pop()), "answers")
+    sums = answers.where("sender is null").agg(F.sum("distinct").alias("v"), F.sum("tokens").alias("n")).first()
     vocabulary, train_tokens = int(sums["v"] or 0), int(sums["n"] or 0)
-    replies = answers.where("chunk is not null").select("chunk", "part", "totals")
+    while sent:
+        answers = materialize(_down(sent.pop(), answers), "answers")
+    replies = answers.where("sender is not null").select("sender", "digit", "extra")
 
-    def with_counts(left: Iterator[pa.RecordBatch], right: Iterator[pa.RecordBatch]) -> tuple[dict, _Chunk, _Counts]:
-        row = [r for b in left for r in b.to_pylist()][0]
-        c = _Chunk(row)
-        return row, c, _Counts(c, [r for b in right for r in b.to_pylist()], parts, train_docs)
+    def counted_chunk(left: pa.Table, right: pa.Table) -> tuple[dict, _Chunk, list[np.ndarray]]:
+        row = left.to_pylist()[0]
+        c = _Chunk(row, bits)
+        return row, c, c.totals(right.to_pylist())
 
     def gather(left: pa.Table, right: pa.Table) -> pa.Table:
-        _, c, t = with_counts(iter(left.to_batches()), iter(right.to_batches()))
-        cells, n = _histogram(c, t, train_tokens)
+        _, c, totals = counted_chunk(left, right)
+        cells, n = _histogram(c, totals, train_docs, train_tokens)
         return pa.table([cells, n], ["cell", "n"])
 
     def apply(left: pa.Table, right: pa.Table) -> pa.Table:
-        row, c, t = with_counts(iter(left.to_batches()), iter(right.to_batches()))
+        row, c, totals = counted_chunk(left, right)
         ids = pa.ipc.open_stream(row["ids"]).read_all().column(0).combine_chunks()
-        return pa.table([ids, pa.array(c.counted), *(pa.array(x) for x in _scores(c, t, weights, train_tokens, vocabulary))], ["doc_id", "counted", *(x.split()[0] for x in SCORES.split(", "))])
+        return pa.table([ids, pa.array(c.counted), *(pa.array(x) for x in _scores(c, totals, weights, train_docs, train_tokens, vocabulary))], ["doc_id", "counted", *(x.split()[0] for x in SCORES.split(", "))])
 
-    both = chunks.groupBy("chunk").cogroup(replies.groupBy("chunk"))
-    found = both.applyInArrow(gather, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).collect()  # at most BUCKETS * GRID**2 cells
-    cells, tokens = (np.array([r[k] for r in sorted(found)], np.int64) for k in ("cell", "n"))
-    weights = estimate(cells, tokens, vocabulary)
+    both = chunks.groupBy("chunk").cogroup(replies.groupBy("sender"))
+    # at most BUCKETS * GRID**3 cells, whatever the corpus
+    found = both.applyInArrow(gather, "cell bigint, n bigint").groupBy("cell").agg(F.sum("n").alias("n")).orderBy("cell").toArrow()
+    weights = estimate(found.column("cell").to_numpy(), found.column("n").to_numpy(), vocabulary)
     return both.applyInArrow(apply, f"doc_id {kind}, counted boolean, {SCORES}")
