@@ -3,8 +3,10 @@
 Arrivals are written as small immutable Parquet shards. ``compact`` takes the tiers (powers of ``fan_in`` of the size)
 that hold at least ``fan_in`` shards and rewrites each as files of about the target size. Shards are never changed; a
 version is a manifest (a Parquet table with one row per shard, made from the files' own metadata) and a numbered
-version file that names it. Creating that file without overwriting is the commit: of two writers one wins, and the
-other must read the new version and try again. Readers see one whole version. Only DataFrame operations and the file
+version file that names it. Publishing that file is the commit: it appears whole and never in another's place, so of two
+writers one wins, and the other must read the new version and try again. A writer that dies on its way leaves files that
+no version names (``vacuum`` deletes them) and blocks nobody; a version file that can't be read is passed over. Readers
+see one whole version. Only DataFrame operations and the file
 system's own calls are used; merging reads and writes each shard once, without a shuffle.
 """
 
@@ -18,7 +20,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from apcube.llm.storage import hadoop
+from apcube.llm.storage import hadoop, publish
 
 
 class CommitConflict(RuntimeError):
@@ -41,37 +43,43 @@ class ShardStore:
                 out.append((name, f.getLen()))
         return sorted(out)
 
+    def _numbers(self) -> list[int]:
+        """The numbers of all version files, also of damaged ones."""
+        fs, p = hadoop(self.spark, f"{self.root}/_versions")
+        names = [f.getPath().getName() for f in fs.listStatus(p)] if fs.exists(p) else []
+        return sorted(int(n.removesuffix(".json")) for n in names if n.endswith(".json") and n.removesuffix(".json").isdigit())
+
     def versions(self) -> list[int]:
-        return sorted(int(name.rpartition("/")[2].split(".")[0]) for name, _ in self._list(f"{self.root}/_versions", ".json"))
+        return [n for n in self._numbers() if self._version(n) is not None]
 
     def head(self) -> dict | None:
         """The newest version file's content."""
-        found = self.versions()
-        return self._version(found[-1]) if found else None
+        return self._newest()[0]
+
+    def _newest(self) -> tuple[dict | None, int]:
+        """The newest readable version and the number that a commit upon it must create: past all that are there."""
+        numbers = self._numbers()
+        found = next((v for v in map(self._version, reversed(numbers)) if v is not None), None)
+        return found, (numbers[-1] if numbers else 0) + 1
 
-    def _version(self, number: int) -> dict:
+    def _version(self, number: int) -> dict | None:
         fs, p = hadoop(self.spark, f"{self.root}/_versions/{number:010d}.json")
         stream = fs.open(p)
         try:
             return json.loads(bytes(stream.readAllBytes()).decode())
+        except ValueError:
+            return None
         finally:
             stream.close()
 
-    def _commit(self, parent: int, manifest: DataFrame, schema: T.StructType, note: str) -> int:
-        """Writes the manifest and creates version ``parent + 1``; raises CommitConflict if that exists."""
+    def _commit(self, number: int, manifest: DataFrame, schema: T.StructType, note: str) -> int:
+        """Writes the manifest and publishes version ``number``; raises CommitConflict if that exists."""
         path = f"{self.root}/_manifests/{uuid.uuid4().hex}"
         manifest.coalesce(1).write.parquet(path)
-        fs, p = hadoop(self.spark, f"{self.root}/_versions/{parent + 1:010d}.json")
-        content = json.dumps({"version": parent + 1, "manifest": path, "schema": schema.json(), "note": note})
-        try:
-            stream = fs.create(p, False)
-        except Exception as e:
-            if "AlreadyExists" in str(e) or "already exists" in str(e):
-                raise CommitConflict(f"version {parent + 1} exists") from e
-            raise
-        stream.write(bytearray(content.encode()))
-        stream.close()
-        return parent + 1
+        content = json.dumps({"version": number, "manifest": path, "schema": schema.json(), "note": note})
+        if not publish(self.spark, f"{self.root}/_versions/{number:010d}.json", content.encode()):
+            raise CommitConflict(f"version {number} exists")
+        return number
 
     def _described(self, paths: list[str]) -> DataFrame:
         """path, bytes, rows of shards, from file metadata and footers."""
@@ -80,7 +88,9 @@ class ShardStore:
 
     def manifest(self, number: int | None = None) -> DataFrame:
         """path, bytes, rows, tier of the live shards."""
-        version = self.head() if number is None else self._version(number)
+        return self._manifest(self.head() if number is None else self._version(number))
+
+    def _manifest(self, version: dict | None) -> DataFrame:
         if version is None:
             return self.spark.range(0).select(F.lit("").alias("path"), F.col("id").alias("bytes"), F.col("id").alias("rows"), F.lit(0).alias("tier"))
         return self.spark.read.parquet(version["manifest"]).select("path", "bytes", "rows", self._tier(F.col("bytes")).alias("tier"))
@@ -94,7 +104,7 @@ class ShardStore:
         if version is None:
             raise FileNotFoundError(f"{self.root} has no version")
         schema = T.StructType.fromJson(json.loads(version["schema"]))
-        paths = [r["path"] for r in self.manifest(version["version"]).select("path").collect()]
+        paths = [r["path"] for r in self._manifest(version).select("path").collect()]
         if not paths:
             return self.spark.range(0).select(*(F.lit(None).cast(f.dataType).alias(f.name) for f in schema))
         return self.spark.read.schema(schema).parquet(*paths)
@@ -108,7 +118,10 @@ class ShardStore:
     def append_batches(self, df: DataFrame, batch: Column) -> list[int]:
         """Writes ``df`` once, as arrivals told apart by ``batch``, and commits them one after another."""
         run = f"{self.root}/data/{uuid.uuid4().hex}"
-        df.withColumn("__arrival", batch).write.partitionBy("__arrival").parquet(run)
+        name = "__arrival"
+        while name.lower() in (c.lower() for c in df.columns):
+            name += "_"
+        df.withColumn(name, batch).write.partitionBy(name).parquet(run)
         arrivals: dict[str, list[str]] = {}
         for path, _ in self._list(run, ".parquet"):
             arrivals.setdefault(path.rpartition("/")[0], []).append(path)
@@ -119,22 +132,22 @@ class ShardStore:
     def _add(self, paths: list[str], schema: T.StructType, note: str) -> int:
         new = self._described(paths) if paths else None
         while True:
-            head = self.head()
-            old = self.manifest().select("path", "bytes", "rows")
+            head, number = self._newest()
+            old = self._manifest(head).select("path", "bytes", "rows")
             try:
-                return self._commit(head["version"] if head else 0, old.union(new) if new is not None else old, schema, note)
+                return self._commit(number, old.union(new) if new is not None else old, schema, note)
             except CommitConflict:
-                continue  # an append goes with any other change
+                continue  # an append goes with any other change; the next round sees the number that was taken
 
     def compact(self) -> list[int]:
         """Merges full tiers until none is left; returns the versions it committed. Files of at least half the target
         are never read again. A merge that would not lessen the number of files is not made."""
         done = []
         while True:
-            head = self.head()
+            head, number = self._newest()
             if head is None:
                 return done
-            small = self.manifest(head["version"]).where(F.col("bytes") < self.target // 2)
+            small = self._manifest(head).where(F.col("bytes") < self.target // 2)
             tiers = small.groupBy("tier").agg(F.count("*").alias("n"), F.sum("bytes").alias("b"), F.sum("rows").alias("r")).where(F.col("n") >= self.fan_in).orderBy("tier").collect()
             tiers = [t for t in tiers if -(-t["b"] // self.target) < t["n"]]
             if not tiers:
@@ -151,10 +164,10 @@ class ShardStore:
             merged = self._described(new)
             if merged.agg(F.sum("rows")).first()[0] != rows:
                 raise RuntimeError("a merge changed the number of rows; nothing was committed")
-            gone = self.manifest(head["version"]).where(F.col("path").isin(old)).select("path") if len(old) < 1000 else small.where(F.col("tier").isin([t["tier"] for t in tiers])).select("path")
-            live = self.manifest(head["version"]).select("path", "bytes", "rows").join(gone, "path", "left_anti")
+            gone = self._manifest(head).where(F.col("path").isin(old)).select("path") if len(old) < 1000 else small.where(F.col("tier").isin([t["tier"] for t in tiers])).select("path")
+            live = self._manifest(head).select("path", "bytes", "rows").join(gone, "path", "left_anti")
             try:
-                done.append(self._commit(head["version"], live.union(merged), schema, f"compact tiers {[t['tier'] for t in tiers]}"))
+                done.append(self._commit(number, live.union(merged), schema, f"compact tiers {[t['tier'] for t in tiers]}"))
             except CommitConflict:
                 for path in new:
                     fs, p = hadoop(self.spark, path)
@@ -175,8 +188,8 @@ class ShardStore:
 def compacted(rows: DataFrame, root: str, arrivals: int = 16, target_bytes: int = 128 << 20, fan_in: int = 4, id_col: str = "doc_id") -> ShardStore:
     """A store at ``root`` of all ``rows``, arrived in ``arrivals`` batches by a hash of the id, compacted and vacuumed.
 
-    Every row is kept as it is, in any number of copies; nulls, empty texts and further columns of any name but
-    ``__arrival`` are stored alike (a null id is in one batch with others). An empty table is a version without shards.
+    Every row is kept as it is, in any number of copies; nulls, empty and very long texts and further columns of any name
+    are stored alike (a null id is in one batch with others). An empty table is a version without shards.
     """
     store = ShardStore(rows.sparkSession, root, target_bytes, fan_in)
     store.append_batches(rows, F.pmod(F.xxhash64(id_col), F.lit(arrivals)).cast("int"))

@@ -53,6 +53,40 @@ def hadoop(spark: SparkSession, path: str):
     return p.getFileSystem(spark._jsc.hadoopConfiguration()), p
 
 
+def publish(spark: SparkSession, path: str, content: bytes) -> bool:
+    """Makes ``path`` appear with all of ``content`` at once, unless it exists: False then. Of several writers one gets
+    True; one that dies on its way leaves a temporary file and nothing at ``path``.
+
+    The content is written beside it and then linked (local files) or renamed without overwriting (other stores: as
+    atomic as the store's own rename; HDFS's is)."""
+    temporary = f"{path}.{uuid.uuid4().hex}.tmp"
+    system, source = hadoop(spark, temporary)
+    stream = system.create(source, False)
+    stream.write(bytearray(content))
+    stream.close()
+    target = hadoop(spark, path)[1]
+    try:
+        if system.getScheme() == "file":
+            place = lambda p: spark._jvm.java.io.File(system.makeQualified(p).toUri().getPath()).toPath()
+            spark._jvm.java.nio.file.Files.createLink(place(target), place(source))
+        else:
+            _rename_new(spark, source, target)
+    except Exception as e:
+        if "AlreadyExists" in str(e):
+            return False
+        raise
+    finally:
+        system.delete(source, False)
+    return True
+
+
+def _rename_new(spark: SparkSession, source, target) -> None:
+    kind = getattr(spark._jvm.org.apache.hadoop.fs, "Options$Rename")
+    options = spark.sparkContext._gateway.new_array(kind, 1)
+    options[0] = kind.NONE
+    spark._jvm.org.apache.hadoop.fs.FileContext.getFileContext(target.toUri(), spark._jsc.hadoopConfiguration()).rename(source, target, options)
+
+
 def drop(*tables: DataFrame | str) -> None:
     """Delete materialized tables that nothing will read again."""
     for t in tables:
