@@ -1,30 +1,39 @@
 """A deterministic, sharded WARC writer and its reader.
 
-Records are dealt to shards by ranges of the page id. The ranges are cut where a histogram of bytes over equal id
-cells reaches the shard size, so they depend on the rows alone (a sampled range partitioner would cut elsewhere in
-another run). In a shard records are sorted by id and written as one gzip member each; a file is closed when its
-compressed size passes the limit. Headers and digests are made anew from the payloads. Files appear under temporary
-names; a second job moves the ones that the staged manifest lists to their final names, and the manifest's own rename
-is the commit: a reader sees all of an archive or nothing, and files of lost attempts are never listed.
+Records are dealt to shards by ranges of the page id. The ranges are cut where bytes over id cells reach the shard size:
+cells are halved, CELL_BITS times a round, while they hold more, so an id far from the others or a dense run of ids makes
+no large shard. The cuts depend on the rows alone (a sampled range partitioner would cut elsewhere in another run). In a
+shard records are sorted by id and written as one gzip member each; a file is closed when its compressed size passes the
+limit, and a shard has as many files as that takes. Headers and digests are made anew from the payloads.
+
+A writer's files stand in a folder of its own: under temporary names first, then, by a second job, those that the staged
+manifest lists under their final names. The commit is a small file that names the folder, published whole and only where
+there is none. So a reader sees all of an archive or nothing, of two writers one commits, files of lost attempts are never
+listed, and a writer that died anywhere doesn't hinder the next one.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
+import json
 import uuid
 import zlib
 from collections.abc import Iterator
 from urllib.parse import quote, unquote
 
+import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from apcube.llm.storage import drop, hadoop, materialize
+from apcube.llm.storage import drop, hadoop, materialize, publish
 
-CELLS = 4096
+#: Halvings of the cells that hold more than a shard, a round; and those of the first round.
+CELL_BITS, FIRST_BITS = 4, 12
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
+CURRENT = "_current.json"
 MANIFEST = "shard int, part int, name string, temp string, records bigint, bytes bigint, sha256 string"
 
 
@@ -69,48 +78,77 @@ def _member(raw: bytes, level: int) -> bytes:
     return z.compress(raw) + z.flush()
 
 
-def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 64 << 20, file_bytes: int = 1 << 30, date: str = "2000-01-01T00:00:00Z", level: int = 6, id_col: str = "page_id", url_col: str = "url", body_col: str = "html") -> DataFrame:
+def cuts_of(rows: DataFrame, key: str, size: str, most: int) -> np.ndarray:
+    """Ascending whole numbers that cut the range of ``key`` (long) into runs of at most ``most`` of ``size``, where single
+    keys allow it. The driver holds at most 2**CELL_BITS cells per run (and 2**FIRST_BITS more)."""
+    ends = rows.agg(F.min(key).alias("lo"), F.max(key).alias("hi")).first()
+    if ends["lo"] is None:
+        return np.empty(0, np.int64)
+    least = -(1 << 63)  # flipping this bit orders longs as unsigned numbers; a cell is their leading bits
+    shift, step, heavy, begins, sizes = max(0, ((ends["lo"] - least) ^ (ends["hi"] - least)).bit_length() - FIRST_BITS), 0, None, [], []
+    while True:
+        cells = rows.where(F.col(key).isNotNull()).select(F.shiftrightunsigned(F.col(key).bitwiseXOR(F.lit(least)), shift).alias("cell"), size)
+        if heavy is not None:
+            known = rows.sparkSession.createDataFrame(pd.DataFrame({"up": heavy}))
+            cells = cells.join(known, F.shiftrightunsigned("cell", step) == F.col("up"), "left_semi")
+        found = cells.groupBy("cell").agg(F.sum(size).alias("bytes")).toArrow()
+        cell, held = found.column("cell").to_numpy(), found.column("bytes").to_numpy()
+        more = (held > most) & (shift > 0)
+        begins.append((cell[~more].view(np.uint64) << np.uint64(shift) ^ np.uint64(1 << 63)).view(np.int64))
+        sizes.append(held[~more])
+        if not more.any():
+            break
+        heavy, step = cell[more], min(CELL_BITS, shift)
+        shift -= step
+    begin, held = np.concatenate(begins), np.concatenate(sizes)
+    out, run = [], 0
+    for i in np.argsort(begin, kind="stable"):
+        if run and run + held[i] > most:
+            out.append(int(begin[i]))
+            run = 0
+        run += held[i]
+    return np.array(out, np.int64)
+
+
+def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 512 << 20, file_bytes: int = 64 << 20, date: str = "2000-01-01T00:00:00Z", level: int = 6, id_col: str = "page_id", url_col: str = "url", body_col: str = "html") -> DataFrame:
     """Writes ``pages`` as WARC files in the new folder ``out`` and returns the manifest.
 
     A null body is an empty payload; a null or empty URL is replaced by a name made of the id. Of records with equal
     payloads of at least ``min_payload`` bytes the one of least id is a response and the others are revisits of it;
     repeated rows of that id are responses all. Rows without id come first, and are never referred to. Other columns
-    are ignored. An empty table gives an empty manifest. Equal rows give equal files.
+    are ignored. An empty table gives an empty manifest. Equal rows give equal files. A shard holds about ``shard_bytes``
+    of payload, a file about ``file_bytes`` compressed; a record larger than either is written whole. Raises
+    FileExistsError if ``out`` has been committed, by an earlier writer or by one at the same time.
     """
     spark = pages.sparkSession
     store = out.rstrip("/")
-    system, final = hadoop(spark, f"{store}/_manifest")
-    if system.exists(final):
+    system, current = hadoop(spark, f"{store}/{CURRENT}")
+    if system.exists(current):
         raise FileExistsError(f"{store} has been committed before")
+    run_name = f"run-{uuid.uuid4().hex}"
+    run_dir = f"{store}/{run_name}"
+    system.mkdirs(hadoop(spark, run_dir)[1])
     body = F.coalesce(F.encode(F.col(body_col).cast("string"), "UTF-8"), F.lit(b""))
     base = pages.select(F.col(id_col).cast("bigint").alias("k"), F.col(id_col).cast("string").alias("id"), F.col(url_col).cast("string").alias("url"), body.alias("body"))
     keyed = base.withColumns({"digest": F.unhex(F.sha1("body")), "n": F.octet_length("body").cast("long")})
     digests = materialize(keyed.select("k", "id", "digest", "n"), "digests")
     first = digests.where(F.col("n") >= min_payload).groupBy("digest").agg(F.min("k").alias("first"), F.count("*").alias("c")).where("c > 1 and first is not null").select("digest", "first")
     again = digests.join(first, "digest").where("not (k <=> first)").select("k", "digest", F.col("first").cast("string").alias("refers_to")).distinct()
-    ends = digests.agg(F.min("k").alias("lo"), F.max("k").alias("hi")).first()
-    lo, width = ends["lo"] or 0, max(1, -(-((ends["hi"] or 0) - (ends["lo"] or 0) + 1) // CELLS))
-    cell = F.coalesce(F.floor((F.col("k") - lo) / F.lit(width)), F.lit(0)).cast("int")
-    by_cell = sorted(digests.groupBy(cell.alias("cell")).agg(F.sum("n").alias("b")).collect())  # at most CELLS rows
-    cuts, size = [], 0
-    for r in by_cell:
-        if size and size + r["b"] > shard_bytes:
-            cuts.append(r["cell"])
-            size = 0
-        size += r["b"]
-    shard = F.lit(0)
-    for c in cuts if len(cuts) < 64 else []:
-        shard = shard + (cell >= c).cast("int")
-    if len(cuts) >= 64:
-        shard = F.size(F.filter(F.lit(cuts), lambda x: x <= cell))
+    cuts = spark.sparkContext.broadcast(cuts_of(digests, "k", "n", shard_bytes))  # a number a shard
+
+    @F.pandas_udf("int")
+    def shard_of(k: pd.Series) -> pd.Series:
+        least = np.iinfo(np.int64).min
+        return pd.Series(np.searchsorted(cuts.value, k.astype("Int64").fillna(least).to_numpy(np.int64), side="right").astype(np.int32))
+
+    shard = shard_of("k")
     none = lambda kind: F.lit(None).cast(kind)
     stream = keyed.select(shard.alias("shard"), "k", F.lit(1).alias("kind"), "digest", none("string").alias("refers_to"), "id", "url", "body")
     stream = stream.union(again.select(shard.alias("shard"), "k", F.lit(0), "digest", "refers_to", none("string"), none("string"), none("binary")))
-    stream = stream.repartitionById(len(cuts) + 1, F.col("shard")).sortWithinPartitions("shard", "k", "kind", "digest", "url")
+    stream = stream.repartitionById(len(cuts.value) + 1, F.col("shard")).sortWithinPartitions("shard", "k", "kind", "digest", "url")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        files, root = _files(store)
-        files.create_dir(f"{root}/_staging", recursive=True)
+        files, root = _files(run_dir)
         state: dict = {"shard": None, "sink": None}
 
         def close() -> list:
@@ -142,7 +180,7 @@ def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 6
                     yield from close()
                     part = state["part"] + 1 if state["shard"] == shard else 0
                     name = f"part-{shard:06d}-{part:04d}.warc.gz"
-                    temp = f"_staging/{name}.{uuid.uuid4().hex}"
+                    temp = f"{name}.{uuid.uuid4().hex}.tmp"
                     state.update(shard=shard, part=part, name=name, temp=temp, records=0, bytes=0, sum=hashlib.sha256(), sink=files.open_output_stream(f"{root}/{temp}", compression=None))
                     put(_record("warcinfo", f"<urn:file:{name}>", date, f"format: WARC File Format 1.1\r\nisPartOf: {name}\r\n".encode(), {"WARC-Filename": name}, "application/warc-fields"))
                 put(_page(page_id, url, body, known.get(digest), date))
@@ -151,7 +189,7 @@ def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 6
     staged = materialize(stream.mapInArrow(run, MANIFEST), "staged")
 
     def move(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        files, root = _files(store)
+        files, root = _files(run_dir)
         from pyarrow import fs
 
         for batch in batches:
@@ -163,15 +201,43 @@ def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 6
                     raise FileNotFoundError(f"{temp} is neither staged nor committed")
             yield batch
 
-    staged.mapInArrow(move, MANIFEST).write.option("compression", "zstd").parquet(f"{store}/_manifest.tmp")
-    try:  # of two writers one creates this file
-        system.create(hadoop(spark, f"{store}/_commit")[1], False).close()
-    except Exception as e:
-        raise FileExistsError(f"{store} is being committed by another writer") from e
-    system.rename(hadoop(spark, f"{store}/_manifest.tmp")[1], final)
-    system.delete(hadoop(spark, f"{store}/_staging")[1], True)
+    staged.mapInArrow(move, MANIFEST).drop("temp").write.option("compression", "zstd").parquet(f"{run_dir}/_manifest")
+    if not publish(spark, f"{store}/{CURRENT}", json.dumps({"run": run_name}).encode()):
+        system.delete(hadoop(spark, run_dir)[1], True)
+        raise FileExistsError(f"{store} has been committed by another writer")
     drop(digests, staged)
-    return spark.read.parquet(f"{store}/_manifest")
+    return manifest(spark, store)
+
+
+def _committed(spark: SparkSession, store: str) -> str:
+    """The committed writer's folder."""
+    system, path = hadoop(spark, f"{store}/{CURRENT}")
+    stream = system.open(path)
+    try:
+        return json.loads(bytes(stream.readAllBytes()).decode())["run"]
+    finally:
+        stream.close()
+
+
+def manifest(spark: SparkSession, out: str) -> DataFrame:
+    """shard, part, name, records, bytes, sha256 and path (from ``out``) of a committed archive's files."""
+    run = _committed(spark, out.rstrip("/"))
+    return spark.read.parquet(f"{out.rstrip('/')}/{run}/_manifest").withColumn("path", F.concat(F.lit(f"{run}/"), "name"))
+
+
+def clean(spark: SparkSession, out: str) -> int:
+    """Deletes what writers that didn't commit have left, and the lost attempts of the one that did; returns the number of
+    folders and files. Other writers must rest."""
+    store, gone = out.rstrip("/"), 0
+    run = _committed(spark, store)
+    for folder, keep in ((store, {run, CURRENT}), (f"{store}/{run}", None)):
+        system, path = hadoop(spark, folder)
+        for f in system.listStatus(path):
+            name = f.getPath().getName()
+            if name not in keep if keep is not None else name.endswith(".tmp"):
+                system.delete(f.getPath(), True)
+                gone += 1
+    return gone
 
 
 def _manifest_schema() -> pa.Schema:
@@ -179,6 +245,18 @@ def _manifest_schema() -> pa.Schema:
     return pa.schema([(x.split()[0], kinds[x.split()[1]]) for x in MANIFEST.split(", ")])
 
 
+class _Summed:
+    """A stream whose bytes are summed up as they are read."""
+
+    def __init__(self, stream):
+        self.stream, self.sum = stream, hashlib.sha256()
+
+    def read(self, n: int) -> bytes:
+        raw = self.stream.read(n)
+        self.sum.update(raw)
+        return raw
+
+
 def members(stream, step: int = 1 << 20) -> Iterator[tuple[int, bytes]]:
     """(offset, content) of each gzip member of a file, one record in memory at a time."""
     at, rest = 0, b""
@@ -214,16 +292,18 @@ def parse(raw: bytes) -> tuple[dict[str, str], bytes]:
 
 def read(spark: SparkSession, out: str) -> DataFrame:
     """Every page record of a committed archive: page_id string, url, payload_bytes, payload_digest, record_type,
-    refers_to string, payload binary (null for revisits), archive, archive_offset. Payload digests are verified."""
+    refers_to string, payload binary (null for revisits), archive, archive_offset. Payload digests and the files' sums in
+    the manifest are verified."""
     store = out.rstrip("/")
-    names = spark.read.parquet(f"{store}/_manifest").select("name")
+    names = manifest(spark, store).select("path", "name", "sha256")
     columns = ["page_id", "url", "payload_bytes", "payload_digest", "record_type", "refers_to", "payload", "archive", "archive_offset"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         files, root = _files(store)
-        for name in (n for b in batches for n in b.column("name").to_pylist()):
+        for path, name, checksum in (x for b in batches for x in zip(*(c.to_pylist() for c in b.columns))):
             rows, size = [], 0
-            with files.open_input_stream(f"{root}/{name}", compression=None) as stream:
+            with files.open_input_stream(f"{root}/{path}", compression=None) as opened:
+                stream = _Summed(opened)
                 for at, raw in members(stream):
                     fields, block = parse(raw)
                     if fields["warc-type"] == "warcinfo":
@@ -239,6 +319,8 @@ def read(spark: SparkSession, out: str) -> DataFrame:
                     if size > 8 << 20:
                         yield _rows(rows, columns)
                         rows, size = [], 0
+            if stream.sum.hexdigest() != checksum:
+                raise ValueError(f"{path} is not the file that was committed")
             if rows:
                 yield _rows(rows, columns)
 

@@ -60,11 +60,12 @@ def test_warc_round_trip(spark):
     assert by["3"]["payload_bytes"] == len("<p>é</p>".encode()) and by["3"]["payload"] is None and by["1"]["payload"] == "<p>é</p>".encode()
     assert by["3"]["payload_digest"] == by["1"]["payload_digest"] == warc._digest("<p>é</p>".encode())
     warc.write(df.repartition(5), again, shard_bytes=100_000, file_bytes=2_000)
-    name = lambda p: {(r["name"], r["sha256"], r["records"]) for r in spark.read.parquet(f"{p}/_manifest").collect()}
+    name = lambda p: {(r["name"], r["sha256"], r["records"]) for r in warc.manifest(spark, p).collect()}
     assert name(out) == name(again) and len(name(out)) > 3
     with pytest.raises(Exception):  # noqa: B017
         warc.write(df, out)
-    path = f"{out.removeprefix('file://')}/{sorted(name(out))[0][0]}"
+    assert warc.clean(spark, out) == 0
+    path = f"{out.removeprefix('file://')}/{warc.manifest(spark, out).orderBy('name').first()['path']}"
     assert gzip.open(path).read().startswith(b"WARC/1.1\r\nWARC-Type: warcinfo\r\n")
     large = new_path(spark, "warc")
     warc.write(df, large, min_payload=10)
@@ -82,6 +83,93 @@ def test_warc_without_rows_and_damage(spark):
         warc.parse(raw.replace(b"abc", b"abd"))
 
 
+def test_warc_writers_that_die_or_meet(spark, monkeypatch):
+    df = spark.createDataFrame(PAGES, "page_id bigint, url string, html string")
+    out, real = new_path(spark, "warc"), warc.publish
+    expected = None
+    for step in ("materialize", "publish"):  # a writer dies before its files are moved, and before it commits
+        with monkeypatch.context() as m:
+            keep = getattr(warc, step)
+            m.setattr(warc, step, lambda *a, **k: (_ for _ in ()).throw(OSError("lost")) if step == "publish" or a[1] == "staged" else keep(*a, **k))  # noqa: B023
+            with pytest.raises(OSError):
+                warc.write(df, out)
+        with pytest.raises(Exception):  # noqa: B017
+            warc.read(spark, out)
+
+    def late(*a):  # another writer commits while this one is about to
+        monkeypatch.setattr(warc, "publish", real)
+        warc.write(df.where("page_id = 7"), out)
+        return real(*a)
+
+    monkeypatch.setattr(warc, "publish", late)
+    with pytest.raises(FileExistsError):
+        warc.write(df, out)
+    rows = warc.read(spark, out).collect()
+    assert [r["page_id"] for r in rows] == ["7"] and warc.clean(spark, out) == 2 and warc.read(spark, out).count() == 1
+    path = f"{out.removeprefix('file://')}/{warc.manifest(spark, out).first()['path']}"
+    raw = open(path, "rb").read()
+    extra = warc._member(warc._page("8", "u", b"new", None, "2000-01-01T00:00:00Z"), 6)
+    open(path, "wb").write(raw + extra)  # whole records, but not those of the manifest
+    with pytest.raises(Exception, match="not the file that was committed"):
+        warc.read(spark, out).count()
+    assert expected is None
+
+
+def test_warc_cuts(spark):
+    """Runs of ids hold at most a shard, though one id is far away, ids are dense, or all are negative."""
+    for ids in ([*range(1000), 1 << 62], [-(1 << 62), *range(5_000_000, 5_000_500)], [7], [-5, -4, 3, (1 << 63) - 1, -(1 << 63)]):
+        rows = spark.createDataFrame([(i, 10) for i in ids] + [(None, 5)], "k bigint, n bigint")
+        cuts = warc.cuts_of(rows, "k", "n", 70)
+        n = np.bincount(np.searchsorted(cuts, np.array(ids), side="right"), minlength=len(cuts) + 1)
+        assert n.max() <= 7 and (n[:-1] + n[1:] > 3).all() and (np.diff(cuts) > 0).all()
+    assert len(warc.cuts_of(spark.createDataFrame([(3, 99), (3, 99), (4, 1)], "k bigint, n bigint"), "k", "n", 70)) == 1
+
+
+def test_compaction_writers_that_die_or_meet(spark, monkeypatch):
+    import json
+    import os
+
+    df = spark.createDataFrame([(i, "x" * i) for i in range(30)], "doc_id bigint, __arrival string")
+    store = compaction.ShardStore(spark, new_path(spark, "store"), target_bytes=1 << 20, fan_in=2)
+    store.append(df.limit(10))
+    folder = f"{store.root.removeprefix('file://')}/_versions"
+    with monkeypatch.context() as m:  # dies with all files written and nothing committed
+        m.setattr(compaction, "publish", lambda *a: (_ for _ in ()).throw(OSError("lost")))
+        with pytest.raises(OSError):
+            store.append(df)
+    assert store.read().count() == 10 and store.versions() == [1]
+    open(f"{folder}/0000000002.json", "w").close()  # what a writer without atomic commits would leave
+    open(f"{folder}/0000000003.json", "w").write(json.dumps({"version": 3})[:5])
+    assert store.append(df.where("doc_id >= 10")) == 4 and store.read().count() == 30 and store.versions() == [1, 4]
+    real, turns = compaction.publish, []
+
+    def late(*a):  # another writer's append comes first
+        if not turns:
+            turns.append(1)
+            store.append(df.limit(1))
+        return real(*a)
+
+    monkeypatch.setattr(compaction, "publish", late)
+    assert store.append(df.limit(2)) == 6 and store.read().count() == 33
+    turns.clear()
+    assert store.compact()[0] == 8 and store.read().count() == 34  # the merge was made anew upon the append
+    assert [f for f in os.listdir(folder) if f.endswith(".tmp")] == []
+    assert store.append_batches(df, df.doc_id % 2) == [9, 10] and store.read().where("__arrival = 'x'").count() >= 2
+
+
+def test_publish_by_renaming(spark):
+    from apcube.llm import storage
+
+    path = new_path(spark, "published")
+    system, source = storage.hadoop(spark, f"{path}/a")
+    system.create(source).close()
+    target = storage.hadoop(spark, f"{path}/b")[1]
+    storage._rename_new(spark, source, target)
+    system.create(source).close()
+    with pytest.raises(Exception, match="AlreadyExists|already exists"):
+        storage._rename_new(spark, source, target)
+
+
 def test_compaction(spark):
     rows = [(i, "x" * (i % 700) if i % 9 else None, i % 4) for i in range(3000)] + [(None, "", None), (5, "dup", 1), (5, "dup", 1)]
     df = spark.createDataFrame(rows, "doc_id bigint, text string, path int")
@@ -96,7 +184,7 @@ def test_compaction(spark):
     assert store.vacuum() > 0 and store.read().count() == len(rows) and store.compact() == []
     assert store.append(df.limit(10)) == done[-1] + 1 and store.read().count() == len(rows) + 10
     with pytest.raises(compaction.CommitConflict):
-        store._commit(0, store.manifest().select("path", "bytes", "rows"), df.schema, "late")
+        store._commit(1, store.manifest().select("path", "bytes", "rows"), df.schema, "late")
     empty = compaction.compacted(df.where("doc_id < -1"), new_path(spark, "store"))
     assert empty.read().count() == 0 and empty.read().columns == df.columns
 

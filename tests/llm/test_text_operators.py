@@ -140,6 +140,39 @@ def test_mix(spark):
     assert mixing.mixed_documents(df).columns == df.columns
 
 
+@pytest.mark.parametrize("shard_words", [1 << 22, 1000])
+def test_mix_takes_whole_quotas_per_shard(spark, shard_words):
+    """Every shard has its seats of every source, of blocks that a seeded order of them gives, by brute force."""
+    g = np.random.default_rng(6)
+    rows = [(i, "w " * int(g.integers(0, 200)), "en", "abc"[min(2, int(g.integers(0, 6)))]) for i in range(200)]
+    df = docs_of(spark, rows)
+    got = mixing.mix(df, block=16, shard_words=shard_words).collect()
+    source, size = {r[0]: r[3] for r in rows}, {r[0]: r[1].count("w") for r in rows}
+    order = sorted(set(source.values()))
+    sizes = [sum(size[i] for i in size if source[i] == s) for s in order]
+    want = mixing.targets(sizes, [5, 2, 1])
+    shards = -(-round(sum(want) / 16) * 16 // shard_words)
+    quotas = mixing.shard_quotas(want, round(sum(want) / 16), shards)
+    assert all(r["taken"] == sum(x["words"] for x in r["shards"]) for r in got)
+    for k in range(shards):
+        for s, name in enumerate(order):
+            words = sum(x["words"] for r in got for x in r["shards"] if x["shard"] == k and source[r["doc_id"]] == name)
+            assert abs(words - 16 * quotas[k][s]) <= 3 * 16  # the short block comes once a round
+    parted = [r for r in got if r["taken"] % max(1, r["size"])]
+    assert len(parted) > len(order)  # blocks from all over a source, not one run
+    walk = mixing.Walk(1003, 16, 700, np.array([20, 44]), "x")
+    each = [walk.take(np.array([i]), np.array([1])) for i in range(1003)]
+    assert sum(int(w.sum()) for _, _, w in each) == 700 and sorted(walk.place(np.arange(63))) == list(range(63))
+    assert walk.take(np.array([0]), np.array([1003]))[2].tolist() == [sum(int(w[k == j].sum()) for _, k, w in each) for j in (0, 1)]
+
+
+def test_mixed_documents_keeps_rows_without_id_and_clashing_names(spark):
+    rows = [(None, "a b c " * 30, "en", "s"), (None, "d e " * 30, "en", "s"), (1, "f " * 50, "en", "s"), (1, "g " * 60, "en", "s"), (2, None, "en", "s")]
+    df = docs_of(spark, rows).selectExpr("*", "1 as size", "2 as taken", "'x' as row", "3 as bucket", "4 as h", "5 as `end`")
+    got = mixing.mixed_documents(df, weights=(1,)).collect()
+    assert got[0].asDict().keys() == set(df.columns) and {r["text"] for r in got} == {r[1] for r in rows[:4]} and {r["row"] for r in got} == {"x"}
+
+
 def test_language_id(spark, sf):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = langid.identify(docs).join(docs.select("doc_id", "lang"), "doc_id").where("held_out")
@@ -282,9 +315,7 @@ def lm_tokens(text):
     return re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or "")) + [None]
 
 
-def test_lm_scores(spark, monkeypatch):
-    monkeypatch.setattr(ngramlm, "CHUNK_TOKENS", 400)
-    monkeypatch.setattr(ngramlm, "PART_KEYS", 150)
+def lm_rows():
     g = np.random.default_rng(8)
     words = [f"w{i}" for i in range(40)]
     rows = []
@@ -293,25 +324,87 @@ def test_lm_scores(spark, monkeypatch):
         for _ in range(int(g.integers(0, 30))):
             w.append(words[(words.index(w[-1]) * 7 + int(g.integers(0, 3))) % 40])
         rows.append((i, " ".join(w)))
-    rows += [(500, None), (501, ""), (502, "unheard OF words"), (None, "w0 w1")]
+    return rows + [(500, None), (501, ""), (502, "unheard OF words"), (None, "w0 w1")]
+
+
+def grams(tokens):
+    """Per token its word, bigram and trigram, and its contexts of one and two words."""
+    t = ["<<", "<", *tokens]
+    return [((w,), (v, w), (u, v, w), (v,), (u, v)) for u, v, w in zip(t, t[1:], t[2:])]
+
+
+def lm_probability(gram, count, docs, n, v, weights, less=Counter()):
+    """The interpolated probability by hand; ``less``: counts to leave out, with "docs" and "tokens"."""
+    word, two, three, h1, h2 = gram
+    c = lambda x: count[x] - less[x]
+    starts = docs - less["docs"]
+    n1, n2 = (starts if h1 == ("<",) else c(h1)), (starts if h2 == ("<<", "<") else c(h2))
+    ratios = [c(three) / n2 if n2 else 0, c(two) / n1 if n1 else 0, c(word) / (n - less["tokens"]), 1 / (v + 1)]
+    k = int(ngramlm.bucket(np.array([n2]), np.array([n1]))[0])
+    return ratios, k, sum(a * b for a, b in zip(weights[k], ratios))
+
+
+@pytest.mark.parametrize("chunk,fan", [(10**6, 7), (400, 7), (150, 1), (300, 2)])
+def test_lm_scores(spark, monkeypatch, chunk, fan):
+    """Counts, base scores and scores by hand, for one chunk, for many, and for several levels of nodes."""
+    monkeypatch.setattr(ngramlm, "CHUNK_TOKENS", chunk)
+    monkeypatch.setattr(ngramlm, "FAN_BITS", fan)
+    seen, estimate = [], ngramlm.estimate
+    monkeypatch.setattr(ngramlm, "estimate", lambda *a, **k: seen.append(estimate(*a, **k)) or seen[-1])
+    rows = lm_rows()
     counted = {i: i is not None and zlib.crc32(str(i).encode()) % 7 != 2 for i, _ in rows}
-    got = {r["doc_id"]: r for r in ngramlm.score(docs_of(spark, rows), langid.fold("doc_id", 7) != 2).collect()}
-    c1 = Counter(t for i, x in rows if counted[i] for t in lm_tokens(x))
-    n, v = sum(c1.values()), len(c1)
+    got = {r["doc_id"]: r for r in ngramlm.score(docs_of(spark, rows).repartition(6), langid.fold("doc_id", 7) != 2).collect()}
+    count = Counter(x for i, t in rows if counted[i] for g in grams(lm_tokens(t)) for x in g[:3])
+    n, v = sum(c for k, c in count.items() if len(k) == 1), sum(len(k) == 1 for k in count)
     assert len(got) == len(rows)
     for i, x in rows:
-        t = lm_tokens(x)
-        assert (got[i]["n_tokens"], got[i]["n_known"], got[i]["train_tokens"], got[i]["counted"]) == (len(t), sum(c1[w] > 0 for w in t), n, counted[i])
-        assert got[i]["base_score"] == pytest.approx(sum(math.log10((c1[w] + 1) / (n + v + 1)) for w in t), rel=1e-9)
-        assert math.isfinite(got[i]["score"])
+        t = grams(lm_tokens(x))
+        assert (got[i]["n_tokens"], got[i]["n_known"], got[i]["train_tokens"], got[i]["counted"]) == (len(t), sum(count[g[0]] > 0 for g in t), n, counted[i])
+        assert got[i]["base_score"] == pytest.approx(sum(math.log10((count[g[0]] + 1) / (n + v + 1)) for g in t), rel=1e-9)
+        assert got[i]["score"] == pytest.approx(sum(math.log10(lm_probability(g, count, sum(counted.values()), n, v, seen[0])[2]) for g in t), rel=1e-9)
     held = [i for i, _ in rows if i is not None and i < 500 and not counted[i]]
     assert sum(got[i]["score"] for i in held) > sum(got[i]["base_score"] for i in held)
+
+
+def test_lm_without_training_rows(spark):
     assert ngramlm.score(docs_of(spark, []), langid.fold("doc_id", 7) != 2).count() == 0
     alone = ngramlm.score(docs_of(spark, [(1, "a b")]), F.lit(False)).first()
     assert alone["score"] == alone["base_score"] == 0.0 and alone["train_tokens"] == 0
 
 
+def test_lm_weights_by_brute_force(spark, monkeypatch):
+    """Expectation-maximisation on every training token's own deleted ratios gives the weights that the grid of ratios does,
+    to within the grid's step; all probabilities after a context add up to one."""
+    seen, estimate = [], ngramlm.estimate
+    monkeypatch.setattr(ngramlm, "estimate", lambda *a, **k: seen.append(estimate(*a, **k)) or seen[-1])
+    rows = [(i, t) for i, t in lm_rows() if t]
+    counted = {i: i is not None and zlib.crc32(str(i).encode()) % 7 != 2 for i, _ in rows}
+    ngramlm.score(docs_of(spark, rows), langid.fold("doc_id", 7) != 2).count()
+    train = [grams(lm_tokens(t)) for i, t in rows if counted[i]]
+    count = Counter(x for t in train for g in t for x in g[:3])
+    n, v = sum(c for k, c in count.items() if len(k) == 1), sum(len(k) == 1 for k in count)
+    even, found = np.full((ngramlm.BUCKETS, 4), 0.25), {}
+    for t in train:
+        less = Counter(x for g in t for x in g[:3]) + Counter({"docs": 1, "tokens": len(t)})
+        for g in t:
+            ratios, k, _ = lm_probability(g, count, len(train), n, v, even, less)
+            found.setdefault(k, []).append(ratios)
+    for k, ratios in found.items():
+        p, w = np.array(ratios), np.array([k >= ngramlm.SINGLES, k > 0, 1, 1], float)
+        w /= w.sum()
+        for _ in range(200):
+            part = w * p
+            w = (part / part.sum(axis=1, keepdims=True)).mean(axis=0)
+        likelihood = lambda x: np.log(p @ x).mean()  # noqa: E731, B023
+        assert likelihood(seen[0][k]) > likelihood(w) - 0.02, (k, w, seen[0][k])
+    for context in ((("w0",), ("<", "w0")), (("w3",), ("w0", "w3")), (("new",), ("w0", "new"))):
+        words = [k[0] for k in count if len(k) == 1] + ["never"]
+        total = sum(lm_probability(((w,), (*context[0], w), (*context[1], w), *context), count, len(train), n, v, seen[0])[2] for w in words)
+        assert total == pytest.approx(1)
+
+
 def test_lm_weights_are_a_distribution():
-    cells, n = np.array([(3 * ngramlm.GRID + 4) * ngramlm.GRID + 40, (0 * ngramlm.GRID + ngramlm.GRID - 1) * ngramlm.GRID + 30]), np.array([100, 50])
+    g = ngramlm.GRID
+    cells, n = np.array([((ngramlm.SINGLES + 3) * g + 0) * g * g + 4 * g + 40, (g - 1) * g * g + (g - 1) * g + 30]), np.array([100, 50])
     w = ngramlm.estimate(cells, n, 1000)
-    assert np.allclose(w.sum(axis=1), 1) and w[0, 0] == 0 and (w[:, 2] > 0).all() and w[3, 0] > 0.9
+    assert np.allclose(w.sum(axis=1), 1) and not w[: ngramlm.SINGLES, 0].any() and w[0, 1] == 0 and (w[:, 2:] > 0).all() and w[ngramlm.SINGLES + 3, 0] > 0.9
