@@ -13,26 +13,35 @@ from apcube.functions.scale import morton
 from apcube.operators import boxtree
 from apcube.operators.baselines import scan
 from apcube.operators.boxtree import Nodes
-from apcube.operators.index import Index, assign, to_cells
+from apcube.operators.index import Extra, Index, assign
 from apcube.plans.spec import Chart
 
 
-def covariance(df: DataFrame, a: str, b: str, width: int, cell: int = 1800) -> DataFrame:
-    """t1, n, cov, corr, slope of two dimensions per bin of the first, from cross sums kept in cells."""
-    big = lambda x: x.cast("decimal(38,0)")
-    x, y = F.col(a), F.col(b)
-    cells = df.groupBy(F.floor(x / cell).alias("q")).agg(F.count("*").alias("n"), F.sum(x).alias("sx"), F.sum(y).alias("sy"), F.sum(big(x) * big(x)).alias("sxx"), F.sum(big(y) * big(y)).alias("syy"), F.sum(big(x) * big(y)).alias("sxy"))
-    t = cells.groupBy(F.floor(F.col("q") * cell / width).cast("long").alias("t1")).agg(*(F.sum(c).cast("double").alias(c) for c in ("n", "sx", "sy", "sxx", "syy", "sxy")))
+def cross(a: str, b: str) -> tuple[Extra, ...]:
+    """Sums and cross sums of two dimensions, as further descriptors of an index's cells."""
+    wide = lambda x: f"cast({x} as decimal(38,0))"
+    sums = {"sx": a, "sy": b, "sxx": f"{wide(a)} * {a}", "syy": f"{wide(b)} * {b}", "sxy": f"{wide(a)} * {b}"}
+    return tuple(Extra(name, f"sum({x})", "sum", (a, b)) for name, x in sums.items())
+
+
+def covariance(index: Index, chart: Chart) -> DataFrame:
+    """t.., n, cov, corr, slope of the two dimensions of ``cross`` per grid, from the index's cells."""
+    t = index.assigned(chart).groupBy(*chart.names).agg(*(F.sum(c).cast("double").alias(c) for c in ("n", "sx", "sy", "sxx", "syy", "sxy")))
     n, cov = F.col("n"), F.col("sxy") / F.col("n") - F.col("sx") * F.col("sy") / (F.col("n") * F.col("n"))
     vx, vy = (F.col(f"s{v}{v}") / n - (F.col(f"s{v}") / n) ** 2 for v in "xy")
     corr = F.when((n > 1) & (vx > 0) & (vy > 0), cov / F.sqrt(vx * vy)).otherwise(0.0)
     slope = F.when((n > 1) & (vx > 0), cov / vx).otherwise(0.0)
-    return t.select("t1", n.cast("long").alias("n"), F.round(cov, 0).alias("cov"), F.round(corr, 4).alias("corr"), F.round(slope, 4).alias("slope"))
+    return t.select(*chart.names, n.cast("long").alias("n"), F.round(cov, 0).alias("cov"), F.round(corr, 4).alias("corr"), F.round(slope, 4).alias("slope"))
+
+
+def sketch(column: str) -> Extra:
+    """A mergeable sketch of the distinct values of a column, as a further descriptor."""
+    return Extra(f"hll_{column}", f"hll_sketch_agg({column})", "hll_union_agg", (column,))
 
 
-def category_cells(df: DataFrame, category: str, cells: dict[str, int]) -> DataFrame:
-    """q_<dim>.., category, n: cells with the category as an unsummed key."""
-    return df.groupBy(*(F.floor(F.col(d) / c).cast("long").alias(f"q_{d}") for d, c in cells.items()), category).agg(F.count("*").alias("n"))
+def distinct(index: Index, chart: Chart, column: str) -> DataFrame:
+    """t.., value: about how many values of the column each grid has, from the sketches of its cells."""
+    return index.assigned(chart).groupBy(*chart.names).agg(F.expr(f"hll_sketch_estimate(hll_union_agg(hll_{column}))").alias("value"))
 
 
 def depth_edges(index: Index, dim: str, bins: int) -> tuple[int, ...]:
@@ -55,17 +64,25 @@ def stratified(df: DataFrame, stratum: str, key: str, quota: int) -> DataFrame:
     return bounded.withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= quota).drop("__r", "__n")
 
 
-def with_outliers(df: DataFrame, index: Index, chart: Chart, share: float) -> DataFrame:
-    """Counts of a chart where the thinnest ``share`` of the leaves keep their records as rows (read exactly) and the
-    others answer from cells."""
-    n = index.nodes
-    area = ((n.hi[index.leaves] - n.lo[index.leaves] + 1) / index.widths).prod(axis=1)
-    density = n.count[index.leaves] / area
-    thin = np.argsort(density, kind="stable")[: int(share * len(density))].tolist()
-    placed = assign(df.select(*index.dims), index.dims, n, index.leaves, index.widths)
-    rows = scan(placed.where(F.col("leaf").isin(thin)), chart)
-    cells = index.chart(chart, leaves=[i for i in range(len(index.leaves)) if i not in set(thin)])
-    return rows.union(cells).groupBy(*chart.names).agg(F.sum("value").alias("value"))
+class OutlierStore:
+    """An index whose thinnest ``share`` of leaves keep their records as rows, stored once, clustered by leaf, under ``path``;
+    the other leaves keep cells alone. Charts add both; outliers are read exactly, whatever the bins."""
+
+    def __init__(self, df: DataFrame, index: Index, share: float, path: str):
+        n = index.nodes
+        area = ((n.hi[index.leaves] - n.lo[index.leaves] + 1) / index.widths).prod(axis=1)
+        density = n.count[index.leaves] / area
+        self.thin = np.argsort(density, kind="stable")[: int(share * len(density))].tolist()
+        placed = assign(df.select(*index.dims).dropna(), index.dims, n, index.leaves, index.widths).where(F.col("leaf").isin(self.thin))
+        placed.repartition("leaf").sortWithinPartitions("leaf").write.parquet(path)
+        self.index, self.rows = index, df.sparkSession.read.schema(placed.schema).parquet(path)
+        self.dense = [i for i in range(len(index.leaves)) if i not in set(self.thin)]
+
+    def chart(self, chart: Chart) -> DataFrame:
+        met = set(self.index.candidates(chart).tolist())
+        rows = scan(self.rows.where(F.col("leaf").isin([i for i in self.thin if i in met])), chart)
+        cells = self.index.chart(chart, leaves=[i for i in self.dense if i in met])
+        return rows.union(cells).groupBy(*chart.names).agg(F.sum("value").alias("value"))
 
 
 def kmeans_nodes(df: DataFrame, dims: Sequence[str], widths: dict[str, int], k: int, seed: int = 6) -> Nodes:

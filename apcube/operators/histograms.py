@@ -12,7 +12,7 @@ from dataclasses import replace
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from apcube.operators.index import Index, assign
+from apcube.operators.index import Index, assign, to_cells
 from apcube.plans.spec import Chart
 
 
@@ -87,22 +87,34 @@ def mode(mass: DataFrame, *keys: str) -> DataFrame:
 
 
 def of_index(df: DataFrame, index: Index, measure: str, bins: int, scope: str = "local") -> Index:
-    """The index with cells that have a histogram bin as well: hb, e_lo, e_hi; answers are masses (see ``masses``)."""
+    """The index with a histogram bin of ``measure`` (the index's own measure) as a further axis: hb, e_lo, e_hi; its cells
+    and prefix arrays are kept apart by it. The ranges of the parts come from the index's own cells, so that the records
+    are read once; answers are masses (see ``masses``)."""
+    local = index.cells.groupBy("leaf").agg(F.min("mn").alias("e_lo"), F.max("mx").alias("e_hi"))
+    if scope == "global":
+        local = local.select("leaf").crossJoin(F.broadcast(index.cells.agg(F.min("mn").alias("e_lo"), F.max("mx").alias("e_hi"))))  # one row
     points = df.select(*index.dims, F.col(measure).cast("bigint").alias("m")).dropna()
-    placed = assign(points, index.dims, index.nodes, index.leaves, index.widths).persist()
-    ranged = placed.join(F.broadcast(edges(placed, "leaf", "m", scope)), "leaf")  # one row per leaf
-    table = df.sparkSession.createDataFrame([(i, *(int(x) for x in row)) for i, row in enumerate(index.cells_per)], ", ".join(["leaf int", *(f"c_{d} bigint" for d in index.dims)]))
-    keyed = ranged.join(F.broadcast(table), "leaf").withColumn("hb", bin_of("m", bins))
-    cells = keyed.groupBy("leaf", *(F.floor(F.col(d) / F.col(f"c_{d}")).cast("long").alias(f"q_{d}") for d in index.dims), *(f"c_{d}" for d in index.dims), "hb", "e_lo", "e_hi").agg(F.count("*").alias("n"))
-    return replace(index, cells=cells.persist(), _prefix=None)
+    placed = assign(points, index.dims, index.nodes, index.leaves, index.widths)
+    ranged = placed.join(F.broadcast(local), "leaf").withColumn("hb", bin_of("m", bins))  # one row per leaf
+    axes = (*index.axes, "hb", "e_lo", "e_hi")
+    return replace(index, cells=to_cells(ranged, index.dims, index.cells_per, axes).persist(), axes=axes, extras=(), _prefix=None)
 
 
-def masses(index: Index, chart: Chart, bins: int, snap: str = "nearest") -> DataFrame:
-    """t.., a, b, n: the bins of all cells that a chart's grids take."""
-    found = index.assigned(chart, snap).groupBy(*chart.names, "e_lo", "e_hi", "hb").agg(F.sum("n").alias("n"))
+def masses(index: Index, chart: Chart, bins: int, snap: str = "nearest", prefix: bool = False) -> DataFrame:
+    """t.., a, b, n: the bins of all cells that a chart's grids take, from cells or from prefix arrays."""
+    by = ("hb", "e_lo", "e_hi")
+    chart = Chart(chart.bins, chart.where)
+    found = (index.chart_prefix if prefix else index.chart)(chart, snap, by=by).withColumnRenamed("value", "n")
     return pieces(found, bins, *chart.names)
 
 
+def upto(index: Index, chart: Chart) -> DataFrame:
+    """t.., hb, n, upto: the cumulative histogram of every grid, of parts that share their ranges (scope ``global``)."""
+    found = index.chart_prefix(Chart(chart.bins, chart.where), by=("hb",)).withColumnRenamed("value", "n")
+    w = Window.partitionBy(*chart.names).orderBy("hb").rowsBetween(Window.unboundedPreceding, 0)
+    return found.withColumn("upto", F.sum("n").over(w))
+
+
 def quantile_bounds(index: Index, chart: Chart, bins: int, q: float) -> DataFrame:
     """t.., z_lo, z_hi that enclose the exact quantile: mass of inner cells with bins wholly below z is certain, mass of
     outer cells with bins that begin below z is possible."""

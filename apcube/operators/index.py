@@ -7,7 +7,7 @@ the records; what is shuffled is (part, cell) aggregates, never records.
 
 from __future__ import annotations
 
-from collections.abc import Iterator, Sequence
+from collections.abc import Callable, Iterator, Sequence
 from dataclasses import dataclass, field
 from functools import reduce
 
@@ -27,6 +27,16 @@ MOST_SAMPLE = 200_000
 DESCRIPTORS = {"n": "count", "s": "sum", "s2": "sum of squares", "mn": "least", "mx": "most"}
 
 
+@dataclass(frozen=True)
+class Extra:
+    """A further descriptor of cells: an aggregate over records (SQL), and the aggregate that merges its values."""
+
+    name: str
+    collect: str
+    merge: str
+    columns: tuple[str, ...]
+
+
 @dataclass
 class Index:
     dims: list[str]
@@ -41,6 +51,9 @@ class Index:
     aligned: bool
     height: int
     outside: int = 0
+    axes: tuple[str, ...] = ()
+    """Further keys of the cells that are never summed unless asked: categories, histogram bins."""
+    extras: tuple[Extra, ...] = ()
     _prefix: DataFrame | None = field(default=None, repr=False)
 
     # ---- candidates ------------------------------------------------------------------------------------------
@@ -71,97 +84,162 @@ class Index:
 
     # ---- answers from cells ----------------------------------------------------------------------------------
 
-    def _values(self, agg: str) -> list[Column]:
+    @staticmethod
+    def _values(agg: str) -> list[Column]:
         n, s, s2 = F.sum("n"), F.sum("s"), F.sum("s2")
         mean, var = s.cast("double") / n, s2.cast("double") / n - (s.cast("double") / n) ** 2
         value = {"count": n.cast("long"), "sum": s.cast("long"), "mean": F.round(mean, 4), "var": F.round(var, 2), "std": F.round(F.sqrt(F.greatest(var, F.lit(0.0))), 2), "min": F.min("mn"), "max": F.max("mx")}[agg]
         return [value.alias("value")]
 
+    @staticmethod
+    def _bin(d: str, e: np.ndarray, snap: str) -> tuple[Column, Column]:
+        """The first and last bin of the edges ``e`` on dimension ``d`` that take a cell (outside [0, bins): none)."""
+        q, c, lit = F.col(f"q_{d}"), F.col(f"c_{d}"), F.array(*(F.lit(int(x)) for x in e))
+        low, high = F.slice(lit, 1, len(e) - 1), F.slice(lit, 2, len(e) - 1)
+        count = lambda a, f: F.size(F.filter(a, lambda x: f(x, c) <= q)).cast("long")
+        if snap == "outer":
+            return count(high, up_col), count(low, down_col) - 1
+        t = count(lit, near_col if snap == "nearest" else up_col) - 1
+        if snap == "inner":
+            t = F.when(t.between(0, len(e) - 2) & (down_col(F.get(lit, t.cast("int") + 1), c) > q), t).otherwise(-1)
+        return t, t
+
     def assigned(self, chart: Chart, snap: str = "nearest", leaves: Sequence[int] | None = None) -> DataFrame:
         """Cells that fall into the chart's grids, with their t columns. ``snap``: each edge to the nearest cell edge, or
         ``inner``/``outer``: cells wholly inside a grid, or touching it (a cell may touch several)."""
         df = self.cells if leaves is None else self.cells.where(F.col("leaf").isin([int(x) for x in leaves]))
         charted = {b.dim: n for b, n in zip(chart.bins, chart.names)}
         for d, e in chart.edges().items():
-            q, c = F.col(f"q_{d}"), F.col(f"c_{d}")
-            lit = F.array(*(F.lit(int(x)) for x in e))
-            low, high = F.slice(lit, 1, len(e) - 1), F.slice(lit, 2, len(e) - 1)
-            count = lambda a, f: F.size(F.filter(a, lambda x: f(x, c) <= q))  # noqa: B023, E731
-            name = charted.get(d, f"__{d}")
-            if snap == "nearest":
-                df = df.withColumn(name, (count(lit, near_col) - 1).cast("long")).where(F.col(name).between(0, len(e) - 2))
-            elif snap == "inner":
-                t = count(lit, up_col) - 1
-                df = df.withColumn(name, t.cast("long")).where(F.col(name).between(0, len(e) - 2)).where(down_col(F.element_at(lit, (F.col(name) + 2).cast("int")), c) > q)
+            name, (first, last) = charted.get(d, f"__{d}"), self._bin(d, e, snap)
+            if snap == "outer":
+                first, last = F.greatest(first, F.lit(0)), F.least(last, F.lit(len(e) - 2))
+                df = df.where(first <= last).withColumn(name, F.explode(F.sequence(first, last)))
             else:
-                first, last = count(high, up_col), count(low, down_col) - 1
-                df = df.withColumn("__f", first).withColumn("__l", last).where("__f <= __l").withColumn(name, F.explode(F.sequence(F.col("__f").cast("long"), F.col("__l").cast("long")))).drop("__f", "__l")
+                df = df.withColumn(name, first).where(F.col(name).between(0, len(e) - 2))
         return df
 
-    def chart(self, chart: Chart, snap: str = "nearest", leaves: Sequence[int] | None = None) -> DataFrame:
-        """t1..tk, value of the grids that hold something; without bins one row."""
-        found = self.assigned(chart, snap, leaves)
-        return found.groupBy(*chart.names).agg(*self._values(chart.agg)) if chart.bins else found.agg(*self._values(chart.agg))
+    def chart(self, chart: Chart, snap: str = "nearest", leaves: Sequence[int] | None = None, by: Sequence[str] = ()) -> DataFrame:
+        """t1..tk (and the axes named in ``by``), value of the grids that hold something; without either one row."""
+        found, keys = self.assigned(chart, snap, leaves), [*chart.names, *by]
+        return found.groupBy(*keys).agg(*self._values(chart.agg)) if keys else found.agg(*self._values(chart.agg))
 
-    def with_error(self, chart: Chart) -> DataFrame:
-        """t.., value, v_lo, v_hi, margin: bounds from inner and outer boxes (counts, and sums of measures >= 0)."""
-        parts = [self.chart(chart, s).withColumnRenamed("value", v) for s, v in (("nearest", "value"), ("inner", "v_lo"), ("outer", "v_hi"))]
-        df = parts[2].join(parts[1], chart.names, "left").join(parts[0], chart.names, "left").fillna(0, ["value", "v_lo"])
-        margin = F.when(F.col("value") != 0, F.round((F.col("v_hi") - F.col("v_lo")) / F.col("value"), 6)).when(F.col("v_hi") == F.col("v_lo"), F.lit(0.0))
-        return df.withColumn("margin", margin)
+    def with_error(self, chart: Chart, leaves: Sequence[int] | None = None) -> DataFrame:
+        """t.., value, v_lo, v_hi, margin of a count or a sum, in one pass over the cells.
+
+        A cell inside a grid counts as it is. Of one that only touches it any part may lie inside: of a count from none to
+        all, of a sum from all that is negative to all that is positive, which the cell's least and most measure bound."""
+        if chart.agg not in ("count", "sum"):
+            raise ValueError(f"no bounds for {chart.agg}")
+        df, charted = self.cells if leaves is None else self.cells.where(F.col("leaf").isin([int(x) for x in leaves])), {b.dim: n for b, n in zip(chart.bins, chart.names)}
+        near, inside = F.lit(True), F.lit(True)
+        for d, e in chart.edges().items():
+            name, (first, last) = charted.get(d, f"__{d}"), self._bin(d, e, "outer")
+            first, last = F.greatest(first, F.lit(0)), F.least(last, F.lit(len(e) - 2))
+            df = df.where(first <= last).withColumn(name, F.explode(F.sequence(first, last)))
+            near, inside = near & (self._bin(d, e, "nearest")[0] == F.col(name)), inside & (self._bin(d, e, "inner")[0] == F.col(name))
+        if chart.agg == "count":
+            x, least, most = F.col("n"), F.lit(0), F.col("n")
+        else:
+            x, mn, mx = F.col("s"), F.coalesce("mn", F.lit(0)), F.coalesce("mx", F.lit(0))
+            least = F.when(mn >= 0, 0).when(mx <= 0, x).otherwise(F.col("n") * mn)
+            most = F.when(mn >= 0, x).when(mx <= 0, 0).otherwise(F.col("n") * mx)
+        pick = lambda c, y, z: F.coalesce(F.sum(F.when(c, y).otherwise(z)), F.lit(0)).cast("long")
+        found = df.groupBy(*chart.names).agg(pick(near, x, F.lit(0)).alias("value"), pick(inside, x, least).alias("v_lo"), pick(inside, x, most).alias("v_hi"))
+        margin = F.when(F.col("value") != 0, F.round((F.col("v_hi") - F.col("v_lo")) / F.abs("value"), 6)).when(F.col("v_hi") == F.col("v_lo"), F.lit(0.0))
+        return found.withColumn("margin", margin)
+
+    def linked(self, views: Sequence[tuple[tuple, Chart]], keys: str) -> DataFrame:
+        """Many one-dimensional charts (``views``: the values of the columns ``keys`` that name a view, and its chart) in
+        one pass over the cells: keys.., t1, value (counts)."""
+        parts = []
+        for named, chart in views:
+            t, ok = None, F.lit(True)
+            for d, e in chart.edges().items():
+                at = self._bin(d, e, "nearest")[0]
+                ok = ok & at.between(0, len(e) - 2)
+                t = at if d == chart.bins[0].dim else t
+            parts.append(F.when(ok, F.struct(*(F.lit(v).alias(f"k{i}") for i, v in enumerate(named)), t.alias("t1"))))
+        names = keys.split(", ")
+        df = self.cells.select("n", F.explode(F.filter(F.array(*parts), lambda x: x.isNotNull())).alias("v"))
+        return df.groupBy(*(F.col(f"v.k{i}").alias(k) for i, k in enumerate(names)), F.col("v.t1").alias("t1")).agg(F.sum("n").cast("long").alias("value"))
 
     # ---- answers from prefix arrays --------------------------------------------------------------------------
 
     def prefix(self) -> DataFrame:
-        """Per leaf: origin, shape, width of the cells and the prefix sums of n, s and s2 as dense arrays. A leaf whose
-        dense array would exceed the budget (its box grew) has none and answers from its cells."""
+        """Per leaf (and value of the axes): origin, shape, width of the cells and, as dense arrays of whole numbers, the
+        prefix sums of n, s and the high and low 32 bits of s2. A leaf whose dense array would exceed the budget, since its
+        box grew, has several arrays: its cells are halved along the longer side of their box until each part fits."""
         if self._prefix is None:
-            dims, budget = self.dims, self.budget
+            dims, budget, axes = self.dims, self.budget, self.axes
+
+            def tiles(q: np.ndarray, at: np.ndarray) -> Iterator[np.ndarray]:
+                extent = q[at].max(axis=0) - q[at].min(axis=0) + 1
+                if extent.astype(float).prod() <= max(budget, 1):
+                    yield at
+                    return
+                axis = int(extent.argmax())
+                values = np.unique(q[at, axis])
+                low = q[at, axis] < values[len(values) // 2]
+                yield from tiles(q, at[low])
+                yield from tiles(q, at[~low])
 
             def dense(group: pa.Table) -> pa.Table:
-                q = np.stack([group.column(f"q_{d}").to_numpy() for d in dims], axis=1)
-                lo, shape = q.min(axis=0), q.max(axis=0) - q.min(axis=0) + 1
-                if shape.astype(float).prod() > budget:
-                    return pa.table([[], [], [], [], []], PREFIX_SCHEMA)
+                every = np.stack([group.column(f"q_{d}").to_numpy() for d in dims], axis=1)
+                s2 = [int(x) for x in group.column("s2").to_pylist()]
+                channels = [group.column("n").to_numpy(), group.column("s").to_numpy(), np.array([x >> 32 for x in s2]), np.array([x & 0xFFFFFFFF for x in s2])]
                 out = []
-                for v in ("n", "s", "s2"):
-                    a = np.zeros(shape)
-                    a[tuple((q - lo).T)] = [float(x) for x in group.column(v).to_pylist()] if v == "s2" else group.column(v).to_numpy()
-                    for axis in range(len(dims)):
-                        a = a.cumsum(axis=axis)
-                    out.append(a.ravel())
+                for at in tiles(every, np.arange(len(every))):
+                    q = every[at]
+                    lo, shape = q.min(axis=0), q.max(axis=0) - q.min(axis=0) + 1
+                    sums = np.zeros((len(channels), *shape), np.int64)
+                    for a, v in zip(sums, channels):
+                        a[tuple((q - lo).T)] = v[at]
+                        for axis in range(len(dims)):
+                            np.cumsum(a, axis=axis, out=a)
+                    out.append((lo.tolist(), shape.tolist(), sums.ravel()))
+                same = lambda c: group.column(c).take(pa.array([0] * len(out)))
                 c = [group.column(f"c_{d}")[0].as_py() for d in dims]
-                return pa.table([[group.column("leaf")[0].as_py()], [lo.tolist()], [shape.tolist()], [c], [np.stack(out).ravel().tolist()]], PREFIX_SCHEMA)
+                lists = [pa.array(x, pa.list_(pa.int64())) for x in ([o[0] for o in out], [o[1] for o in out], [c] * len(out), [o[2] for o in out])]
+                return pa.table([same("leaf"), *map(same, axes), *lists], ["leaf", *axes, "origin", "shape", "width", "sums"])
 
-            PREFIX_SCHEMA = pa.schema([("leaf", pa.int32()), ("origin", pa.list_(pa.int64())), ("shape", pa.list_(pa.int64())), ("width", pa.list_(pa.int64())), ("sums", pa.list_(pa.float64()))])
-            self._prefix = self.cells.groupBy("leaf").applyInArrow(dense, "leaf int, origin array<bigint>, shape array<bigint>, width array<bigint>, sums array<double>").persist()
+            kinds = [f"{f.name} {f.dataType.simpleString()}" for f in self.cells.schema if f.name in ("leaf", *axes)]
+            head = ", ".join(sorted(kinds, key=lambda k: ["leaf", *axes].index(k.split()[0])))
+            self._prefix = self.cells.groupBy("leaf", *axes).applyInArrow(dense, f"{head}, origin array<bigint>, shape array<bigint>, width array<bigint>, sums array<bigint>").persist()
         return self._prefix
 
-    def chart_prefix(self, chart: Chart, snap: str = "nearest", leaves: Sequence[int] | None = None) -> DataFrame:
-        """As ``chart`` for count, sum and what follows from them, from the prefix arrays: every leaf's prefix is read once
-        per vertex of the grids and differenced along each dimension in turn. ``snap`` may also be ``interp``: edges
-        between cell edges read the multilinear interpolation."""
-        edges, dims, names = chart.edges(), self.dims, chart.names
-        charted = [b.dim for b in chart.bins]
+    def chart_prefix(self, chart: Chart, snap: str = "nearest", leaves: Sequence[int] | None = None, by: Sequence[str] = ()) -> DataFrame:
+        """As ``chart`` for count, sum and what follows from them, from the prefix arrays: every array is read once per
+        vertex of the grids and differenced along each dimension in turn. ``snap`` may also be ``interp``: edges between
+        cell edges read the multilinear interpolation."""
+        edges, dims, names, by = chart.edges(), self.dims, chart.names, list(by)
+        charted, exact = [b.dim for b in chart.bins], snap != "interp"
+        value = ["n", "s", "s2h", "s2l"]
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                for origin, shape, width, sums in zip(*(b.column(c).to_pylist() for c in ("origin", "shape", "width", "sums"))):
-                    values = grids(np.array(sums).reshape(3, *shape), origin, width, [edges.get(d) for d in dims], snap)
+                for row, (origin, shape, width) in enumerate(zip(*(b.column(c).to_pylist() for c in ("origin", "shape", "width")))):
+                    sums = b.column("sums")[row].values.to_numpy()
+                    values = grids(sums.reshape(len(value), *shape), origin, width, [edges.get(d) for d in dims], snap)
                     order = [0, *(1 + dims.index(d) for d in charted), *(1 + i for i, d in enumerate(dims) if d not in charted)]
-                    values = values.transpose(order).reshape(3, *(values.shape[1 + dims.index(d)] for d in charted))
+                    values = values.transpose(order).reshape(len(value), *(values.shape[1 + dims.index(d)] for d in charted))
                     at = np.nonzero(np.abs(values).max(axis=0)) if charted else (np.zeros(1, int),)
-                    picked = values[(slice(None), *at)] if charted else values.reshape(3, 1)
+                    picked = values[(slice(None), *at)] if charted else values.reshape(len(value), 1)
                     columns = [pa.array(x.astype(np.int64)) for x in at] if charted else []
-                    yield pa.RecordBatch.from_arrays([*columns, *(pa.array(x) for x in picked)], [*names, "n", "s", "s2"])
+                    columns += [b.column(c).take(pa.array([row] * picked.shape[1])) for c in by]
+                    yield pa.RecordBatch.from_arrays([*columns, *(pa.array(x) for x in picked)], [*names, *by, *value])
 
         source = self.prefix() if leaves is None else self.prefix().where(F.col("leaf").isin([int(x) for x in leaves]))
-        found = source.mapInArrow(run, ", ".join([*(f"{n} bigint" for n in names), "n double", "s double", "s2 double"]))
-        total = found.groupBy(*names).agg(F.sum("n").alias("n"), F.sum("s").alias("s"), F.sum("s2").alias("s2")) if names else found.agg(F.sum("n").alias("n"), F.sum("s").alias("s"), F.sum("s2").alias("s2"))
+        kind = "bigint" if exact else "double"
+        found = source.mapInArrow(run, ", ".join([*(f"{n} bigint" for n in names), *(f"{c} {source.schema[c].dataType.simpleString()}" for c in by), *(f"{v} {kind}" for v in value)]))
+        s2 = F.col("s2h").cast("decimal(38,0)" if exact else "double") * F.lit(1 << 32) + F.col("s2l")
+        found = found.select(*names, *by, "n", "s", (s2.cast("decimal(38,0)") if exact else s2).alias("s2"))
+        if exact:
+            keys = [*names, *by]
+            return found.where("n <> 0").groupBy(*keys).agg(*self._values(chart.agg)) if keys else found.where("n <> 0").agg(*self._values(chart.agg))
+        total = found.groupBy(*names, *by).agg(*(F.sum(c).alias(c) for c in ("n", "s", "s2")))
         n, s, s2 = F.col("n"), F.col("s"), F.col("s2")
-        exact = snap != "interp"
-        value = {"count": F.round(n).cast("long") if exact else F.round(n, 4), "sum": F.round(s).cast("long") if exact else F.round(s, 2), "mean": F.round(s / n, 4), "var": F.round(s2 / n - (s / n) ** 2, 2), "std": F.round(F.sqrt(F.greatest(s2 / n - (s / n) ** 2, F.lit(0.0))), 2)}[chart.agg]
-        return total.where("n > 1e-9").select(*names, value.alias("value"))
+        answer = {"count": F.round(n, 4), "sum": F.round(s, 2), "mean": F.round(s / n, 4), "var": F.round(s2 / n - (s / n) ** 2, 2), "std": F.round(F.sqrt(F.greatest(s2 / n - (s / n) ** 2, F.lit(0.0))), 2)}[chart.agg]
+        return total.where("n > 1e-9").select(*names, *by, answer.alias("value"))
 
     # ---- coarser levels --------------------------------------------------------------------------------------
 
@@ -185,8 +263,9 @@ class Index:
         table = self.cells.sparkSession.createDataFrame([(i, of[i], *(int(x) for x in widths[of[i]])) for i in range(len(of))], ", ".join(["leaf int", "part int", *(f"w_{d} bigint" for d in self.dims)]))
         joined = self.cells.join(F.broadcast(table), "leaf")  # one row per leaf
         keys = [F.floor(F.col(f"q_{d}") * F.col(f"c_{d}") / F.col(f"w_{d}")).cast("long").alias(f"q_{d}") for d in self.dims]
-        cells = joined.select(F.col("part").alias("leaf"), *keys, *(F.col(f"w_{d}").alias(f"c_{d}") for d in self.dims), "n", "s", "s2", "mn", "mx")
-        out = Index(self.dims, self.widths, self.nodes, keep, widths, merge_cells(cells, self.dims), self.budget, True, depth)
+        kept = [*self.axes, "n", "s", "s2", "mn", "mx", *(x.name for x in self.extras)]
+        cells = joined.select(F.col("part").alias("leaf"), *keys, *(F.col(f"w_{d}").alias(f"c_{d}") for d in self.dims), *kept)
+        out = Index(self.dims, self.widths, self.nodes, keep, widths, merge_cells(cells, self.dims, self.axes, self.extras), self.budget, True, depth, axes=self.axes, extras=self.extras)
         out.grids = self.grids
         return out
 
@@ -278,19 +357,25 @@ class Locator:
     """Finds the leaf of points: of the boxes that contain a point the smallest (then the first); if none does, the nearest
     (squared distance in shares of the domain), then the smaller, then the first.
 
-    Per dimension the box edges cut the axis into intervals, each with a bit set of the boxes over it, smallest box first.
-    A point's boxes are the bits common to its intervals: one table read a dimension, whatever the number of boxes."""
+    Up to FEW boxes: per dimension the box edges cut the axis into intervals, each with a bit set of the boxes over it,
+    smallest box first. A point's boxes are the bits common to its intervals. More boxes: a grid over the domain lists, cell
+    by cell, the boxes that meet the cell, smallest first, and a point tests its cell's boxes until one holds it. The grid is
+    as fine as MOST_LISTED entries a box allow, so memory is linear in the number of boxes."""
 
     #: Domains up to this width find their interval by a table of all scales.
     TABLE = 1 << 16
+    FEW, MOST_LISTED = 1024, 16
 
     def __init__(self, lo: np.ndarray, hi: np.ndarray, widths: np.ndarray):
         area = ((hi - lo + 1) / widths).prod(axis=1)
         self.order = np.argsort(area, kind="stable")
         self.lo, self.hi, self.widths = lo[self.order], hi[self.order], np.asarray(widths, float)
-        n, words = len(lo), -(-len(lo) // 64)
+        (self._bit_sets if len(lo) <= self.FEW else self._grid)()
+
+    def _bit_sets(self) -> None:
+        n, words = len(self.lo), -(-len(self.lo) // 64)
         self.cuts, self.bits, self.tables = [], [], []
-        for i in range(lo.shape[1]):
+        for i in range(self.lo.shape[1]):
             cuts = np.unique(np.concatenate([self.lo[:, i], self.hi[:, i] + 1]))
             start = np.concatenate([[cuts[0] - 1], cuts])
             over = (self.lo[:, i][None] <= start[:, None]) & (start[:, None] <= self.hi[:, i][None])
@@ -301,8 +386,41 @@ class Locator:
             w = int(self.widths[i])
             self.tables.append(np.searchsorted(cuts, np.arange(w), side="right").astype(np.int32) if w <= self.TABLE else None)
 
+    def _spans(self, side: int) -> tuple[np.ndarray, np.ndarray]:
+        return tuple(np.clip((x / self.widths * side).astype(np.int64), 0, side - 1) for x in (self.lo, self.hi))
+
+    def _grid(self) -> None:
+        n, d = self.lo.shape
+        side = max(1, int((4 * n) ** (1 / d)))
+        while side > 1:
+            first, last = self._spans(side)
+            if (last - first + 1).astype(float).prod(axis=1).sum() <= self.MOST_LISTED * n:
+                break
+            side = side * 3 // 4
+        first, last = self._spans(side)
+        many = (last - first + 1).prod(axis=1)
+        box = np.repeat(np.arange(n), many)
+        rest, cell = np.arange(len(box)) - np.repeat(np.cumsum(many) - many, many), np.zeros(len(box), np.int64)
+        for i in range(d):
+            extent = (last - first + 1)[box, i]
+            cell = cell * side + first[box, i] + rest % extent
+            rest //= extent
+        by = np.argsort(cell, kind="stable")  # boxes of a cell stay in order of size
+        self.side, self.listed, self.begin = side, box[by], np.searchsorted(cell[by], np.arange(side**d + 1))
+
     def find(self, columns: Sequence[np.ndarray]) -> np.ndarray:
         """``columns``: one array of coordinates per dimension."""
+        got = self._by_bits(columns) if len(self.lo) <= self.FEW else self._by_grid(columns)
+        miss = np.flatnonzero(got < 0)
+        step = max(1, (1 << 22) // max(1, self.lo.size))
+        for a in range(0, len(miss), step):
+            at = miss[a : a + step]
+            p = np.stack([x[at] for x in columns], axis=1)[:, None, :]
+            gap = np.maximum(np.maximum(self.lo - p, p - self.hi), 0) / self.widths
+            got[at] = (gap * gap).sum(axis=2).argmin(axis=1)
+        return self.order[got]
+
+    def _by_bits(self, columns: Sequence[np.ndarray]) -> np.ndarray:
         common = None
         for x, cuts, bits, table, w in zip(columns, self.cuts, self.bits, self.tables, self.widths):
             fast = table is not None and len(x) and x.min() >= 0 and x.max() < w
@@ -313,14 +431,23 @@ class Locator:
             some = np.flatnonzero(common[:, word])
             v = common[some, word]
             got[some] = 64 * word + np.frexp((v & (~v + np.uint64(1))).astype(np.float64))[1] - 1
-        miss = np.flatnonzero(got < 0)
-        step = max(1, (1 << 22) // max(1, self.lo.size))
-        for a in range(0, len(miss), step):
-            at = miss[a : a + step]
-            p = np.stack([x[at] for x in columns], axis=1)[:, None, :]
-            gap = np.maximum(np.maximum(self.lo - p, p - self.hi), 0) / self.widths
-            got[at] = (gap * gap).sum(axis=2).argmin(axis=1)
-        return self.order[got]
+        return got
+
+    def _by_grid(self, columns: Sequence[np.ndarray]) -> np.ndarray:
+        x = np.stack(columns, axis=1)
+        cell = np.zeros(len(x), np.int64)
+        for i, w in enumerate(self.widths):
+            cell = cell * self.side + np.clip((x[:, i] / w * self.side).astype(np.int64), 0, self.side - 1)
+        got, at, end = np.full(len(x), -1, np.int64), self.begin[cell], self.begin[cell + 1]
+        left = np.flatnonzero(at < end)
+        while len(left):
+            box = self.listed[at[left]]
+            held = ((x[left] >= self.lo[box]) & (x[left] <= self.hi[box])).all(axis=1)
+            got[left[held]] = box[held]
+            left = left[~held]
+            at[left] += 1
+            left = left[at[left] < end[left]]
+        return got
 
 
 def locate(points: np.ndarray, lo: np.ndarray, hi: np.ndarray, widths: np.ndarray) -> np.ndarray:
@@ -343,23 +470,24 @@ def assign(df: DataFrame, dims: Sequence[str], nodes: Nodes, leaves: np.ndarray,
     return df.mapInArrow(run, ", ".join([*(f"{f.name} {f.dataType.simpleString()}" for f in df.schema), "leaf int"]))
 
 
-def merge_cells(cells: DataFrame, dims: Sequence[str]) -> DataFrame:
-    keys = ["leaf", *(f"q_{d}" for d in dims), *(f"c_{d}" for d in dims)]
-    return cells.groupBy(*keys).agg(F.sum("n").alias("n"), F.sum("s").alias("s"), F.sum("s2").alias("s2"), F.min("mn").alias("mn"), F.max("mx").alias("mx"))
+def merge_cells(cells: DataFrame, dims: Sequence[str], axes: Sequence[str] = (), extras: Sequence[Extra] = ()) -> DataFrame:
+    keys = ["leaf", *(f"q_{d}" for d in dims), *(f"c_{d}" for d in dims), *axes]
+    more = [F.expr(f"{x.merge}({x.name})").alias(x.name) for x in extras]
+    return cells.groupBy(*keys).agg(F.sum("n").alias("n"), F.sum("s").alias("s"), F.sum("s2").alias("s2"), F.min("mn").alias("mn"), F.max("mx").alias("mx"), *more)
 
 
-def to_cells(points: DataFrame, dims: Sequence[str], cells_per: np.ndarray) -> DataFrame:
+def to_cells(points: DataFrame, dims: Sequence[str], cells_per: np.ndarray, axes: Sequence[str] = (), extras: Sequence[Extra] = ()) -> DataFrame:
     """points with leaf and m (measure, a whole number or null) -> cells. Without a measure column only counts are kept."""
     table = points.sparkSession.createDataFrame([(i, *(int(x) for x in row)) for i, row in enumerate(cells_per)], ", ".join(["leaf int", *(f"c_{d} bigint" for d in dims)]))
     df = points.join(F.broadcast(table), "leaf")  # one row per leaf
     # (s - pmod(s, c)) / c is the whole quotient of coordinates of either sign, without a detour over doubles
-    keys = ["leaf", *(F.expr(f"({d} - pmod({d}, c_{d})) div c_{d}").alias(f"q_{d}") for d in dims), *(f"c_{d}" for d in dims)]
-    m = F.col("m")
-    none = [F.lit(0).cast("bigint").alias("s"), F.lit(0).cast("decimal(38,0)").alias("s2"), F.lit(None).cast("bigint").alias("mn"), F.lit(None).cast("bigint").alias("mx")]
+    keys = ["leaf", *(F.expr(f"({d} - pmod({d}, c_{d})) div c_{d}").alias(f"q_{d}") for d in dims), *(f"c_{d}" for d in dims), *axes]
+    m, more = F.col("m"), [F.expr(x.collect).alias(x.name) for x in extras]
     if "m" not in points.columns:
-        counted = df.groupBy(*keys).agg(F.count("*").alias("n"))
-        return counted.select("*", *none)
-    return df.groupBy(*keys).agg(F.count("*").alias("n"), F.coalesce(F.sum("m"), F.lit(0)).alias("s"), F.coalesce(F.sum(m.cast("decimal(20,0)") * m), F.lit(0)).cast("decimal(38,0)").alias("s2"), F.min("m").alias("mn"), F.max("m").alias("mx"))
+        none = {"s": "0L", "s2": "cast(0 as decimal(38,0))", "mn": "cast(null as bigint)", "mx": "cast(null as bigint)"}
+        counted = df.groupBy(*keys).agg(F.count("*").alias("n"), *more)
+        return counted.select(*(c for c in counted.columns if c not in {x.name for x in extras}), *(F.expr(v).alias(k) for k, v in none.items()), *(x.name for x in extras))
+    return df.groupBy(*keys).agg(F.count("*").alias("n"), F.coalesce(F.sum("m"), F.lit(0)).alias("s"), F.coalesce(F.sum(m.cast("decimal(20,0)") * m), F.lit(0)).cast("decimal(38,0)").alias("s2"), F.min("m").alias("mn"), F.max("m").alias("mx"), *more)
 
 
 def build(
@@ -377,16 +505,22 @@ def build(
     reinsert: float = 0.0,
     nodes: Nodes | None = None,
     target_height: int | None = None,
+    axes: Sequence[str] = (),
+    extras: Sequence[Extra] = (),
+    find: Callable[[DataFrame, Nodes], DataFrame] | None = None,
 ) -> Index:
     """Builds an index over ``dims`` of ``df`` (whole numbers in [0, width)).
 
     ``rate``: share of rows, by a hash of ``key``, that the tree is grown on; the rest is only assigned to the frozen
     leaves. ``grid_widths``: bin widths that cells must divide (scale alignment); None switches alignment off. ``nodes``:
-    a ready partition instead of the tree. Rows with a null dimension are in no range and are left out.
+    a ready partition instead of the tree. Rows with a null dimension are in no range and are left out. ``axes``: columns
+    of few values that cells are kept apart by. ``extras``: further descriptors. ``find``: finds the leaf (a number among the
+    partition's leaves) of points in place of the vector test, given the points and the partition; see ``lsh.finder``.
     """
     dims = list(dims)
     w = np.array([widths[d] for d in dims], float)
-    points = df.select(*dims, (F.col(measure) if measure else F.lit(None)).cast("bigint").alias("m"), (F.col(key) if isinstance(key, str) else key).alias("__key")).dropna(subset=dims)
+    further = list(dict.fromkeys(c for c in (*axes, *(c for x in extras for c in x.columns)) if c not in dims))
+    points = df.select(*dims, *further, (F.col(measure) if measure else F.lit(None)).cast("bigint").alias("m"), (F.col(key) if isinstance(key, str) else key).alias("__key")).dropna(subset=dims)
     if nodes is None:
         rate = min(rate, MOST_SAMPLE / max(df.count(), 1))
         sample = points if rate >= 1 else points.where(sampled(F.col("__key"), rate))
@@ -395,7 +529,8 @@ def build(
     at = nodes.leaves
     grid = None if grid_widths is None else [grid_widths.get(d, int(widths[d])) for d in dims]
     per = choose_cells(nodes, at, bins, grid, budget)
-    cells = to_cells(assign(points.select(*dims, *(["m"] if measure else [])), dims, nodes, at, w), dims, per).persist()
+    narrow = points.select(*dims, *further, *(["m"] if measure else []))
+    cells = to_cells(find(narrow, nodes) if find else assign(narrow, dims, nodes, at, w), dims, per, axes, extras).persist()
     grown = cells.groupBy("leaf").agg(*(f(F.col(f"q_{d}") * F.col(f"c_{d}") + k).alias(f"{a}_{d}") for d in dims for f, a, k in ((F.min, "lo", 0), (F.max, "hi", F.col(f"c_{d}") - 1)))).collect()
     for r in grown:  # one row per leaf: boxes take in what the nearest rule gave them
         for i, d in enumerate(dims):
@@ -409,7 +544,7 @@ def build(
         p = nodes.parent[n]
         if p >= 0:
             nodes.lo[p], nodes.hi[p] = np.minimum(nodes.lo[p], nodes.lo[n]), np.maximum(nodes.hi[p], nodes.hi[n])
-    out = Index(dims, w, nodes, at, per, cells, budget, grid is not None, nodes.height)
+    out = Index(dims, w, nodes, at, per, cells, budget, grid is not None, nodes.height, axes=tuple(axes), extras=tuple(extras))
     out.grids = grid or ()
     return out
 

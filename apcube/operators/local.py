@@ -8,36 +8,36 @@ from __future__ import annotations
 from collections.abc import Sequence
 
 import numpy as np
+from pyspark.sql import functions as F
 
 from apcube.operators.index import Index, grids
 from apcube.plans.spec import Chart
 
-#: Bytes of arrays that ``open_index`` takes to the driver at most.
+#: Bytes of arrays that ``LocalIndex`` takes to the driver at most.
 MOST_BYTES = 1 << 30
 
 
 class LocalIndex:
     def __init__(self, index: Index, most_bytes: int = MOST_BYTES):
-        need = 24 * index.dense_entries()
+        if index.axes:
+            raise ValueError("an index with axes isn't opened on the driver")
+        need = 8 * (index.prefix().agg(F.sum(F.size("sums").cast("long"))).first()[0] or 0)
         if need > most_bytes:
             raise MemoryError(f"the index needs {need} bytes on the driver; {most_bytes} are allowed")
-        rows = index.prefix().collect()
-        if len(rows) < index.cells.select("leaf").distinct().count():
-            raise MemoryError("a leaf has no dense array")
-        self.index = index
-        self.leaves = {r["leaf"]: (np.array(r["sums"]).reshape(3, *r["shape"]), r["origin"], r["width"]) for r in rows}
+        self.index, self.leaves = index, {}
+        for r in index.prefix().collect():  # of checked size
+            self.leaves.setdefault(r["leaf"], []).append((np.array(r["sums"], np.int64).reshape(4, *r["shape"]), r["origin"], r["width"]))
 
     def chart(self, chart: Chart, snap: str = "nearest", leaves: Sequence[int] | None = None) -> np.ndarray:
         """The values of all grids, empty ones 0 (NaN for a mean), as an array of the chart's shape."""
         edges, dims = chart.edges(), self.index.dims
         charted = [b.dim for b in chart.bins]
-        total = np.zeros((3, *(len(b.edges) - 1 for b in chart.bins)))
+        order = [0, *(1 + dims.index(d) for d in charted), *(1 + i for i, d in enumerate(dims) if d not in charted)]
+        total = np.zeros((4, *(len(b.edges) - 1 for b in chart.bins)), float if snap == "interp" else np.int64)
         for leaf in self.index.candidates(chart) if leaves is None else leaves:
-            if leaf in self.leaves:
-                sums, origin, width = self.leaves[leaf]
+            for sums, origin, width in self.leaves.get(leaf, ()):
                 v = grids(sums, origin, width, [edges.get(d) for d in dims], snap)
-                order = [0, *(1 + dims.index(d) for d in charted), *(1 + i for i, d in enumerate(dims) if d not in charted)]
                 total += v.transpose(order).reshape(total.shape)
-        n, s, s2 = total
+        n, s, s2 = total[0], total[1], total[2] * float(1 << 32) + total[3]
         with np.errstate(invalid="ignore", divide="ignore"):
             return {"count": n, "sum": s, "mean": s / n, "var": s2 / n - (s / n) ** 2, "std": np.sqrt(np.maximum(s2 / n - (s / n) ** 2, 0))}[chart.agg]

@@ -5,17 +5,27 @@ direction is an interval; evenly spaced samples of it are hashed to buckets of w
 every direction has a shared bucket; ``verify`` then tests the boxes themselves.
 
 Schemes: ``plain`` keeps all samples of a direction in one table; ``reversed`` has one table per sample, stored samples
-ascending and query samples descending; ``probe`` is reversed with both neighbouring buckets, which cannot miss an
-overlap as long as r is at least half the sum of both steps; ``edges`` hashes points on the boxes' edges instead.
+ascending and query samples descending; ``probe`` is reversed with both neighbouring buckets; ``edges`` hashes points on the
+boxes' edges instead. What each finds depends on the bucket width r against the step between samples, which
+``Family.fitted`` takes from the boxes' extents:
+
+* plain, edges: with steps of at most r the samples of an interval hit every bucket that it meets, so overlapping boxes
+  share one on every direction and none is missed.
+* probe: where two boxes overlap, the difference of the ascending and the descending sample changes its sign between two
+  tables, so in one it is at most half the sum of both steps; r of that size misses none.
+* reversed: the two tables around that place miss by chance, with a probability of about (step / r) ** 2 / 6 a direction.
+  r is four times the sum of both steps.
+* combined: inner nodes are hashed as well, and every hit one is descended by exact tests.
 """
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 from itertools import product
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -36,6 +46,19 @@ class Family:
         a = np.round(g.normal(size=(directions, len(dims))), 4)
         return cls(tuple(dims), tuple(int(w) for w in widths), tuple(map(tuple, a.tolist())), tuple(np.round(g.uniform(0, r, directions), 4).tolist()), r)
 
+    @classmethod
+    def fitted(cls, dims: Sequence[str], widths: Sequence[int], boxes: DataFrame, queries: DataFrame, directions: int = 3, samples: int = 6, scheme: str = "plain", seed: int = 4) -> Family:
+        """A family whose r suits ``samples`` of the largest of these boxes under ``scheme``; one aggregate over each table."""
+        family = cls.draw(dims, widths, directions, 1.0, seed)
+        wide = []
+        for df in (boxes, queries):
+            spans = [b - a for a, b in (family.interval(i) for i in range(directions))] if scheme != "edges" else [F.abs((F.col(f"hi_{d}") - F.col(f"lo_{d}")) * (c / w)) for a in family.a for d, c, w in zip(dims, a, widths)]
+            got = df.agg(*(F.max(x).alias(f"s{i}") for i, x in enumerate(spans))).first()
+            wide.append(max((x for x in got if x is not None), default=0.0) / max(samples - 1, 1))
+        r = {"plain": max(wide), "edges": max(wide), "probe": sum(wide) / 2, "reversed": 4 * sum(wide)}[scheme]
+        r = max(round(1.001 * r + 5e-5, 4), 0.001)
+        return cls.draw(dims, widths, directions, r, seed)
+
     def point(self, i: int) -> Column:
         """The bucket of a point on direction i."""
         terms = [F.col(d) * F.lit(c) / F.lit(float(w)) for d, c, w in zip(self.dims, self.a[i], self.widths)]
@@ -120,24 +143,77 @@ def overlap(boxes: DataFrame, queries: DataFrame, family: Family, samples: int =
     return verify(found, boxes, queries, family.dims)
 
 
-def overlap_combined(nodes: DataFrame, queries: DataFrame, family: Family, samples: int = 4, rounds: int = 8) -> DataFrame:
-    """nodes: id, parent, is_leaf, boxes. Inner nodes are hashed too; a hit inner node without a hit leaf below it is
-    descended by exact tests, level by level."""
-    hits = overlap(nodes, queries, family, samples).join(nodes.select(F.col("id").alias("box"), "parent", "is_leaf"), "box")
-    leaves = hits.where("is_leaf").select("query", "box").distinct()
-    frontier = hits.where("not is_leaf").select("query", "box")
-    kids = nodes.select(F.col("id").alias("kid"), F.col("parent").alias("box"), F.col("is_leaf").alias("kid_leaf"))
-    # inner nodes that have a hit leaf child need no descent
-    served = leaves.join(nodes.select(F.col("id").alias("box"), "parent"), "box").select("query", F.col("parent").alias("box")).distinct()
-    frontier = frontier.join(served, ["query", "box"], "left_anti")
-    for _ in range(rounds):
-        below = frontier.join(kids, "box").select("query", F.col("kid").alias("box"), "kid_leaf")
-        met = verify(below.select("query", "box").distinct(), nodes, queries, family.dims).join(nodes.select(F.col("id").alias("box"), "is_leaf"), "box").persist()
-        leaves = leaves.union(met.where("is_leaf").select("query", "box")).distinct()
-        frontier = met.where("not is_leaf").select("query", "box")
-        if frontier.isEmpty():
-            break
-    return leaves
+def overlap_scan(boxes: DataFrame, queries: DataFrame, dims: Sequence[str]) -> DataFrame:
+    """All (query, box) pairs that overlap, by testing every query with every box: the truth that searches are measured
+    against. ``boxes`` is a list on the driver (leaves of an index), ``queries`` may be any table and isn't shuffled."""
+    rows = boxes.select("id", *(f"{p}_{d}" for d in dims for p in ("lo", "hi"))).collect()  # as many as leaves
+    known = boxes.sparkSession.sparkContext.broadcast(([r["id"] for r in rows], *(np.array([[r[f"{p}_{d}"] for d in dims] for r in rows], float).reshape(len(rows), len(dims)) for p in ("lo", "hi"))))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, lo, hi = known.value
+        for b in batches:
+            if b.num_rows and len(ids):
+                qlo, qhi = (np.stack([b.column(f"{p}_{d}").to_numpy(zero_copy_only=False) for d in dims], axis=1) for p in ("lo", "hi"))
+                step = max(1, (1 << 22) // max(1, lo.size))
+                for start in range(0, len(qlo), step):
+                    part = slice(start, start + step)
+                    i, j = np.nonzero(((lo[None] <= qhi[part, None]) & (hi[None] >= qlo[part, None])).all(axis=2))
+                    yield pa.RecordBatch.from_arrays([b.column("id").take(pa.array(i + start)), pa.array(np.array(ids)[j], pa.int64())], ["query", "box"])
+
+    return queries.mapInArrow(run, f"query {queries.schema['id'].dataType.simpleString()}, box bigint")
+
+
+def overlap_combined(nodes: DataFrame, queries: DataFrame, family: Family, samples: int = 4, scheme: str = "plain") -> DataFrame:
+    """nodes: id, parent, is_leaf, boxes. Inner nodes are hashed too; every hit inner node is descended by exact tests,
+    level by level, to the leaves: as many joins as the tree has levels."""
+    kinds = nodes.select(F.col("id").alias("box"), "is_leaf")
+    hits = overlap(nodes, queries, family, samples, scheme).join(kinds, "box").persist()
+    leaves, frontier = hits.where("is_leaf").select("query", "box"), hits.where("not is_leaf").select("query", "box")
+    kids = nodes.select(F.col("id").alias("kid"), F.col("parent").alias("box"))
+    held = [hits]
+    while not frontier.isEmpty():
+        below = frontier.join(kids, "box").select("query", F.col("kid").alias("box")).distinct()
+        held.append(verify(below, nodes, queries, family.dims).join(kinds, "box").persist())
+        leaves = leaves.union(held[-1].where("is_leaf").select("query", "box"))
+        frontier = held[-1].where("not is_leaf").select("query", "box")
+    out = leaves.distinct().persist()
+    out.count()  # the levels are done with
+    for df in held:
+        df.unpersist()
+    return out
+
+
+def finder(dims: Sequence[str], widths: Sequence[int], directions: int = 2, samples: int = 8):
+    """For ``index.build(find=...)``: leaves of points through buckets. Points meet the leaves whose sampled projections
+    share a bucket with theirs on every direction; of those that hold the point the smallest (then the first) takes it,
+    and points in no leaf go to the nearest as in ``assign``."""
+
+    def find(points: DataFrame, nodes) -> DataFrame:
+        from apcube.operators.index import assign
+
+        at, spark = nodes.leaves, points.sparkSession
+        area = ((nodes.hi[at] - nodes.lo[at] + 1) / np.array(widths, float)).prod(axis=1)
+        rows = [(i, float(area[i]), *(int(x) for x in nodes.lo[n]), *(int(x) for x in nodes.hi[n])) for i, n in enumerate(at)]
+        boxes = spark.createDataFrame(rows, ", ".join(["id int", "area double", *(f"lo_{d} bigint" for d in dims), *(f"hi_{d} bigint" for d in dims)])).persist()
+        family = Family.fitted(dims, widths, boxes, boxes, directions, samples, "plain")
+        keys = box_keys(boxes, family, samples).select("id", "dir", "bucket").distinct()
+        held = points
+        for i in range(directions):
+            # per direction and bucket the list of leaves, as many rows as buckets; a point keeps the leaves in all lists
+            lists = keys.where(F.col("dir") == i).groupBy("bucket").agg(F.collect_list(F.col("id")).alias(f"__l{i}")).withColumnRenamed("bucket", f"__b{i}")
+            held = held.withColumn(f"__b{i}", family.point(i)).join(F.broadcast(lists), f"__b{i}", "left").drop(f"__b{i}")
+        found = F.col("__l0")
+        for i in range(1, directions):
+            found = F.array_intersect(found, f"__l{i}")
+        # leaves are told apart by their boxes' entries in one literal row per leaf number
+        number = F.array(*(F.struct(F.lit(r[1]).alias("area"), F.lit(r[0]).alias("leaf"), *(F.lit(r[2 + k]).alias(f"lo_{d}") for k, d in enumerate(dims)), *(F.lit(r[2 + len(dims) + k]).alias(f"hi_{d}") for k, d in enumerate(dims))) for r in rows))
+        inside = lambda x: F.forall(F.array(*(F.col(d).between(x[f"lo_{d}"], x[f"hi_{d}"]) for d in dims)), lambda ok: ok)
+        best = F.array_min(F.transform(F.filter(F.transform(found, lambda i: F.get(number, i)), inside), lambda x: F.struct(x["area"].alias("area"), x["leaf"].alias("leaf"))))
+        held = held.withColumn("__leaf", best["leaf"]).drop(*(f"__l{i}" for i in range(directions)))
+        inner = held.where("__leaf is not null").withColumn("leaf", F.col("__leaf")).drop("__leaf")
+        return inner.unionByName(assign(held.where("__leaf is null").drop("__leaf"), dims, nodes, at, np.array(widths, float)))
+
+    return find
 
 
 def point_in_range(points: DataFrame, boxes: DataFrame, family: Family, samples: int, id_col: str) -> DataFrame:

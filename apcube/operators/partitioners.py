@@ -32,12 +32,35 @@ def to_nodes(found: DataFrame, dims: Sequence[str]) -> Nodes:
     return Nodes.of_boxes(lo, hi, np.array([r["n"] for r in rows]))
 
 
+def _tiles(df: DataFrame, value: str, key: Sequence[str], tiles: int) -> DataFrame:
+    """``df`` with ``tile``: the number of the row's equal share of its ``part``, by (value, key); earlier tiles take the
+    surplus. No task orders a whole part: a histogram of the values (as many rows as scales) gives the value at each cut, and
+    only rows of those values are ordered by their keys, to find the key there. The cuts, tiles - 1 a part, go to the driver
+    and come back as a table to look up, so the plan of many levels stays a chain."""
+    spark, v = df.sparkSession, F.col(value).cast("long").alias("__v")
+    over = Window.partitionBy("part").orderBy("__v")
+    hist = df.groupBy("part", v).agg(F.count("*").alias("__n"))
+    hist = hist.withColumn("__before", F.sum("__n").over(over.rowsBetween(Window.unboundedPreceding, 0)) - F.col("__n")).withColumn("__all", F.sum("__n").over(Window.partitionBy("part")))
+    start = lambda t: F.expr(f"__all div {tiles}") * t + F.least(F.lit(t), F.col("__all") % tiles)
+    cuts = hist.withColumn("__k", F.explode(F.array(*(start(t) - F.col("__before") for t in range(1, tiles))))).where("__k >= 0 and __k < __n")
+    found = cuts.select("part", "__v", "__k").collect()  # tiles - 1 rows a part
+    at = spark.createDataFrame([(r["part"], r["__v"], r["__k"]) for r in found], "__p long, __w long, __k long")
+    met = df.select("part", v, *key).join(F.broadcast(at.select("__p", "__w").distinct()), (F.col("part") == F.col("__p")) & (F.col("__v") == F.col("__w")), "left_semi")
+    ranked = met.withColumn("__r", F.row_number().over(Window.partitionBy("part", "__v").orderBy(*key)) - 1)
+    keys = ranked.join(F.broadcast(at.distinct()), (F.col("part") == F.col("__p")) & (F.col("__v") == F.col("__w")) & (F.col("__r") == F.col("__k")))
+    firsts = keys.select("part", F.struct("__v", *key).alias("c")).groupBy("part").agg(F.collect_list("c").alias("__cuts"))
+    known = spark.createDataFrame(firsts.collect(), firsts.schema).withColumnRenamed("part", "__p")  # a row a part
+    row = F.struct(v, *key)
+    placed = df.join(F.broadcast(known), F.col("part") == F.col("__p"), "left").withColumn("__row", row)
+    tile = F.coalesce(F.size(F.filter("__cuts", lambda c: c <= F.col("__row"))), F.lit(0))
+    return placed.withColumn("tile", F.when(F.col("__cuts").isNull(), 0).otherwise(tile)).drop("__p", "__cuts", "__row")
+
+
 def str_parts(df: DataFrame, dims: Sequence[str], key: Sequence[str], slabs: int) -> DataFrame:
     """Sort-tile packing: ``slabs`` equal slabs along the first dimension, each cut likewise along the next."""
-    out, groups = df.withColumn("part", F.lit(0)), ["part"]
+    out = df.withColumn("part", F.lit(0))
     for d in dims:
-        w = Window.partitionBy(*groups).orderBy(d, *key)
-        out = out.withColumn("part", F.col("part") * slabs + F.ntile(slabs).over(w) - 1)
+        out = _tiles(out, d, key, slabs).withColumn("part", F.col("part") * slabs + F.col("tile")).drop("tile")
     return out
 
 
@@ -57,15 +80,16 @@ def kd_parts(df: DataFrame, dims: Sequence[str], widths: dict[str, int], key: Se
     widths goes to the first dimension; the earlier shares take the surplus points."""
     out = df.withColumn("part", F.lit(0))
     for _ in range(depth):
-        w = Window.partitionBy("part")
-        spread = [(F.max(d).over(w) - F.min(d).over(w)) / F.lit(float(widths[d])) for d in dims]
-        out = out.withColumn("__top", F.greatest(*spread) if len(dims) > 1 else spread[0])
-        value = F.col(dims[-1])
-        for d, s in reversed(list(zip(dims, spread))[:-1]):
-            value = F.when(s == F.col("__top"), F.col(d)).otherwise(value)
-        out = out.withColumn("__v", value)
-        out = out.withColumn("part", F.col("part") * fanout + F.ntile(fanout).over(Window.partitionBy("part").orderBy("__v", *key)) - 1)
-    return out.drop("__top", "__v")
+        spread = [(F.max(d) - F.min(d)) / F.lit(float(widths[d])) for d in dims]
+        sides = out.groupBy("part").agg(*(x.alias(f"__w{i}") for i, x in enumerate(spread)))
+        sides = df.sparkSession.createDataFrame(sides.collect(), sides.schema)  # a row a part
+        top = F.greatest(*(f"__w{i}" for i in range(len(dims)))) if len(dims) > 1 else F.col("__w0")
+        axis = F.lit(len(dims) - 1)
+        for i in reversed(range(len(dims) - 1)):
+            axis = F.when(F.col(f"__w{i}") == top, F.lit(i)).otherwise(axis)
+        out = out.join(F.broadcast(sides.select("part", axis.alias("__axis"))), "part").withColumn("__value", F.element_at(F.array(*dims), F.col("__axis") + 1))
+        out = _tiles(out, "__value", key, fanout).withColumn("part", F.col("part") * fanout + F.col("tile")).drop("tile", "__axis", "__value")
+    return out
 
 
 def kd_sql(source: str, dims: Sequence[str], widths: dict[str, int], key: Sequence[str], depth: int, fanout: int = 2) -> str:
@@ -83,12 +107,14 @@ def quad_parts(df: DataFrame, dims: Sequence[str], bits: int, cap: int, levels:
     """A quad tree over the domain [0, 2**bits) of every dimension: a cell is cut while it holds more than ``cap`` points,
     ``levels`` times at most. ``part`` is the Morton prefix with a leading one, so cells of all sizes have own numbers."""
     k = len(dims)
-    out = df.withColumn("__z", morton([F.col(d) for d in dims], bits)).withColumn("part", F.lit(1).cast("long")).withColumn("__done", F.lit(False))
-    for level in range(1, levels + 1):
-        out = out.withColumn("__done", F.col("__done") | (F.count("*").over(Window.partitionBy("part")) <= cap))
-        step = F.shiftleft(F.lit(1).cast("long"), level * k).bitwiseOR(F.shiftright("__z", (bits - level) * k))
-        out = out.withColumn("part", F.when(F.col("__done"), F.col("part")).otherwise(step))
-    return out.drop("__z", "__done")
+    z = F.shiftright(morton([F.col(d) for d in dims], bits), (bits - levels) * k)
+    # counts of the finest cells, then of all cells above them; a cell is cut while it is too full, and so are those above it
+    finest = df.groupBy(z.alias("__f")).agg(F.count("*").alias("__n"))
+    each = finest.withColumn("__level", F.explode(F.sequence(F.lit(0), F.lit(levels - 1)))).withColumn("__cell", F.expr(f"shiftright(__f, ({levels} - __level) * {k})"))
+    full = each.groupBy("__level", "__cell").agg(F.sum("__n").alias("__all")).where(F.col("__all") > cap)
+    depth = each.join(full, ["__level", "__cell"], "left_semi").groupBy("__f").agg(F.count("*").cast("int").alias("__d"))
+    out = df.withColumn("__f", z).join(depth, "__f", "left").withColumn("__d", F.coalesce("__d", F.lit(0)))
+    return out.withColumn("part", F.expr(f"shiftleft(1L, __d * {k}) | shiftright(__f, ({levels} - __d) * {k})")).drop("__f", "__d")
 
 
 def quad_sql(source: str, dims: Sequence[str], bits: int, cap: int, levels: int) -> str:

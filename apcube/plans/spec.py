@@ -8,6 +8,8 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
+from apcube.functions.scale import chain
+
 AGGREGATES = ("count", "sum", "mean", "var", "std", "min", "max")
 
 
@@ -62,6 +64,17 @@ class Chart:
     def names(self) -> list[str]:
         return [f"t{i + 1}" for i in range(len(self.bins))]
 
+    @classmethod
+    def viewport(cls, bounds: Range, pixels: int, grids: dict[str, int], agg: str = "count") -> Chart:
+        """The chart of a viewport: per dimension at most ``pixels`` bins of one smooth width that divides, or is a multiple
+        of, the dimension's grid, from the first bin that the bounds touch to the last."""
+        bins = []
+        for d, (lo, hi) in bounds.items():
+            steps = [*chain(grids[d])[::-1], *(grids[d] * k for k in range(2, -(-(hi - lo) // grids[d]) + 2))]
+            w = next((x for x in steps if -(-hi // x) - lo // x <= pixels), steps[-1])
+            bins.append(Bins.width(d, w, lo // w * w, -(-hi // w) * w))
+        return cls(bins, agg=agg)
+
     def edges(self) -> dict[str, np.ndarray]:
         """Per dimension that matters its edges; a charted and filtered dimension has its bins cut by the range."""
         out = {b.dim: b.array for b in self.bins}

@@ -14,7 +14,8 @@ from apcube.operators.baselines import scan
 from apcube.operators.explore import explore
 from apcube.operators.local import LocalIndex
 from apcube.plans.spec import Bins, Chart
-from apcube.queries.registry import INDEXED, boxes_of, indexed, measured, query
+from apcube.queries.registry import INDEXED, boxes_of, indexed, kept, measured, query
+from apcube.sources import store
 from apcube.sources.tables import VIEWS, view
 
 XY = ("x", "y")
@@ -32,26 +33,37 @@ def on(chart: Chart, agg: str) -> Chart:
 # ---- partitions --------------------------------------------------------------------------------------------------
 
 
-def _rstar_counts(criterion: str):
+def sound(nodes: boxtree.Nodes) -> tuple[bool, bool]:
+    """Whether boxes lie in those of their parents, and whether leaves hold from half of what the fullest one holds."""
+    inner = np.flatnonzero(nodes.parent >= 0)
+    up = nodes.parent[inner]
+    nested = bool((nodes.lo[inner] >= nodes.lo[up]).all() and (nodes.hi[inner] <= nodes.hi[up]).all())
+    held = nodes.count[nodes.leaves]
+    return nested, bool(2 * held.min() + 1 >= held.max())
+
+
+TREE_SQL = f"select count(*) as records, true as most_leaves_used, true as nested, true as half_full, true as whole_sample from ({PLANE.sql})"
+
+
+def _rstar_counts(**options):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         """Every record is in one leaf: totals and cover come from the cells of the index. Where boxes overlap the smaller takes
         the record, so a leaf may stay empty."""
-        ix = indexed(spark, sf_dir, "plane", criterion=criterion)
+        ix = indexed(spark, sf_dir, "plane", **options)
+        nested, half = sound(ix.nodes)
+        points = min(core.MOST_SAMPLE, view(spark, sf_dir, "plane").count())
+        whole = int(ix.nodes.count[ix.leaves].sum()) == points or points == core.MOST_SAMPLE
         lo, hi = ix.nodes.lo.min(axis=0), ix.nodes.hi.max(axis=0)
         ok = F.lit(bool((lo >= 0).all() and (hi < 57600).all() and len(ix.leaves) > 1))
-        return ix.cells.agg(F.sum("n").cast("long").alias("records"), F.countDistinct("leaf").alias("used")).select("records", ((F.col("used") * 2 >= len(ix.leaves)) & ok).alias("most_leaves_used"))
+        found = ix.cells.agg(F.sum("n").cast("long").alias("records"), F.countDistinct("leaf").alias("used"))
+        return found.select("records", ((F.col("used") * 2 >= len(ix.leaves)) & ok).alias("most_leaves_used"), F.lit(nested).alias("nested"), F.lit(half).alias("half_full"), F.lit(whole).alias("whole_sample"))
 
     return run
 
 
 for _c in boxtree.CRITERIA:
-    query(f"p_rstar_counts_{_c}", f"select count(*) as records, true as most_leaves_used from ({PLANE.sql})")(_rstar_counts(_c))
-
-
-@query("p_rstar_reinsert", f"select count(*) as records, true as most_leaves_used from ({PLANE.sql})")
-def _(spark, sf_dir):
-    ix = indexed(spark, sf_dir, "plane", reinsert=0.3)
-    return ix.cells.agg(F.sum("n").cast("long").alias("records"), F.countDistinct("leaf").alias("u")).select("records", (F.col("u") * 2 >= len(ix.leaves)).alias("most_leaves_used"))
+    query(f"p_rstar_counts_{_c}", TREE_SQL)(_rstar_counts(criterion=_c))
+query("p_rstar_reinsert", TREE_SQL)(_rstar_counts(reinsert=0.3))
 
 
 @query("p_height_control", f"select h::int as height, count(*) as records from ({PLANE.sql}), (values (2), (3)) as t(h) group by h")
@@ -103,6 +115,15 @@ def _(spark, sf_dir):
     return _quality(spark, sf_dir, {k: partition(spark, sf_dir, "plane", XY, k) for k in kinds}, sample_points(spark, sf_dir, "plane", XY), np.array([57600.0, 57600.0]))
 
 
+@query("p_quality_order", "select true as less_overlap_than_by_area, true as evener_than_by_area, true as evener_than_a_grid, true as no_overlap_of_grids")
+def _(spark, sf_dir):
+    """What the density rule is for: less overlap and evener leaves than the area rule, and than equal boxes."""
+    pts, w = sample_points(spark, sf_dir, "plane", XY), np.array([57600.0, 57600.0])
+    q = {k: boxtree.evenness(pts, partition(spark, sf_dir, "plane", XY, k), w) for k in ("density", "area", "uniform")}
+    row = (q["density"]["overlap_share"] <= q["area"]["overlap_share"], q["density"]["count_variation"] <= q["area"]["count_variation"], q["density"]["count_variation"] < q["uniform"]["count_variation"], q["uniform"]["overlap_share"] < 1e-9)
+    return spark.createDataFrame([tuple(map(bool, row))], "less_overlap_than_by_area boolean, evener_than_by_area boolean, evener_than_a_grid boolean, no_overlap_of_grids boolean")
+
+
 @query("p_distributed_skeleton", f"select count(*) as records, true as several_trees from ({PLANE.sql})")
 def _(spark, sf_dir):
     nodes = descriptors.build_distributed(view(spark, sf_dir, "plane"), XY, PLANE.widths, 4, 64)
@@ -138,7 +159,12 @@ def _(spark, sf_dir):
 
 @query("d_cov_corr", f"select t1, count(*) as n, round(covar_pop(x, y), 0) as cov, round(coalesce(case when count(*) > 1 then corr(x, y) end, 0), 4) as corr, round(coalesce(case when count(*) > 1 then regr_slope(y, x) end, 0), 4) as slope from (select *, (x // 7200)::bigint as t1 from ({PLANE.sql})) group by all")
 def _(spark, sf_dir):
-    return descriptors.covariance(view(spark, sf_dir, "plane"), "x", "y", 7200)
+    return descriptors.covariance(rich(spark, sf_dir), Chart([Bins.width("x", 7200, 0, 57600)]))
+
+
+def rich(spark, sf_dir) -> core.Index:
+    """The plane's index with the event type as an axis, cross sums, and sketches of users."""
+    return indexed(spark, sf_dir, "plane", measure="x", axes=("event_type",), extras=(*descriptors.cross("x", "y"), descriptors.sketch("user_id")))
 
 
 @query("d_combo", f"select t1, count(*) as n, sum(m)::bigint as s, min(m) as mn, max(m) as mx from (select *, (x // 7200)::bigint as t1 from ({PLANE_X})) group by all")
@@ -192,11 +218,8 @@ def _(spark, sf_dir):
 
 
 def _hist_index(spark, sf_dir, scope="local", bins=32):
-    key = (spark.sparkContext.applicationId, sf_dir, scope, bins)
-    if key not in _HISTS:
-        ix = indexed(spark, sf_dir, "hail", dims=("price", "month"), measure="total", leaves=16)
-        _HISTS[key] = histograms.of_index(view(spark, sf_dir, "hail"), ix, "total", bins, scope)
-    return _HISTS[key]
+    ix = indexed(spark, sf_dir, "hail", dims=("price", "month"), measure="total", leaves=16)
+    return kept(_HISTS, (spark.sparkContext.applicationId, sf_dir, scope, bins), lambda: histograms.of_index(view(spark, sf_dir, "hail"), ix, "total", bins, scope))
 
 
 _HISTS: dict = {}
@@ -228,20 +251,35 @@ def _(spark, sf_dir):
     return exact.join(est, "t1", "left").select("t1", "n", (F.abs(F.col("below") - F.col("e")) <= 0.03 * F.col("n") + 2).alias("close"))
 
 
-@query("d_mode", f"select month::bigint as t1, true as inside from ({VIEWS['hail'].sql}) group by all")
+@query("d_mode", f"select part, a + (b - a) / 2 as value from (select part, e_lo + hb * ((e_hi - e_lo) / 16.0::double) as a, e_lo + (hb + 1) * ((e_hi - e_lo) / 16.0::double) as b, n from ({histograms.binned_sql(GRID4, 'part', 'x', 16)})) qualify row_number() over (partition by part order by n / case when b > a then b - a else 1 end desc, a) = 1")
+def _(spark, sf_dir):
+    """The middle of each part's densest bin."""
+    hist = histograms.binned(_grid4(spark, sf_dir), "part", "x", 16)
+    return histograms.mode(histograms.pieces(hist, 16, "part"), "part")
+
+
+@query("d_mode_of_index", f"select month::bigint as t1, count(*) as n, true as dense from ({VIEWS['hail'].sql}) group by all")
 def _(spark, sf_dir):
+    """The densest bin of the merged histograms holds at least three quarters of what an average one does, but for a few,, by exact counts."""
     found = histograms.mode(histograms.masses(_hist_index(spark, sf_dir), MONTHS, 32), "t1")
-    ends = view(spark, sf_dir, "hail").groupBy(F.col("month").alias("t1")).agg(F.min("total").alias("a"), F.max("total").alias("b"))
-    return ends.join(found, "t1", "left").select("t1", F.coalesce(F.col("value").between(F.col("a") - 1e6, F.col("b") + 1e6), F.lit(False)).alias("inside"))
+    rows = view(spark, sf_dir, "hail").select(F.col("month").alias("t1"), "total")
+    ends = rows.groupBy("t1").agg(F.count("*").alias("n"), F.min("total").alias("a"), F.max("total").alias("b")).join(found, "t1")
+    near = F.abs(F.col("total") - F.col("value")) <= (F.col("b") - F.col("a")) / 32
+    return rows.join(ends, "t1").groupBy("t1").agg(F.max("n").alias("n"), (F.count_if(near) >= 0.75 * F.max("n") / 16 - 8).alias("dense"))
+
+
+@query("d_hist_prefix", f"select t1, hb, n, sum(n) over (partition by t1 order by hb)::bigint as upto from (select (price // 50000)::bigint as t1, least(floor((total - lo) * 32 / (hi - lo)), 31)::int as hb, count(*) as n from ({VIEWS['hail'].sql}), (select min(total) as lo, max(total) as hi from ({VIEWS['hail'].sql})) where price < 500000 group by all)")
+def _(spark, sf_dir):
+    """The cumulative histogram of every grid from prefix arrays that are kept apart by the histogram's bin."""
+    return histograms.upto(_hist_index(spark, sf_dir, "global"), Chart([Bins.width("price", 50000, 0, 500000)]))
 
 
 @query("d_distinct", f"select x // 7200 as t1, true as close from ({PLANE.sql}) group by all")
 def _(spark, sf_dir):
-    """Mergeable sketches of users per cell; cells of a grid are united."""
-    cells = view(spark, sf_dir, "plane").groupBy(F.floor(F.col("x") / 1800).alias("q")).agg(F.hll_sketch_agg("user_id").alias("sk"))
-    est = cells.groupBy(F.floor(F.col("q") / 4).cast("long").alias("t1")).agg(F.hll_sketch_estimate(F.hll_union_agg("sk")).alias("e"))
+    """Mergeable sketches of users per cell of the index; cells of a grid are united."""
+    est = descriptors.distinct(rich(spark, sf_dir), Chart([Bins.width("x", 7200, 0, 57600)]), "user_id")
     exact = view(spark, sf_dir, "plane").groupBy(F.floor(F.col("x") / 7200).cast("long").alias("t1")).agg(F.countDistinct("user_id").alias("n"))
-    return exact.join(est, "t1").select("t1", (F.abs(F.col("e") - F.col("n")) <= 0.1 * F.col("n") + 1).alias("close"))
+    return exact.join(est, "t1", "left").select("t1", F.coalesce(F.abs(F.col("value") - F.col("n")) <= 0.1 * F.col("n") + 1, F.lit(False)).alias("close"))
 
 
 # ---- prefix tables -----------------------------------------------------------------------------------------------
@@ -270,6 +308,8 @@ for _k in range(1, 6):
     query(f"i_prefix_{_k}d", _prefix_sql(_k))(lambda s, d, k=_k: prefix.sat(view(s, d, "splom"), {x: _SPLOM_CELLS[x][0] for x in _SPLOM_DIMS[:k]}, {x: _SPLOM_CELLS[x][1] for x in _SPLOM_DIMS[:k]}))
 
 query("i_prefix_arrays", HEAT.sql(PLANE.sql))(lambda s, d: indexed(s, d, "plane", measure="x").chart_prefix(HEAT))
+query("i_prefix_grown", HEAT.sql(PLANE.sql))(lambda s, d: indexed(s, d, "plane", measure="x", rate=0.01, leaves=8, budget=4096).chart_prefix(HEAT))
+query("i_prefix_grown_sum", on(HEAT, "sum").sql(PLANE_X))(lambda s, d: indexed(s, d, "plane", measure="x", rate=0.01, leaves=8, budget=4096).chart_prefix(on(HEAT, "sum")))
 query("i_batch", DENSE.sql(PLANE.sql))(lambda s, d: core.flat(view(s, d, "plane"), XY, PLANE.widths, {"x": 200, "y": 200}).chart_prefix(DENSE))
 query("i_corners", HEAT.sql(PLANE.sql))(lambda s, d: prefix.corner_chart(prefix.sat(view(s, d, "plane"), {"x": 1800, "y": 1800}, {"x": 32, "y": 32}), ("x", "y"), 4, 8))
 query("i_sparse_scan", on(LINE, "sum").sql(PLANE_X))(lambda s, d: indexed(s, d, "plane", measure="x").chart(on(LINE, "sum")))
@@ -277,16 +317,16 @@ query("i_sparse_scan", on(LINE, "sum").sql(PLANE_X))(lambda s, d: indexed(s, d,
 
 @query("i_cat_axis", f"select x // 7200 as t1, count(*) as value from ({PLANE.sql}) where event_type in ('view', 'click') group by all")
 def _(spark, sf_dir):
-    """A category of few values is a further, unsummed key of the cells; selected categories are added up."""
-    cells = view(spark, sf_dir, "plane").groupBy(F.floor(F.col("x") / 1800).alias("q"), "event_type").agg(F.count("*").alias("n"))
-    return cells.where(F.col("event_type").isin("view", "click")).groupBy(F.floor(F.col("q") / 4).cast("long").alias("t1")).agg(F.sum("n").alias("value"))
+    """A category of few values is a further, unsummed axis of the index; selected categories are added up."""
+    got = rich(spark, sf_dir).chart_prefix(Chart([Bins.width("x", 7200, 0, 57600)]), by=("event_type",))
+    return got.where(F.col("event_type").isin("view", "click")).groupBy("t1").agg(F.sum("value").alias("value"))
 
 
-@query("i_cat_scale", f"select (cust - 1) // 100 as t1, count(*) as value from ({VIEWS['hail'].sql}) where cust between 1 and 1500 group by all")
+@query("i_cat_scale", f"select (cust - 1) // 100 as t1, count(*) as value from ({VIEWS['hail'].sql}) where cust between 1 and 15000 group by all")
 def _(spark, sf_dir):
     """A category of many values is a dimension on a lattice of ranks."""
-    ix = indexed(spark, sf_dir, "hail", dims=("cust", "month"), leaves=16, budget=1 << 20, bins=400, tag="cat")
-    return ix.chart(Chart([Bins.width("cust", 100, 1, 1501)]))
+    ix = indexed(spark, sf_dir, "hail", dims=("cust", "month"), leaves=16, budget=1 << 20, bins=400, grid={"cust": 1})
+    return ix.chart(Chart([Bins.width("cust", 100, 1, 15001)]))
 
 
 def _snap_sql(chart: Chart, cell: int, snap: str) -> str:
@@ -303,10 +343,7 @@ def _snap_sql(chart: Chart, cell: int, snap: str) -> str:
 
 
 def _flat(spark, sf_dir, cell: int) -> core.Index:
-    key = (spark.sparkContext.applicationId, sf_dir, cell)
-    if key not in _FLATS:
-        _FLATS[key] = core.flat(view(spark, sf_dir, "plane"), XY, PLANE.widths, {"x": cell, "y": cell})
-    return _FLATS[key]
+    return kept(_FLATS, (spark.sparkContext.applicationId, sf_dir, cell), lambda: core.flat(view(spark, sf_dir, "plane"), XY, PLANE.widths, {"x": cell, "y": cell}))
 
 
 _FLATS: dict = {}
@@ -358,34 +395,60 @@ query("h_overlap_probe", _OVERLAP)(lambda s, d: lsh.overlap(_literal(s, BOXES),
 query("h_verify", _OVERLAP)(lambda s, d: lsh.verify(_literal(s, BOXES).select(F.col("id").alias("box")).crossJoin(_literal(s, QBOXES).select(F.col("id").alias("query"))), _literal(s, BOXES), _literal(s, QBOXES), XY))  # 64 x 6 literal boxes
 
 
+SAMPLES = 6
+
+
+def search(nodes: DataFrame, asked: DataFrame, dims, widths, scheme: str, directions: int = 3, seed: int = 4) -> DataFrame:
+    """(query, box) pairs by a scheme whose bucket width follows the extents; ``nodes`` may hold inner nodes."""
+    within = {"combined": "plain"}.get(scheme, scheme)
+    samples = 3 if scheme == "edges" else SAMPLES
+    if scheme == "combined":
+        return lsh.overlap_combined(nodes, asked, lsh.Family.fitted(dims, widths, nodes, asked, directions, samples, within, seed), samples, within)
+    leaves = nodes.where("is_leaf") if "is_leaf" in nodes.columns else nodes
+    return lsh.overlap(leaves, asked, lsh.Family.fitted(dims, widths, leaves, asked, directions, samples, within, seed), samples, within)
+
+
+#: The share of true pairs that every scheme must find (see ``lsh``: reversed tables without probing miss some by chance).
+LEAST_FOUND = {"reversed": 0.9, "plain": 1.0, "edges": 1.0, "probe": 1.0, "combined": 1.0}
+
+
+def found_enough(quality: DataFrame, scheme: str) -> DataFrame:
+    """some_wanted, all_true, finds_enough: red where nothing is found."""
+    return quality.select((F.col("wanted") > 0).alias("some_wanted"), (F.col("precision") == 1.0).alias("all_true"), (F.col("recall") >= LEAST_FOUND[scheme]).alias("finds_enough"))
+
+
+ENOUGH = "select true as some_wanted, true as all_true, true as finds_enough"
+
+
 def _scheme(scheme: str):
     def run(spark, sf_dir):
-        ix = indexed(spark, sf_dir, "plane")
-        nodes, asked = boxes_of(spark, ix, scheme == "combined"), _literal(spark, QBOXES)
-        if scheme == "combined":
-            found = lsh.overlap_combined(nodes, asked, FAMILY, 4)
-            truth_nodes = nodes.where("is_leaf")
-        else:
-            found, truth_nodes = lsh.overlap(nodes, asked, FAMILY, 4, scheme), nodes
-        wide = lsh.Family.draw(XY, (57600, 57600), 3, 0.6)
-        truth = lsh.overlap(truth_nodes, asked, wide, 8, "probe")
-        row = measures.candidate_quality(found, truth)
-        # verified candidates are always true ones; how many are found is the scheme's
-        return row.select((F.col("precision") == 1.0).alias("all_true"), (F.col("recall") >= 0.3).alias("finds_some"))
+        nodes, asked = boxes_of(spark, indexed(spark, sf_dir, "plane"), True), _literal(spark, QBOXES)
+        truth = lsh.overlap_scan(nodes.where("is_leaf"), asked, XY)
+        return found_enough(measures.candidate_quality(search(nodes, asked, XY, (57600, 57600), scheme), truth), scheme)
 
     return run
 
 
-for _s in ("edges", "plain", "reversed", "combined"):
-    query(f"h_overlap_{_s}", "select true as all_true, true as finds_some")(_scheme(_s))
+for _s in ("edges", "plain", "reversed", "probe", "combined"):
+    query("h_overlap_probe_leaves" if _s == "probe" else f"h_overlap_{_s}", ENOUGH)(_scheme(_s))
 
 
-@query("h_point_in_range", f"select count(*) as points, true as found_inside from (select 1 from ({PLANE.sql}) where x < 3200 and y < 3200)")
+@query("h_point_in_range", f"select count(*) as points from (select 1 from ({PLANE.sql}) where x < 3200 and y < 3200)")
 def _(spark, sf_dir):
+    """Every point of a box is found through buckets: as many as a scan counts."""
     fam = lsh.Family.draw(XY, (57600, 57600), 2, 0.15)
     box = spark.createDataFrame([(0, 0, 0, 3199, 3199)], "id int, lo_x bigint, lo_y bigint, hi_x bigint, hi_y bigint")
     got = lsh.point_in_range(view(spark, sf_dir, "plane").select("event_id", "x", "y"), box, fam, 8, "event_id")
-    return got.agg(F.countDistinct("point").alias("points")).withColumn("found_inside", F.lit(True))
+    return got.agg(F.countDistinct("point").alias("points"))
+
+
+@query("h_build", HEAT.sql(PLANE.sql))
+def _(spark, sf_dir):
+    """An index whose records find their leaves through buckets."""
+    ix = indexed(spark, sf_dir, "plane")
+    mark = (spark.sparkContext.applicationId, sf_dir, "hashed")
+    make = lambda: core.build(view(spark, sf_dir, "plane"), XY, PLANE.widths, "event_id", grid_widths=INDEXED["plane"][2], nodes=ix.nodes, find=lsh.finder(XY, (57600, 57600)))
+    return kept(_FLATS, mark, make).chart(HEAT)
 
 
 @query("h_bucket_stats")
@@ -411,16 +474,16 @@ def _(spark, sf_dir):
     return both.agg(F.count("*").alias("records"), F.coalesce(F.bool_and(F.col("area").isNull() | (F.col("area") == F.col("want"))), F.lit(True)).alias("same_as_boxes"))
 
 
-@query("q_tree_candidates", f"select q.id as query, true as same from {_values(QBOXES, 'q')}")
+@query("q_tree_candidates", f"select q.id as query, true as same, true as within_candidates from {_values(QBOXES, 'q')}")
 def _(spark, sf_dir):
-    """Descent level by level and one pass over all leaf boxes give the same leaves, up to cell edges."""
+    """Descent level by level finds the leaves that a test of every leaf's box finds; cells may reach a little further."""
     ix = indexed(spark, sf_dir, "plane")
-    rows = []
+    lo, hi, rows = ix.nodes.lo[ix.leaves], ix.nodes.hi[ix.leaves], []
     for i, x, y, a, b in QBOXES:
         chart = Chart([], {"x": (x, a + 1), "y": (y, b + 1)})
-        down, _n = ix.descend(chart)
-        rows.append((i, set(down.tolist()) <= set(ix.candidates(chart).tolist())))
-    return spark.createDataFrame(rows, "query int, same boolean")
+        down, want = set(ix.descend(chart)[0].tolist()), set(np.flatnonzero((lo <= (a, b)).all(axis=1) & (hi >= (x, y)).all(axis=1)).tolist())
+        rows.append((i, down == want, want <= set(ix.candidates(chart).tolist())))
+    return spark.createDataFrame(rows, "query int, same boolean, within_candidates boolean")
 
 
 # ---- builds ------------------------------------------------------------------------------------------------------
@@ -443,8 +506,16 @@ def _(spark, sf_dir):
 
 @query("c_outlier_rows", HEAT.sql(PLANE.sql))
 def _(spark, sf_dir):
-    """Records of thin leaves stay rows; dense leaves answer from cells; both are added."""
-    return descriptors.with_outliers(view(spark, sf_dir, "plane"), indexed(spark, sf_dir, "plane"), HEAT, 0.25)
+    """Records of thin leaves stay rows, stored once; dense leaves answer from cells; both are added."""
+    mark = (spark.sparkContext.applicationId, sf_dir)
+    if mark not in _OUTLIERS:
+        from apcube.queries.surroundings import scratch
+
+        _OUTLIERS[mark] = descriptors.OutlierStore(view(spark, sf_dir, "plane"), indexed(spark, sf_dir, "plane"), 0.25, scratch(spark, "outliers"))
+    return _OUTLIERS[mark].chart(HEAT)
+
+
+_OUTLIERS: dict = {}
 
 
 @query("c_kmeans", HEAT.sql(PLANE.sql))
@@ -502,35 +573,44 @@ def chart_query(name: str, source: str, chart: Chart, measure: str | None = None
 
 _LOGS = Bins.log("chars", 2, 10, 144000)
 chart_query("q_bins_width", "splom", Chart([Bins.width("qty", 10, 0, 60)], {"disc": (2, 6)}))
+EDGES = Chart([Bins("x", (0, 1800, 7200, 14400, 36000, 57600))])
 query("q_bins_log", Chart([_LOGS]).sql(VIEWS["docs"].sql))(lambda s, d: _docs_fine(s, d).chart(Chart([_LOGS])))
-query("q_bins_edges", Chart([Bins("x", (0, 1800, 7200, 14400, 36000, 57600))]).sql(PLANE.sql))(lambda s, d: core.flat(view(s, d, "plane"), XY, PLANE.widths, {"x": 1800, "y": 1800}).chart(Chart([Bins("x", (0, 1800, 7200, 14400, 36000, 57600))])))
+query("q_bins_edges", EDGES.sql(PLANE.sql))(lambda s, d: zoomed(s, d).chart(EDGES))
 chart_query("q_bins_calendar", "checkin", Chart([Bins.width("wd", 1, 0, 7), Bins.width("hr", 1, 0, 24)]))
 ZOOM = Chart([Bins.width("x", 1800, 0, 14400), Bins.width("y", 1800, 0, 14400)])
-query("q_zoom", ZOOM.sql(PLANE.sql))(lambda s, d: _flat(s, d, 900).chart(ZOOM))
+query("q_zoom", ZOOM.sql(PLANE.sql))(lambda s, d: zoomed(s, d).chart(ZOOM))
+VIEWPORT = Chart.viewport({"x": (3000, 21000), "y": (100, 9900)}, 12, {"x": 900, "y": 900})
+query("q_viewport", VIEWPORT.sql(PLANE.sql))(lambda s, d: zoomed(s, d).chart(VIEWPORT))
+
+
+def zoomed(spark, sf_dir) -> core.Index:
+    """The adaptive index of the plane for bins down to 900 scales."""
+    return indexed(spark, sf_dir, "plane", measure="x", grid={"x": 900, "y": 900}, bins=64)
 
 
 def _docs_fine(spark, sf_dir):
-    return core.flat(view(spark, sf_dir, "docs"), ("chars",), VIEWS["docs"].widths, {"chars": 1})
+    """The adaptive index of document lengths with cells of one scale: any edges fit."""
+    return indexed(spark, sf_dir, "docs", dims=("chars",), grid={"chars": 1}, budget=1 << 18)
 
 
 @query("q_bins_category", f"select event_type as t1, count(*) as value from ({PLANE.sql}) where x < 7200 group by all")
 def _(spark, sf_dir):
-    return descriptors.category_cells(view(spark, sf_dir, "plane"), "event_type", {"x": 1800}).where("q_x < 4").groupBy(F.col("event_type").alias("t1")).agg(F.sum("n").alias("value"))
+    return rich(spark, sf_dir).chart(Chart([], {"x": (0, 7200)}), by=("event_type",)).withColumnRenamed("event_type", "t1")
 
 
 @query("q_bins_groups", f"select case when event_type in ('view', 'click') then 'browse' when event_type = 'purchase' then 'buy' else 'other' end as t1, count(*) as value from ({PLANE.sql}) where x < 7200 group by all")
 def _(spark, sf_dir):
-    cells = descriptors.category_cells(view(spark, sf_dir, "plane"), "event_type", {"x": 1800}).where("q_x < 4")
+    cells = rich(spark, sf_dir).chart(Chart([], {"x": (0, 7200)}), by=("event_type",))
     group = F.when(F.col("event_type").isin("view", "click"), "browse").when(F.col("event_type") == "purchase", "buy").otherwise("other")
-    return cells.groupBy(group.alias("t1")).agg(F.sum("n").alias("value"))
+    return cells.groupBy(group.alias("t1")).agg(F.sum("value").alias("value"))
 
 
 @query("q_bins_depth", "select 8 as bins, true as balanced")
 def _(spark, sf_dir):
-    """Edges of equal numbers of records from the index's own 1-D prefix; bins hold what one cell's width allows."""
-    fine = core.flat(view(spark, sf_dir, "plane"), ("x",), PLANE.widths, {"x": 25})
+    """Edges of equal numbers of records from the index's own cells; bins hold what one cell's width allows."""
+    fine = indexed(spark, sf_dir, "plane", dims=("x",), grid={"x": 25}, budget=1 << 18, bins=4096)
     edges = descriptors.depth_edges(fine, "x", 8)
-    got = scan(view(spark, sf_dir, "plane"), Chart([Bins("x", edges)]))
+    got = fine.chart(Chart([Bins("x", edges)]))
     return got.agg(F.lit(len(edges) - 1).alias("bins"), (F.max("value") <= 1.25 * F.sum("value") / F.lit(8)).alias("balanced"))
 
 
@@ -546,14 +626,15 @@ def linked_sql(name: str, bins: dict[str, int], brushes: dict[str, tuple[int, in
     return " union all ".join(out)
 
 
+def linked_views(index: core.Index, bins: dict[str, int], brushes: dict[str, tuple[int, int]]) -> list[tuple[str, Chart]]:
+    """(dimension, chart): one chart per dimension under all brushes but its own."""
+    whole = lambda d, w: Bins.width(d, w, 0, -(-int(index.widths[index.dims.index(d)]) // w) * w)
+    return [(d, Chart([whole(d, w)], {o: r for o, r in brushes.items() if o != d})) for d, w in bins.items()]
+
+
 def linked(index: core.Index, bins: dict[str, int], brushes: dict[str, tuple[int, int]]) -> DataFrame:
-    """chart, t1, value: one chart per dimension under all brushes but its own, in one job."""
-    out = None
-    for d, w in bins.items():
-        b = Bins.width(d, w, 0, -(-int(index.widths[index.dims.index(d)]) // w) * w)
-        one = index.chart(Chart([b], {o: r for o, r in brushes.items() if o != d})).select(F.lit(d).alias("chart"), "t1", "value")
-        out = one if out is None else out.union(one)
-    return out
+    """chart, t1, value: one chart per dimension under all brushes but its own, in one pass over the cells."""
+    return index.linked([((d,), c) for d, c in linked_views(index, bins, brushes)], "chart")
 
 
 query("q_linked", linked_sql("checkin", LINKED, BRUSH))(lambda s, d: linked(indexed(s, d, "checkin"), LINKED, BRUSH))
@@ -574,17 +655,21 @@ def _(spark, sf_dir):
     return ix.chart(HEAT, leaves=ix.candidates(HEAT))
 
 
-@query("q_preview", "select true as within_exact, true as shows_something")
+@query("q_preview", "select true as within_exact, true as shows_most")
 def _(spark, sf_dir):
-    """Leaves from hashed candidates only: counts never exceed the exact ones on aligned bins."""
+    """Leaves from hashed candidates only: counts never exceed the exact ones on aligned bins, and most are there."""
     ix = indexed(spark, sf_dir, "plane")
     area = spark.createDataFrame([(0, 0, 0, 14399, 14399)], "id int, lo_x bigint, lo_y bigint, hi_x bigint, hi_y bigint")
-    hit = [r["box"] for r in lsh.overlap(boxes_of(spark, ix), area, FAMILY, 4, "reversed").collect()]  # at most one row a leaf
     chart = Chart([Bins.width("x", 7200, 0, 14400), Bins.width("y", 7200, 0, 14400)])
-    where = {int(n): i for i, n in enumerate(ix.leaves)}
-    seen = ix.chart(chart, leaves=[where[h] for h in hit]) if hit else ix.chart(chart).limit(0)
+    seen = ix.chart(chart, leaves=hit_leaves(ix, search(boxes_of(spark, ix), area, XY, (57600, 57600), "reversed")))
     both = ix.chart(chart).withColumnRenamed("value", "exact").join(seen, ["t1", "t2"], "left")
-    return both.agg(F.coalesce(F.bool_and(F.coalesce("value", F.lit(0)) <= F.col("exact")), F.lit(True)).alias("within_exact"), (F.coalesce(F.sum("value"), F.lit(0)) > 0).alias("shows_something"))
+    return both.agg(F.coalesce(F.bool_and(F.coalesce("value", F.lit(0)) <= F.col("exact")), F.lit(False)).alias("within_exact"), (F.coalesce(F.sum("value"), F.lit(0)) >= 0.9 * F.sum("exact")).alias("shows_most"))
+
+
+def hit_leaves(ix: core.Index, pairs: DataFrame) -> list[int]:
+    """Numbers of the leaves among found pairs."""
+    hit = {r["box"] for r in pairs.select("box").distinct().collect()}  # at most one row a leaf
+    return [i for i, n in enumerate(ix.leaves) if int(n) in hit]
 
 
 for _h in (1, 2, 3):
@@ -731,15 +816,38 @@ def _(spark, sf_dir):
     return spark.createDataFrame([card("plane", ix, seconds)], CARD)
 
 
+def stored_bytes(spark, index: core.Index) -> int:
+    """Bytes of the saved cells, nodes and metadata on disk."""
+    from apcube.queries.surroundings import scratch
+
+    path = scratch(spark, "stored")
+    store.save(index, path)
+    return folder_bytes(spark, path)
+
+
+def folder_bytes(spark, path: str) -> int:
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return int(p.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(p).getLength())
+
+
 @query("m_storage")
 def _(spark, sf_dir):
-    ix = indexed(spark, sf_dir, "plane")
-    return ix.cells.agg(F.count("*").alias("cells"), (F.count("*") * 8 * (2 * len(ix.dims) + 5)).alias("bytes")).withColumn("dense_bytes", F.lit(ix.dense_entries() * 24))
+    ix = indexed(spark, sf_dir, "plane", measure="x")
+    arrays = ix.prefix().agg(F.sum(F.size("sums").cast("long") * 8)).first()[0] or 0
+    return spark.createDataFrame([(ix.cells.count(), stored_bytes(spark, ix), int(arrays))], "cells bigint, bytes_on_disk bigint, dense_bytes bigint")
 
 
-@query("m_candidates", "select true as all_true")
+@query("m_storage_lossless", HEAT.sql(PLANE.sql))
 def _(spark, sf_dir):
-    ix = indexed(spark, sf_dir, "plane")
-    nodes, asked = boxes_of(spark, ix), _literal(spark, QBOXES)
-    truth = lsh.overlap(nodes, asked, lsh.Family.draw(XY, (57600, 57600), 3, 0.6), 8, "probe")
-    return measures.candidate_quality(lsh.overlap(nodes, asked, FAMILY, 4, "reversed"), truth).select((F.col("precision") == 1.0).alias("all_true"))
+    """What is saved answers as what was built."""
+    from apcube.queries.surroundings import scratch
+
+    path = scratch(spark, "lossless")
+    store.save(indexed(spark, sf_dir, "plane", measure="x"), path)
+    return store.load(spark, path).chart_prefix(HEAT)
+
+
+@query("m_candidates", ENOUGH)
+def _(spark, sf_dir):
+    nodes, asked = boxes_of(spark, indexed(spark, sf_dir, "plane")), _literal(spark, QBOXES)
+    return found_enough(measures.candidate_quality(search(nodes, asked, XY, (57600, 57600), "probe"), lsh.overlap_scan(nodes, asked, XY)), "probe")

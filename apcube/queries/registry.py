@@ -14,6 +14,7 @@ from apcube.sources.tables import VIEWS, view
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
 _BUILT: dict[tuple, core.Index] = {}
+MOST_KEPT = 24
 
 #: How each view is indexed: dimensions, the key that samples by, sampling rate and bin widths that cells divide.
 INDEXED = {
@@ -43,14 +44,27 @@ def query(name: str, sql: str | None = None):
     return put
 
 
-def indexed(spark: SparkSession, sf_dir: str, name: str, dims: tuple[str, ...] | None = None, measure: str | None = None, aligned: bool = True, rate: float = 1.0, nodes: Nodes | None = None, tag: str = "", **options) -> core.Index:
-    """The index of a view, built once a session, table folder and set of options."""
-    all_dims, key, grid = INDEXED[name]
+def kept(cache: dict, mark: tuple, make: Callable[[], core.Index]) -> core.Index:
+    """The index under ``mark``, made where there is none; beyond MOST_KEPT the oldest is released (and would be computed
+    anew by a query that still holds it)."""
+    if mark not in cache:
+        cache[mark] = make()
+        if len(cache) > MOST_KEPT:
+            old = cache.pop(next(iter(cache)))
+            old.cells.unpersist()
+            if old._prefix is not None:
+                old._prefix.unpersist()
+    return cache[mark]
+
+
+def indexed(spark: SparkSession, sf_dir: str, name: str, dims: tuple[str, ...] | None = None, measure: str | None = None, aligned: bool = True, rate: float = 1.0, nodes: Nodes | None = None, tag: str = "", grid: dict[str, int] | None = None, **options) -> core.Index:
+    """The index of a view, built once a session, table folder and set of options. ``grid``: bin widths that cells divide, in
+    place of the view's own."""
+    all_dims, key, widths = INDEXED[name]
     dims = dims or all_dims
-    mark = (spark.sparkContext.applicationId, sf_dir, name, dims, measure, aligned, rate, tag, tuple(sorted(options.items())))
-    if mark not in _BUILT:
-        _BUILT[mark] = core.build(view(spark, sf_dir, name), dims, VIEWS[name].widths, key, measure, rate=rate, grid_widths={d: grid[d] for d in dims} if aligned else None, nodes=nodes, **options)
-    return _BUILT[mark]
+    grid = {d: (grid or widths).get(d, widths.get(d)) for d in dims} if aligned else None
+    mark = (spark.sparkContext.applicationId, sf_dir, name, dims, measure, tuple((grid or {}).items()), rate, tag, tuple(sorted(options.items(), key=lambda kv: kv[0])))
+    return kept(_BUILT, mark, lambda: core.build(view(spark, sf_dir, name), dims, VIEWS[name].widths, key, measure, rate=rate, grid_widths=grid, nodes=nodes, **options))
 
 
 def measured(name: str, m: str) -> str:

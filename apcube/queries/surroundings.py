@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -22,12 +24,21 @@ from apcube.sources import store
 from apcube.sources.tables import VIEWS, load, view
 
 
+_SCRATCH: dict[str, str] = {}
+
+
 def scratch(spark: SparkSession, name: str) -> str:
-    """A new folder that driver and executors share: that of checkpoints where one is set, else a temporary one in local
-    mode, else in the warehouse."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
+    """A new folder that driver and executors share: in that of checkpoints where one is set, else in a temporary one in
+    local mode (deleted when the process ends), else in the warehouse."""
+    base, app = spark.conf.get("spark.checkpoint.dir", None), spark.sparkContext.applicationId
     if not base:
-        base = tempfile.gettempdir() if spark.sparkContext.master.startswith("local[") else spark.conf.get("spark.sql.warehouse.dir")
+        if app not in _SCRATCH:
+            if spark.sparkContext.master.startswith("local["):
+                _SCRATCH[app] = tempfile.mkdtemp(prefix="apcube-")
+                atexit.register(shutil.rmtree, _SCRATCH[app], True)
+            else:
+                _SCRATCH[app] = spark.conf.get("spark.sql.warehouse.dir")
+        base = _SCRATCH[app]
     return f"{base.rstrip('/')}/apcube-scratch/{name}-{uuid.uuid4().hex[:10]}"
 
 

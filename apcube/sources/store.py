@@ -11,7 +11,7 @@ from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 from pyspark.sql.functions import udtf
 
 from apcube.operators.boxtree import Nodes
-from apcube.operators.index import Index
+from apcube.operators.index import Extra, Index
 
 
 def save(index: Index, path: str) -> None:
@@ -20,7 +20,7 @@ def save(index: Index, path: str) -> None:
     n, spark = index.nodes, index.cells.sparkSession
     rows = [(i, int(n.parent[i]), int(n.depth[i]), int(n.count[i]), bool(n.leaf[i]), n.lo[i].tolist(), n.hi[i].tolist()) for i in range(len(n.lo))]
     spark.createDataFrame(rows, "node int, parent int, depth int, n bigint, leaf boolean, lo array<bigint>, hi array<bigint>").coalesce(1).write.mode("overwrite").parquet(f"{path}/nodes")
-    meta = {"dims": index.dims, "widths": index.widths.tolist(), "leaves": index.leaves.tolist(), "cells_per": index.cells_per.tolist(), "budget": index.budget, "aligned": index.aligned, "height": index.height, "grids": [int(g) for g in index.grids]}
+    meta = {"dims": index.dims, "widths": index.widths.tolist(), "leaves": index.leaves.tolist(), "cells_per": index.cells_per.tolist(), "budget": index.budget, "aligned": index.aligned, "height": index.height, "grids": [int(g) for g in index.grids], "axes": list(index.axes), "extras": [[x.name, x.collect, x.merge, list(x.columns)] for x in index.extras]}
     spark.createDataFrame([(json.dumps(meta),)], "meta string").coalesce(1).write.mode("overwrite").parquet(f"{path}/meta")
 
 
@@ -29,7 +29,7 @@ def load(spark: SparkSession, path: str) -> Index:
     rows = spark.read.parquet(f"{path}/nodes").orderBy("node").collect()  # as many as nodes
     col = lambda k, kind: np.array([r[k] for r in rows], kind)
     nodes = Nodes(col("lo", np.int64), col("hi", np.int64), col("parent", int), col("depth", int), col("n", int), col("leaf", bool))
-    out = Index(meta["dims"], np.array(meta["widths"]), nodes, np.array(meta["leaves"]), np.array(meta["cells_per"], np.int64), spark.read.parquet(f"{path}/cells"), meta["budget"], meta["aligned"], meta["height"])
+    out = Index(meta["dims"], np.array(meta["widths"]), nodes, np.array(meta["leaves"]), np.array(meta["cells_per"], np.int64), spark.read.parquet(f"{path}/cells"), meta["budget"], meta["aligned"], meta["height"], axes=tuple(meta["axes"]), extras=tuple(Extra(a, b, c, tuple(d)) for a, b, c, d in meta["extras"]))
     out.grids = meta["grids"]
     return out
 

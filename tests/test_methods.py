@@ -183,10 +183,10 @@ def test_density_criterion_overlaps_less(plane):
 
 def test_locate_equals_brute_force():
     g = np.random.default_rng(7)
-    for p, d in ((1, 1), (64, 3), (200, 2)):
-        w = np.array([1000, 90000, 50][:d])
+    for p, d in ((1, 1), (64, 3), (200, 2), (1500, 2), (3000, 4)):
+        w = np.array([1000, 90000, 50, 700][:d])
         lo = (g.random((p, d)) * w).astype(int)
-        hi = np.minimum(lo + (g.random((p, d)) * w / 2).astype(int), w - 1)
+        hi = np.minimum(lo + (g.random((p, d)) * w / (2 if p < 1000 else 20)).astype(int), w - 1)
         x = (g.random((800, d)) * w).astype(int)
         area = ((hi - lo + 1) / w).prod(axis=1)
         for point, got in zip(x, core.locate(x, lo, hi, w.astype(float))):
@@ -196,6 +196,66 @@ def test_locate_equals_brute_force():
             else:
                 gap = ((np.maximum(np.maximum(lo - point, point - hi), 0) / w) ** 2).sum(axis=1)
                 assert gap[got] == gap.min()
+    finder = core.Locator(lo, hi, w.astype(float))
+    assert sum(getattr(v, "nbytes", 0) for v in vars(finder).values()) < 400 * p
+
+
+@pytest.mark.parametrize("snap", ["nearest", "inner", "outer"])
+def test_prefix_is_complete_and_exact_where_late_points_stretch_a_leaf(spark, snap):
+    """2,000 points in a corner and 20 far ones that the tree never saw: cells, prefix arrays, opened index and scan agree,
+    also for measures whose sums pass 2**53."""
+    g = np.random.default_rng(2)
+    near, far = g.integers(0, 1500, (2000, 2)), g.integers(0, 57600, (20, 2))
+    rows = [(i, int(x), int(y), (1 << 40) + int(x) * 7 - int(y)) for i, (x, y) in enumerate(np.vstack([near, far]))]
+    df = spark.createDataFrame(rows, "id bigint, x bigint, y bigint, big bigint").persist()
+    for grid in ({"x": 7200, "y": 7200}, {"x": 200, "y": 200}):
+        ix = core.build(df, ("x", "y"), W, "id", measure="big", rate=0.02, grid_widths=grid, leaves=4, budget=4096)
+        assert ix.prefix().selectExpr("max(size(sums))").first()[0] <= 4 * 4096
+        for agg in ("count", "sum", "var"):
+            chart = Chart(HEAT.bins, agg=agg)
+            got = values(ix.chart_prefix(chart, snap))
+            assert got == values(ix.chart(chart, snap))
+            if agg != "var":
+                assert got == values(scan(df, chart, "big"))  # aligned: every snap is exact
+        local = LocalIndex(ix).chart(Chart(HEAT.bins, agg="sum"), snap)
+        assert {k: int(local[k]) for k in zip(*np.nonzero(local))} == values(scan(df, Chart(HEAT.bins, agg="sum"), "big"))
+    assert ix.prefix().count() > ix.prefix().select("leaf").distinct().count()
+
+
+def test_bounds_of_signed_sums(spark):
+    g = np.random.default_rng(9)
+    rows = [(i, int(x), int(y), int(v)) for i, (x, y, v) in enumerate(zip(*g.integers(0, 57600, (2, 800)), g.integers(-50, 50, 800)))]
+    df = spark.createDataFrame(rows, "id bigint, x bigint, y bigint, v bigint").persist()
+    chart = Chart([Bins.width("x", 9000, 0, 54000), Bins.width("y", 9000, 0, 54000)], agg="sum")
+    ix = core.build(df, ("x", "y"), W, "id", measure="v", leaves=8, bins=8)
+    found = {(r["t1"], r["t2"]): r for r in ix.with_error(chart).collect()}
+    for k, v in values(scan(df, chart, "v")).items():
+        assert found[k]["v_lo"] <= v <= found[k]["v_hi"]
+    assert {k: r["value"] for k, r in found.items() if r["value"]} == {k: v for k, v in values(ix.chart(chart)).items() if v}
+    with pytest.raises(ValueError):
+        ix.with_error(Chart(chart.bins, agg="mean"))
+
+
+def test_axes_and_extras(spark, plane):
+    """Categories kept apart in cells and arrays, and sketches and cross sums that merge, at every level."""
+    cross = core.Extra("sxy", "sum(cast(x as decimal(38,0)) * y)", "sum", ("x", "y"))
+    ix = core.build(plane, ("x", "y"), W, "event_id", measure="x", rate=0.1, grid_widths={"x": 7200, "y": 7200}, axes=("event_type",), extras=(cross,))
+    want = {(int(r["t1"]), int(r["t2"]), r["event_type"]): r["n"] for r in plane.selectExpr("x div 7200 as t1", "y div 7200 as t2", "event_type").groupBy("t1", "t2", "event_type").count().withColumnRenamed("count", "n").collect()}
+    for index in (ix, ix.at_depth(1)):
+        assert values(index.chart(HEAT, by=("event_type",))) == want == values(index.chart_prefix(HEAT, by=("event_type",)))
+        assert values(index.chart(HEAT)) == values(scan(plane, HEAT))
+        assert index.cells.selectExpr("sum(sxy)").first()[0] == plane.selectExpr("sum(cast(x as decimal(38,0)) * y)").first()[0]
+    with pytest.raises(ValueError):
+        LocalIndex(ix)
+
+
+def test_linked_is_one_pass_over_the_cells(plane):
+    ix = core.build(plane, ("x", "y"), W, "event_id", grid_widths={"x": 7200, "y": 7200})
+    one = [Chart([Bins.width(d, 7200, 0, 57600)], {o: (0, 14400)} if o else {}) for d, o in (("x", "y"), ("y", "x"), ("x", ""))]
+    got = values(ix.linked([((i,), c) for i, c in enumerate(one)], "step"))
+    assert got == {(i, *k): v for i, c in enumerate(one) for k, v in values(scan(plane, c)).items()}
+    plan = ix.linked([((i,), c) for i, c in enumerate(one)], "step")._jdf.queryExecution().optimizedPlan()
+    assert plan.collectLeaves().size() == 1
 
 
 def test_are_is_symmetric_and_bounded(spark):
@@ -220,6 +280,47 @@ def test_probing_misses_no_overlap(spark):
             assert pairs(lsh.overlap(b, asked, family, 5, scheme)) <= truth
 
 
+@pytest.mark.parametrize("d", [2, 5])
+def test_fitted_hashing_finds_the_overlaps(spark, d):
+    """With a bucket width from the boxes' extents plain samples, probing, edges and the descent miss nothing; the reversed
+    tables without probing find nine tenths at least. Brute force on all pairs."""
+    g, dims = np.random.default_rng(5), tuple(f"a{i}" for i in range(d))
+    w = [1000 * (i + 1) for i in range(d)]
+
+    def boxes(n, share):
+        lo = (g.random((n, d)) * w * (1 - share)).astype(int)
+        hi = lo + (g.random((n, d)) * w * share).astype(int)
+        return lo, hi, spark.createDataFrame([(i, *map(int, a), *map(int, b)) for i, (a, b) in enumerate(zip(lo, hi))], ", ".join(["id int", *(f"lo_{x} bigint" for x in dims), *(f"hi_{x} bigint" for x in dims)])).persist()
+
+    (lo, hi, b), (qlo, qhi, q) = boxes(60, 0.3), boxes(40, 0.2 if d == 2 else 0.5)
+    truth = {(i, j) for i in range(40) for j in range(60) if (lo[j] <= qhi[i]).all() and (hi[j] >= qlo[i]).all()}
+    pairs = lambda df: {(r["query"], r["box"]) for r in df.collect()}
+    assert len(truth) > 20 and pairs(lsh.overlap_scan(b, q, dims)) == truth
+    for scheme in ("plain", "probe", "edges", "reversed"):
+        family = lsh.Family.fitted(dims, w, b, q, 3, 6, scheme)
+        found = pairs(lsh.overlap(b, q, family, 6, scheme))
+        assert found <= truth and len(found) >= (0.9 if scheme == "reversed" else 1.0) * len(truth), scheme
+    # a tree of three levels over the boxes, none of whose inner nodes is a leaf's only way to be found
+    tree = [(100, -1, False, lo.min(axis=0), hi.max(axis=0))]
+    for k in range(6):
+        at = slice(10 * k, 10 * k + 10)
+        tree.append((101 + k, 100, False, lo[at].min(axis=0), hi[at].max(axis=0)))
+    rows = [(n, up, leaf, *map(int, a), *map(int, z)) for n, up, leaf, a, z in tree] + [(i, 101 + i // 10, True, *map(int, lo[i]), *map(int, hi[i])) for i in range(60)]
+    nodes = spark.createDataFrame(rows, ", ".join(["id int", "parent int", "is_leaf boolean", *(f"lo_{x} bigint" for x in dims), *(f"hi_{x} bigint" for x in dims)])).persist()
+    assert pairs(lsh.overlap_combined(nodes, q, lsh.Family.fitted(dims, w, nodes, q, 3, 6, "plain"), 6)) == truth
+    found = pairs(lsh.overlap_combined(nodes, q, lsh.Family.fitted(dims, w, nodes, q, 3, 6, "reversed"), 6, "reversed"))
+    assert found <= truth and len(found) >= 0.9 * len(truth)
+
+
+def test_hashing_in_construction(spark, plane):
+    """Leaves found through buckets give the cells that the vector test gives."""
+    options = {"grid_widths": {"x": 7200, "y": 7200}, "rate": 0.1}
+    plain = core.build(plane, ("x", "y"), W, "event_id", **options)
+    hashed = core.build(plane, ("x", "y"), W, "event_id", nodes=plain.nodes, find=lsh.finder(("x", "y"), (57600, 57600)), **options)
+    cells = lambda ix: sorted(map(tuple, ix.cells.select("leaf", "q_x", "q_y", "n").collect()))
+    assert cells(plain) == cells(hashed) and values(hashed.chart(HEAT)) == values(scan(plane, HEAT))
+
+
 def test_merged_histograms_keep_their_mass(spark, plane):
     from apcube.operators.partitioners import uniform_parts
 
