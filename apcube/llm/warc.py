@@ -110,7 +110,7 @@ def cuts_of(rows: DataFrame, key: str, size: str, most: int) -> np.ndarray:
     return np.array(out, np.int64)
 
 
-def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 512 << 20, file_bytes: int = 64 << 20, date: str = "2000-01-01T00:00:00Z", level: int = 6, id_col: str = "page_id", url_col: str = "url", body_col: str = "html") -> DataFrame:
+def write(pages: DataFrame, out: str, min_payload: int = 0, shard_bytes: int = 64 << 20, file_bytes: int = 8 << 20, date: str = "2000-01-01T00:00:00Z", level: int = 6, id_col: str = "page_id", url_col: str = "url", body_col: str = "html") -> DataFrame:
     """Writes ``pages`` as WARC files in the new folder ``out`` and returns the manifest.
 
     A null body is an empty payload; a null or empty URL is replaced by a name made of the id. Of records with equal
