@@ -48,7 +48,8 @@ STAGES = [
     ("best-fit packing", packed),
 ]
 
-#: SQL expresses neither the model of the first stage nor the packing; tests compare the stages with brute force.
+#: SQL expresses neither the model of the first stage nor the packing; tests compare the operators
+#: behind the stages with brute force, and check the stages' columns, counts and awkward rows.
 ORACLE_SQL = None
 
 
