@@ -13,8 +13,8 @@ boxes' edges instead. What each finds depends on the bucket width r against the
   share one on every direction and none is missed.
 * probe: where two boxes overlap, the difference of the ascending and the descending sample changes its sign between two
   tables, so in one it is at most half the sum of both steps; r of that size misses none.
-* reversed: the two tables around that place miss by chance, with a probability of about (step / r) ** 2 / 6 a direction.
-  r is four times the sum of both steps.
+* reversed: the tables around that place both miss where a bucket ends between the two samples, with a probability of
+  about a quarter of (sum of both steps) / r a direction. r is 16 times that sum, so about 0.985 a direction are found.
 * combined: inner nodes are hashed as well, and every hit one is descended by exact tests.
 """
 
@@ -55,7 +55,7 @@ class Family:
             spans = [b - a for a, b in (family.interval(i) for i in range(directions))] if scheme != "edges" else [F.abs((F.col(f"hi_{d}") - F.col(f"lo_{d}")) * (c / w)) for a in family.a for d, c, w in zip(dims, a, widths)]
             got = df.agg(*(F.max(x).alias(f"s{i}") for i, x in enumerate(spans))).first()
             wide.append(max((x for x in got if x is not None), default=0.0) / max(samples - 1, 1))
-        r = {"plain": max(wide), "edges": max(wide), "probe": sum(wide) / 2, "reversed": 4 * sum(wide)}[scheme]
+        r = {"plain": max(wide), "edges": max(wide), "probe": sum(wide) / 2, "reversed": 16 * sum(wide)}[scheme]
         r = max(round(1.001 * r + 5e-5, 4), 0.001)
         return cls.draw(dims, widths, directions, r, seed)
 
