@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
+import json
 import time
 from collections.abc import Callable, Sequence
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
 
@@ -17,6 +18,13 @@ def are(estimate: DataFrame, truth: DataFrame, keys: Sequence[str], grids: int)
     return both.agg(F.round(F.coalesce(F.sum(term), F.lit(0.0)) / grids, 6).alias("are"))
 
 
+def are_of(estimate: Sequence[Row], truth: Sequence[Row], keys: Sequence[str], grids: int) -> float:
+    """The same of two charts that have been answered: a row a bin, so their size is that of the grid."""
+    v, w = ({tuple(r[k] for k in keys): float(r["value"] or 0) for r in rows} for rows in (estimate, truth))
+    pairs = [(v.get(k, 0.0), w.get(k, 0.0)) for k in v.keys() | w.keys()]
+    return round(sum(abs(a - b) / max(abs(a), abs(b)) for a, b in pairs if a or b) / grids, 6)
+
+
 def are_sql(estimate: str, truth: str, keys: Sequence[str], grids: int) -> str:
     using = ", ".join(keys)
     term = "case when v = 0 and w = 0 then 0 else abs(v - w) / greatest(abs(v), abs(w)) end"
@@ -44,6 +52,11 @@ def payload(df: DataFrame) -> DataFrame:
     return df.agg(F.coalesce(F.sum(F.octet_length(F.to_json(F.struct(*df.columns)))), F.lit(0)).cast("long").alias("bytes"))
 
 
+def payload_of(rows: Sequence[Row]) -> int:
+    """The same of rows that have been answered."""
+    return sum(len(json.dumps(r.asDict(), separators=(",", ":"), default=str).encode()) for r in rows)
+
+
 def timed(run: Callable[[], object]) -> tuple[float, object]:
     began = time.perf_counter()
     out = run()

@@ -270,8 +270,10 @@ def _(spark, sf_dir):
     runs, errors = [], []
     for task, charts in session_charts(spark, sf_dir).items():
         for answer, truth, keys, grids in charts:
-            runs += [(task, round(measures.timed(lambda: answer().collect())[0] * 1000, 3)) for _ in range(3)]  # noqa: B023
-            errors.append((task, float(measures.are(answer(), truth(), keys, grids).first()["are"]), int(measures.payload(answer()).first()["bytes"])))
+            for _ in range(3):
+                seconds, rows = measures.timed(lambda: answer().collect())  # noqa: B023
+                runs.append((task, round(seconds * 1000, 3)))
+            errors.append((task, measures.are_of(rows, truth().collect(), keys, grids), measures.payload_of(rows)))
     times = measures.latency(spark.createDataFrame(runs, "task string, ms double"), by="task")
     means = spark.createDataFrame(errors, "task string, are double, bytes bigint").groupBy("task").agg(F.round(F.avg("are"), 6).alias("mean_are"), F.avg("bytes").alias("mean_payload"))
     return times.join(means, "task")
@@ -282,7 +284,7 @@ def _(spark, sf_dir):
     """How many charts of each task are exact: all but the one whose bins fit no cell."""
     rows = []
     for task, charts in session_charts(spark, sf_dir).items():
-        ares = [measures.are(answer(), truth(), keys, grids).first()["are"] for answer, truth, keys, grids in charts]
+        ares = [measures.are_of(answer().collect(), truth().collect(), keys, grids) for answer, truth, keys, grids in charts]
         rows.append((task, len(ares), sum(a == 0 for a in ares), max(ares) <= 0.35))
     return spark.createDataFrame(rows, "task string, charts int, exact int, bounded boolean")
 
