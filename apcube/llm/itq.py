@@ -27,6 +27,8 @@ from apcube.llm.storage import drop, materialize
 
 #: Rows of a block; a unit of work compares at most two blocks.
 BLOCK = 2048
+#: The centre counts the origin as so many vectors of the sample.
+PRIOR = 32
 
 
 @dataclass
@@ -48,11 +50,24 @@ class Codes:
         return (parts @ (1 << np.arange(self.substring, dtype=np.int64))).astype(np.int64)
 
 
+def thinned(sample: np.ndarray, nearest: float = 0.9, block: int = 1024) -> np.ndarray:
+    """The unit vectors without those of a cosine of ``nearest`` or more with an earlier one."""
+    kept = sample[:0]
+    for start in range(0, len(sample), block):
+        part = sample[start : start + block]
+        part = part[~(part @ kept.T >= nearest).any(axis=1)]
+        kept = np.concatenate([kept, part[~np.triu(part @ part.T >= nearest, 1).any(axis=0)]])
+    return kept
+
+
 def fit(sample: np.ndarray, rotations: int = 4, substring: int = 16, rounds: int = 30, seed: int = 5) -> Codes:
     """Iterative quantisation of a sample of unit vectors. Components of little variance are kept: the rotation spreads
-    the variance over all bits. A vector of fewer components than ``substring`` has substrings of that many bits."""
-    width = sample.shape[1]
-    centre = sample.mean(axis=0) if len(sample) else np.zeros(width)
+    the variance over all bits. A vector of fewer components than ``substring`` has substrings of that many bits.
+
+    Near copies are learned from once, and the centre of few vectors is drawn towards the origin: a centre inside a large
+    group would make the signs of its members chance."""
+    width, sample = sample.shape[1], thinned(sample)
+    centre = sample.sum(axis=0) / (len(sample) + PRIOR)
     x = sample - centre
     _, axes = np.linalg.eigh(x.T @ x + 1e-12 * np.eye(width))
     g = np.random.default_rng(seed)
@@ -124,20 +139,24 @@ def near_duplicates(rows: DataFrame, threshold: float = 0.98, sample_rows: int =
 
     Linked are rows of one label, not null, whose vectors have a cosine of ``threshold`` or more in double precision and
     meet in a table (exact copies always do). Null, empty and zero vectors and vectors with null or non-finite components
-    link with nothing, as do rows without label or id, and vectors of another width than the most common one.
+    link with nothing, as do rows without label or id. Vectors of unequal width aren't compared; each width has codes of its own, in jobs of its own.
     ``n_links`` counts the other rows linked directly. The codes are learned on about ``sample_rows`` distinct vectors
     chosen by a hash of the vector; every vector is indexed. Rows of equal id are expected to be equal: each copy then
     counts as a row of its own. Other columns are ignored; an empty table gives no rows.
     """
-    spark = rows.sparkSession
     base = rows.select(F.col(id_col).alias("vec_id"), F.col(vector_col).cast("array<double>").alias("vector"), F.col(label_col).alias("label"))
     fine = F.col("label").isNotNull() & F.col("vec_id").isNotNull() & F.expr("vector is not null and size(vector) > 0 and forall(vector, x -> x is not null and not isnan(x) and abs(x) <= 1e150) and exists(vector, x -> abs(x) >= 1e-150)")
     usable = base.where(fine)
-    widths = usable.groupBy(F.size("vector").alias("w")).count().orderBy(F.desc("count"), "w").first()
-    singles = base.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
-    if widths is None:
-        return singles
-    width = widths["w"]
+    widths = usable.groupBy(F.size("vector").alias("w")).count().orderBy("w").collect()  # a row a width
+    out = base.where(~F.coalesce(fine, F.lit(False))).select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+    for w in widths:
+        out = out.union(_of_width(usable, w["w"], threshold, sample_rows, rotations, substring, seed))
+    return out
+
+
+def _of_width(usable: DataFrame, width: int, threshold: float, sample_rows: int, rotations: int, substring: int, seed: int) -> DataFrame:
+    """vec_id, n_links, component_id, kept of the rows (vec_id, vector, label) whose vectors have ``width`` components."""
+    spark = usable.sparkSession
     keyed = usable.where(F.size("vector") == width).select("vec_id", "label", F.transform("vector", lambda x: x + F.lit(0.0)).alias("vector"))
     keyed = keyed.withColumns({"p": F.xxhash64("vector"), "q": F.xxhash64(F.lit(seed), "vector")})  # adding 0.0 made -0.0 equal 0.0
     folds = materialize(keyed.groupBy("label", "p", "q").agg(F.min("vec_id").alias("rep"), F.count("*").alias("copies")), "folds")
@@ -170,6 +189,4 @@ def near_duplicates(rows: DataFrame, threshold: float = 0.98, sample_rows: int =
     of_fold = folds.join(more.withColumnRenamed("a", "rep"), "rep", "left").join(forest.withColumnRenamed("node", "rep"), "rep", "left")
     of_fold = materialize(of_fold.select("label", "p", "q", (F.coalesce("more", F.lit(0)) + F.col("copies") - 1).alias("links"), F.coalesce("component", "rep").alias("c")), "outcome")
     drop(folds, reps, coded, found, forest)
-    linked = keyed.select("vec_id", "label", "p", "q").join(of_fold, ["label", "p", "q"]).select("vec_id", F.col("links").alias("n_links"), F.col("c").alias("component_id"), (F.col("c") == F.col("vec_id")).alias("kept"))
-    rest = base.where(~F.coalesce(fine & (F.size("vector") == width), F.lit(False)))
-    return linked.union(rest.select("vec_id", F.lit(0).cast("long"), F.col("vec_id"), F.lit(True)))
+    return keyed.select("vec_id", "label", "p", "q").join(of_fold, ["label", "p", "q"]).select("vec_id", F.col("links").alias("n_links"), F.col("c").alias("component_id"), (F.col("c") == F.col("vec_id")).alias("kept"))
