@@ -351,15 +351,14 @@ def region_rows(spark, sf_dir, configs: tuple[str, ...] = CONFIGS) -> list[tuple
     rows = []
     for region, (_lo, _hi, width) in REGIONS.items():
         chart = region_chart(region)
-        truth = base.scan(view(spark, sf_dir, "plane"), chart).persist()
+        truth = base.scan(view(spark, sf_dir, "plane"), chart).collect()  # a row a bin
         n = (len(chart.bins[0].edges) - 1) ** 2
         for config in configs:
             for grid in (None, width) if config[0] in "hl" else (None,):
                 ix = config_index(spark, sf_dir, config, grid)
                 answer = lambda: ix.chart(chart, leaves=region_leaves(spark, ix, region, config))  # noqa: B023, E731
-                ms, _n = measures.timed(lambda: answer().collect())  # noqa: B023
-                rows.append((region, "off" if grid is None else "on", config, float(measures.are(answer(), truth, chart.names, n).first()["are"]), ix.dense_entries(), round(ms * 1000, 1)))
-        truth.unpersist()
+                seconds, got = measures.timed(lambda: answer().collect())  # noqa: B023
+                rows.append((region, "off" if grid is None else "on", config, measures.are_of(got, truth, chart.names, n), ix.dense_entries(), round(seconds * 1000, 1)))
     return rows
 
 
@@ -422,10 +421,11 @@ def _(spark, sf_dir):
     chart, rows = region_chart("dense"), {}
     df = view(spark, sf_dir, "plane")
     exact = base.scan(df, chart).persist()
+    truth = exact.collect()  # a row a bin
     for kind in ("density", "area", "kd", "quad", "str", "uniform"):
         ix = core.build(df, m.XY, PLANE.widths, "event_id", bins=10, nodes=m.partition(spark, sf_dir, "plane", m.XY, kind))
         held = m.in_bounds(exact, ix.with_error(chart), chart.names).agg(F.bool_and("in_bounds")).first()[0]
-        rows[kind] = (bool(held), measures.are(ix.chart(chart), exact, chart.names, 16).first()["are"])
+        rows[kind] = (bool(held), measures.are_of(ix.chart(chart).collect(), truth, chart.names, 16))
         ix.cells.unpersist()
     return spark.createDataFrame([(k, held and are <= rows["uniform"][1] + 0.1) for k, (held, are) in rows.items()], "partitioner string, bounded boolean")
 
