@@ -9,7 +9,7 @@ from apcube import queries as registered
 from test_queries import canon
 
 QUERIES, ORACLES = registered.queries(), registered.oracle_sql()
-BEYOND = ["d_combo", "d_cov_corr", "d_distinct", "d_mean_var_std"]
+BEYOND = ["d_combo", "d_cov_corr", "d_distinct", "d_mean_var_std", "d_minmax_interval"]
 
 
 def copied(sf, folder, **changed):
