@@ -43,3 +43,9 @@ def wide(sf, tmp_path_factory):
 @pytest.mark.parametrize("name", BEYOND)
 def test_records_beyond_the_domain(spark, wide, name):
     against_sql(spark, wide, name)
+
+
+def test_mode_at_the_edge_of_the_data(spark, sf, tmp_path):
+    """Evenly spread totals, the lowest a little denser: the densest bin is the first, half an average bin from the edge."""
+    every = "select i * 12 + m as o_orderkey, 0::bigint as o_custkey, 'O' as o_orderstatus, (1000 + i % 2000 * 249.5)::double as o_totalprice, make_timestamp(1995, m::bigint + 1, 1 + i::bigint % 28, 0, 0, 0.0) as o_orderdate, '1-URGENT' as o_orderpriority from range(2012) t(i), range(12) u(m)"
+    against_sql(spark, copied(sf, tmp_path, orders=every), "d_mode_of_index")
