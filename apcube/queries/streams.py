@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from apcube.operators.boxtree import Nodes
 from apcube.operators.index import assign
-from apcube.plans.spec import Bins, Chart
+from apcube.plans.spec import Tiling
 from apcube.queries.methods import BOXES
 from apcube.queries.registry import query
 from apcube.queries.surroundings import scratch
@@ -43,7 +43,7 @@ def _(spark, sf_dir):
 
     n = _nodes()
     ix = Index(["x", "y"], W, n, n.leaves, per, cells, 1 << 16, True, 1)
-    return ix.chart(Chart([Bins.width("x", 7200, 0, 57600), Bins.width("y", 7200, 0, 57600)]))
+    return ix.chart(Tiling({"x": 7200, "y": 7200}))
 
 
 _SUM = "count(*) as n, sum(round(value * 100)::bigint)::bigint as s"

@@ -9,7 +9,7 @@ from apcube import queries as registered
 from test_queries import canon
 
 QUERIES, ORACLES = registered.queries(), registered.oracle_sql()
-BEYOND = ["d_combo", "d_cov_corr", "d_distinct", "d_mean_var_std", "d_minmax_interval", "i_cat_axis", "p_rstar_counts_area", "p_rstar_counts_density", "p_rstar_counts_density_n", "p_rstar_reinsert", "q_linked", "q_multi_range"]
+BEYOND = ["d_combo", "d_cov_corr", "d_distinct", "d_mean_var_std", "d_minmax_interval", "i_cat_axis", "p_rstar_counts_area", "p_rstar_counts_density", "p_rstar_counts_density_n", "p_rstar_reinsert", "q_linked", "q_multi_range", "str_ingest_cells"]
 
 
 def copied(sf, folder, **changed):
