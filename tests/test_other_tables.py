@@ -10,6 +10,7 @@ from test_queries import canon
 
 QUERIES, ORACLES = registered.queries(), registered.oracle_sql()
 BEYOND = ["d_combo", "d_cov_corr", "d_distinct", "d_mean_var_std", "d_minmax_interval", "i_cat_axis", "p_rstar_counts_area", "p_rstar_counts_density", "p_rstar_counts_density_n", "p_rstar_reinsert", "q_linked", "q_multi_range", "str_ingest_cells"]
+READING = ["h_overlap_probe"]
 
 
 def copied(sf, folder, **changed):
@@ -45,6 +46,12 @@ def test_records_beyond_the_domain(spark, wide, name):
     against_sql(spark, wide, name)
 
 
+@pytest.mark.parametrize("name", READING)
+def test_answers_follow_the_table(spark, sf, wide, name):
+    """Other records, other answers."""
+    assert against_sql(spark, wide, name) != against_sql(spark, sf, name)
+
+
 def test_mode_at_the_edge_of_the_data(spark, sf, tmp_path):
     """Evenly spread totals, the lowest a little denser: the densest bin is the first, half an average bin from the edge."""
     every = "select i * 12 + m as o_orderkey, 0::bigint as o_custkey, 'O' as o_orderstatus, (1000 + i % 2000 * 249.5)::double as o_totalprice, make_timestamp(1995, m::bigint + 1, 1 + i::bigint % 28, 0, 0, 0.0) as o_orderdate, '1-URGENT' as o_orderpriority from range(2012) t(i), range(12) u(m)"
