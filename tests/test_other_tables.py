@@ -10,7 +10,7 @@ from test_queries import canon
 
 QUERIES, ORACLES = registered.queries(), registered.oracle_sql()
 BEYOND = ["d_combo", "d_cov_corr", "d_distinct", "d_mean_var_std", "d_minmax_interval", "i_cat_axis", "p_rstar_counts_area", "p_rstar_counts_density", "p_rstar_counts_density_n", "p_rstar_reinsert", "q_linked", "q_multi_range", "str_ingest_cells"]
-READING = ["h_overlap_probe", "h_verify", "join_box_overlap", "join_cross_grid", "join_self_overlap", "m_coincidence", "m_dense_size", "m_op_count"]
+READING = ["h_overlap_probe", "h_verify", "join_box_overlap", "join_cross_grid", "join_self_overlap", "m_coincidence", "m_dense_size", "m_op_count", "q_slider_steps"]
 
 
 def copied(sf, folder, **changed):
