@@ -52,6 +52,12 @@ def test_answers_follow_the_table(spark, sf, wide, name):
     assert against_sql(spark, wide, name) != against_sql(spark, sf, name)
 
 
+@pytest.mark.parametrize("name", ["p_rstar_counts_density"])
+def test_leaves_over_equal_points(spark, sf, tmp_path, name):
+    """Three values make nine points: most leaves have the box of another one."""
+    against_sql(spark, copied(sf, tmp_path, events="select * replace ((event_id % 3 * 40)::double as value) from events"), name)
+
+
 def test_mode_at_the_edge_of_the_data(spark, sf, tmp_path):
     """Evenly spread totals, the lowest a little denser: the densest bin is the first, half an average bin from the edge."""
     every = "select i * 12 + m as o_orderkey, 0::bigint as o_custkey, 'O' as o_orderstatus, (1000 + i % 2000 * 249.5)::double as o_totalprice, make_timestamp(1995, m::bigint + 1, 1 + i::bigint % 28, 0, 0, 0.0) as o_orderdate, '1-URGENT' as o_orderpriority from range(2012) t(i), range(12) u(m)"
