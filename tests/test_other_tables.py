@@ -63,6 +63,13 @@ def test_records_without_coordinates(spark, sf, tmp_path, name):
     against_sql(spark, copied(sf, tmp_path, events="select * replace (case when event_id % 7 > 0 then value end as value) from events"), name)
 
 
+@pytest.mark.parametrize("name", ["p_rstar_reinsert"])
+@pytest.mark.parametrize("users", [0, 1])
+def test_hardly_any_records(spark, sf, tmp_path, name, users):
+    """None, and two."""
+    against_sql(spark, copied(sf, tmp_path, events=f"select * from events where user_id < {users} order by event_id limit 3"), name)
+
+
 def test_mode_at_the_edge_of_the_data(spark, sf, tmp_path):
     """Evenly spread totals, the lowest a little denser: the densest bin is the first, half an average bin from the edge."""
     every = "select i * 12 + m as o_orderkey, 0::bigint as o_custkey, 'O' as o_orderstatus, (1000 + i % 2000 * 249.5)::double as o_totalprice, make_timestamp(1995, m::bigint + 1, 1 + i::bigint % 28, 0, 0, 0.0) as o_orderdate, '1-URGENT' as o_orderpriority from range(2012) t(i), range(12) u(m)"
