@@ -9,6 +9,7 @@ temperature and the score below which a document is rejected.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -140,7 +141,8 @@ def train(texts: list[str], labels: list[str], held: list[bool], bits: int = 16,
 
 def learn(docs: DataFrame, usable: Column, held: Column, per_lang: int = 1300, lang_bytes: int = 6 << 20, seed: int = 3, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
     """A model from rows where ``usable``; of each language about ``per_lang`` documents and at most ``lang_bytes`` bytes
-    in expectation, chosen by a hash of the id; of those, rows where ``held`` calibrate."""
+    in expectation, chosen by a hash of the id; of those, rows where ``held`` calibrate. An executor trains; the driver gets
+    the model alone."""
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang"), held.alias("held")).where(usable & F.col(lang_col).isNotNull() & F.col(text_col).rlike(r"\p{L}"))
     sizes = rows.groupBy("lang").agg(F.count("*").alias("n"), F.sum(F.octet_length("text")).alias("b")).collect()
     if not sizes:
@@ -149,8 +151,15 @@ def learn(docs: DataFrame, usable: Column, held: Column, per_lang: int = 1300, l
     for r in sizes:
         share = F.when(F.col("lang") == r["lang"], min(1.0, per_lang / r["n"], lang_bytes / max(1, r["b"]))).otherwise(share)
     unit = F.pmod(F.xxhash64(F.lit(seed), "doc_id"), F.lit(1 << 20)) / float(1 << 20)
-    sample = sorted(rows.where(unit < share).collect(), key=lambda r: (r["doc_id"] is None, r["doc_id"], r["text"]))
-    return train([r["text"] for r in sample], [r["lang"] for r in sample], [bool(r["held"]) for r in sample])
+
+    def fit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sample = sorted((r for b in batches for r in b.to_pylist()), key=lambda r: (r["doc_id"] is None, r["doc_id"], r["text"]))
+        model = train(*([f(r[c]) for r in sample] for c, f in (("text", str), ("lang", str), ("held", bool))))
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(model)], pa.binary())], ["model"])
+
+    # one task, as the sample is bounded: its texts and n-grams stay off the driver
+    found = rows.where(unit < share).repartition(1).mapInArrow(fit, "model binary").first()
+    return pickle.loads(found["model"]) if found else train([], [], [])
 
 
 def predict(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", *keep: Column) -> DataFrame:

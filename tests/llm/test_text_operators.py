@@ -1,6 +1,7 @@
 """MinHash groups, mixing, language ID, packing, line spread and LM scoring against brute force, with awkward rows."""
 
 import math
+import os
 import re
 import zlib
 from collections import Counter
@@ -173,6 +174,21 @@ def test_mixed_documents_keeps_rows_without_id_and_clashing_names(spark):
     assert got[0].asDict().keys() == set(df.columns) and {r["text"] for r in got} == {r[1] for r in rows[:4]} and {r["row"] for r in got} == {"x"}
 
 
+def test_languages_are_learned_off_the_driver(spark, monkeypatch):
+    """The sample's texts and n-grams never reach the driver, whose memory is small."""
+    rows = [(i, "the cat sat on the mat" if i % 2 else "der hund lag auf dem sofa", "en" if i % 2 else "de") for i in range(40)]
+    here = langid.train([r[1] for r in rows], [r[2] for r in rows], [i % 4 > 1 for i in range(40)])
+    real, driver = langid.train, os.getpid()
+
+    def elsewhere(*args):
+        assert os.getpid() != driver
+        return real(*args)
+
+    monkeypatch.setattr(langid, "train", elsewhere)
+    model = langid.learn(docs_of(spark, rows), F.lit(True), F.col("doc_id") % 4 > 1)
+    assert model.langs == ["de", "en"] and (model.table == here.table).all() and (model.bias == here.bias).all() and model.reject_below == here.reject_below
+
+
 def test_language_id(spark, sf):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     got = langid.identify(docs).join(docs.select("doc_id", "lang"), "doc_id").where("held_out")
