@@ -105,6 +105,21 @@ def test_tree_invariants():
         assert (again.lo == tree.lo).all() and (again.hi == tree.hi).all()
 
 
+def test_batches_give_the_tree_of_single_insertions(monkeypatch):
+    g = np.random.default_rng(4)
+    sets = [(np.minimum(g.exponential(5000, (3000, 2)).astype(int), 57599), None), (g.integers(0, 3, (500, 2)) * 4000, 4), (g.integers(-100, 100, (1000, 3)), 12)]
+    options = [(p, np.full(p.shape[1], 57600.0), {"capacity": c, "criterion": criterion, "reinsert": again}) for p, c in sets for criterion in boxtree.CRITERIA for again in (0.0, 0.3)]
+    taken = []
+    whole = boxtree.BoxTree.settle
+    monkeypatch.setattr(boxtree.BoxTree, "settle", lambda self, batch: taken.append(whole(self, batch)) or taken[-1])
+    batched = [boxtree.build(p, w, **o) for p, w, o in options]
+    assert max(taken) > 100
+    monkeypatch.setattr(boxtree.BoxTree, "settle", lambda self, batch: 0)
+    for (p, w, o), tree in zip(options, batched):
+        single = boxtree.build(p, w, **o)
+        assert all((getattr(tree, k) == getattr(single, k)).all() for k in ("lo", "hi", "parent", "depth", "count", "leaf"))
+
+
 def test_criteria_agree_where_nodes_are_full():
     """The count factor hardly matters for large nodes and can decide between small ones."""
     t = boxtree.BoxTree(np.array([100.0, 100.0]), 4, criterion="density")

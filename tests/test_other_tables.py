@@ -70,6 +70,19 @@ def test_hardly_any_records(spark, sf, tmp_path, name, users):
     against_sql(spark, copied(sf, tmp_path, events=f"select * from events where user_id < {users} order by event_id limit 3"), name)
 
 
+@pytest.mark.parametrize("name", ["p_rstar_reinsert"])
+def test_tree_of_every_record(spark, sf, tmp_path, monkeypatch, name):
+    """Also of more records than a driver grows a tree on."""
+    from apcube.operators import index as core
+    from apcube.queries import methods
+
+    seen, indexed = [], methods.indexed
+    monkeypatch.setattr(core, "MOST_SAMPLE", 100)
+    monkeypatch.setattr(methods, "indexed", lambda *a, **k: seen.append(indexed(*a, **k)) or seen[-1])
+    against_sql(spark, copied(sf, tmp_path), name)
+    assert [ix.nodes.count[ix.leaves].sum() for ix in seen] == [985]
+
+
 def test_mode_at_the_edge_of_the_data(spark, sf, tmp_path):
     """Evenly spread totals, the lowest a little denser: the densest bin is the first, half an average bin from the edge."""
     every = "select i * 12 + m as o_orderkey, 0::bigint as o_custkey, 'O' as o_orderstatus, (1000 + i % 2000 * 249.5)::double as o_totalprice, make_timestamp(1995, m::bigint + 1, 1 + i::bigint % 28, 0, 0, 0.0) as o_orderdate, '1-URGENT' as o_orderpriority from range(2012) t(i), range(12) u(m)"
