@@ -83,6 +83,19 @@ def test_tree_of_every_record(spark, sf, tmp_path, monkeypatch, name):
     assert [ix.nodes.count[ix.leaves].sum() for ix in seen] == [985]
 
 
+@pytest.mark.parametrize("name", ["p_rstar_counts_density"])
+def test_a_tree_of_a_sample_shows(spark, sf, tmp_path, monkeypatch, name):
+    """Leaves of a tree that was grown on fewer records are told, however many there are."""
+    from apcube.operators import index as core
+    from apcube.queries import methods
+
+    indexed = methods.indexed
+    monkeypatch.setattr(core, "MOST_SAMPLE", 100)
+    monkeypatch.setattr(methods, "indexed", lambda *a, whole, **k: indexed(*a, **k))
+    row = QUERIES[name](spark, copied(sf, tmp_path)).first()
+    assert row["records"] == 985 and not row["whole_sample"]
+
+
 def test_mode_at_the_edge_of_the_data(spark, sf, tmp_path):
     """Evenly spread totals, the lowest a little denser: the densest bin is the first, half an average bin from the edge."""
     every = "select i * 12 + m as o_orderkey, 0::bigint as o_custkey, 'O' as o_orderstatus, (1000 + i % 2000 * 249.5)::double as o_totalprice, make_timestamp(1995, m::bigint + 1, 1 + i::bigint % 28, 0, 0, 0.0) as o_orderdate, '1-URGENT' as o_orderpriority from range(2012) t(i), range(12) u(m)"
